@@ -28,33 +28,64 @@ OPEN = 16
 #: Tasks whose left-over windows one task of the next round merges.
 FAN_IN = 32
 #: Distinct blank-free strings a worker remembers.
-HELD = 300_000
+HELD = 600_000
 END_ID = 2
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, ids binary"
 
 
 class WordIds:
-    """Ids of texts by a tokenizer that drops blanks: every blank-free string is looked up once."""
+    """Ids of texts by a tokenizer that drops blanks: every blank-free string is looked up once.
+
+    New strings are encoded together, parted by a mark that the tokenizer keeps as a token of its own.
+    The table has two generations; a full one becomes the old one, so frequent strings stay.
+    """
+
+    MARK = "\x01"
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
-        self.known: dict[str, bytes] = {}
+        self.known: dict[str, bytes] = {"": b""}
+        self.old: dict[str, bytes] = {}
+        (self.mark_id,) = self._ids(self.MARK)
+
+    def _ids(self, text: str) -> list[int]:
+        return self.tokenizer.encode(text, add_special_tokens=False).ids
+
+    def _learn(self, words: list[str]) -> None:
+        alone = [w for w in words if self.MARK in w or len(w) > 200]
+        for w in alone:
+            self.known[w] = array("I", self._ids(w)).tobytes()
+        for i in range(0, len(words), 2000):
+            group = [w for w in words[i : i + 2000] if not (self.MARK in w or len(w) > 200)]
+            ids = np.array(self._ids(f" {self.MARK} ".join([*group, ""])), "<u4")
+            at = 0
+            for w, end in zip(group, np.flatnonzero(ids == self.mark_id).tolist(), strict=True):
+                self.known[w] = ids[at:end].tobytes()
+                at = end + 1
+
+    def batch(self, texts: list[str]) -> Iterator[np.ndarray]:
+        """Ids of each text, as unsigned 32-bit arrays."""
+        split = [(t.lower() if t.isascii() else t).replace("\n", " ").split(" ") for t in texts]
+        seen = set().union(*split) if split else set()
+        if len(self.known) > HELD:
+            self.known, self.old = {"": b""}, self.known
+        new = []
+        for w in seen - self.known.keys():
+            if (ids := self.old.get(w)) is None:
+                new.append(w)
+            else:
+                self.known[w] = ids
+        self._learn(new)
+        get = self.known.__getitem__
+        for words in split:
+            yield np.frombuffer(b"".join(map(get, words)), "<u4")
 
     def __call__(self, text: str) -> np.ndarray:
-        words, known = text.replace("\n", " ").split(" "), self.known
-        out = list(map(known.get, words))
-        if None in out:
-            if len(known) > HELD:
-                known.clear()
-            new = list({w for w, x in zip(words, out, strict=True) if x is None})
-            for w, e in zip(new, self.tokenizer.encode_batch(new, add_special_tokens=False), strict=True):
-                known[w] = array("I", e.ids).tobytes()
-            out = [known[w] if x is None else x for w, x in zip(words, out, strict=True)]
-        return np.frombuffer(b"".join(out), "<u4")
+        return next(self.batch([text]))
 
 
 _TOKENIZERS: dict[str, WordIds] = {}
@@ -142,11 +173,12 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, o
 
     def first(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         ids_of, part = word_ids(tokenizer_path), TaskContext.get().partitionId()
-        packer = Packer(part << 32, window, open_windows)
+        packer, end = Packer(part << 32, window, open_windows), np.array([END_ID], "<u4")
         for batch in batches:
-            for doc, text in zip(batch["doc_id"], batch["text"], strict=True):
-                ids = np.append(ids_of(text or ""), np.uint32(END_ID)).astype("<u4")
-                packer.add(doc, 0, ids, len(ids))
+            docs, texts = batch["doc_id"].tolist(), [t or "" for t in batch["text"]]
+            for at in range(0, len(docs), 500):
+                for doc, ids in zip(docs[at : at + 500], ids_of.batch(texts[at : at + 500]), strict=True):
+                    packer.add(doc, 0, np.append(ids, end), len(ids) + 1)
             yield _frame(packer.sent)
             packer.sent = []
         yield _frame(packer.left())
