@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
+from pathtwin.llm import quality_rules
 from pathtwin.sources.io import read_table
 
 
@@ -11,6 +12,13 @@ def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return read_table(spark, sf_dir, "documents")
 
 
+def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pathtwin.llm.quality_rules import judge
+
+    found = judge(read_table(spark, sf_dir, "documents", "doc_id", "source", "text"), keep_text=False)
+    return found.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
+
+
 def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -28,6 +36,6 @@ def op9_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_documents(_documents(spark, sf_dir), ranks, public_tokenizers.PATTERN, ids=False)
 
 
-QUERIES = {"op7_packing": op7_packing, "op9_byte_bpe": op9_byte_bpe}
+QUERIES = {"op1_quality_rules": op1_quality_rules, "op7_packing": op7_packing, "op9_byte_bpe": op9_byte_bpe}
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op1_quality_rules": quality_rules.ORACLE}
