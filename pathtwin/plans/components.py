@@ -18,14 +18,14 @@ def connected_components(edges: DataFrame, left: str = "a", right: str = "b") ->
     """
     e = edges.select(F.col(left).cast("long").alias("a"), F.col(right).cast("long").alias("b")).dropna()
     first = e = cut(e)
-    hashed = lambda c: F.struct(F.xxhash64(c), c)
+    hashed = lambda c: F.struct(F.xxhash64(c).alias("h"), c.alias("v"))
     nodes = e.select(F.explode(F.array("a", "b")).alias("node")).distinct()
     e = e.filter("a <> b")
     chain, old = None, None
     while not e.isEmpty():
         both = e.unionByName(e.select(F.col("b").alias("a"), F.col("a").alias("b")))
         point = both.groupBy("a").agg(F.min(hashed(F.col("b"))).alias("m"))
-        point = cut(point.select("a", F.least(F.col("m"), hashed(F.col("a")))["col2"].alias("to")).filter("a <> to"))
+        point = cut(point.select("a", F.least(F.col("m"), hashed(F.col("a")))["v"].alias("to")).filter("a <> to"))
         by_a = point.select("a", F.col("to").alias("to_a"))
         by_b = point.select(F.col("a").alias("b"), F.col("to").alias("to_b"))
         moved = e.join(by_a, "a", "left").join(by_b, "b", "left")
