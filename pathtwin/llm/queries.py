@@ -19,6 +19,12 @@ def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pathtwin.llm.simhash import near_duplicates
+
+    return near_duplicates(_documents(spark, sf_dir)).select("doc_id", "fingerprint", "component_id")
+
+
 def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -36,6 +42,6 @@ def op9_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_documents(_documents(spark, sf_dir), ranks, public_tokenizers.PATTERN, ids=False)
 
 
-QUERIES = {"op1_quality_rules": op1_quality_rules, "op7_packing": op7_packing, "op9_byte_bpe": op9_byte_bpe}
+QUERIES = {"op1_quality_rules": op1_quality_rules, "op4_simhash": op4_simhash, "op7_packing": op7_packing, "op9_byte_bpe": op9_byte_bpe}
 
 ORACLES: dict[str, str] = {"op1_quality_rules": quality_rules.ORACLE}
