@@ -42,6 +42,13 @@ def op9_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_documents(_documents(spark, sf_dir), ranks, public_tokenizers.PATTERN, ids=False)
 
 
-QUERIES = {"op1_quality_rules": op1_quality_rules, "op4_simhash": op4_simhash, "op7_packing": op7_packing, "op9_byte_bpe": op9_byte_bpe}
+def op10_rule_ensemble(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pathtwin.llm.rule_ensemble import quality_scores
+
+    found = quality_scores(_documents(spark, sf_dir), read_table(spark, sf_dir, "labels"))
+    return found.select("doc_id", "held_out", "score", "predicted")
+
+
+QUERIES = {"op1_quality_rules": op1_quality_rules, "op4_simhash": op4_simhash, "op7_packing": op7_packing, "op9_byte_bpe": op9_byte_bpe, "op10_rule_ensemble": op10_rule_ensemble}
 
 ORACLES: dict[str, str] = {"op1_quality_rules": quality_rules.ORACLE}
