@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from pathtwin.llm import quality_rules
+from pathtwin.llm import chat, quality_rules
 from pathtwin.sources.io import read_table
 
 
@@ -19,6 +19,12 @@ def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def op2_chat_rotation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pathtwin.llm.chat import rotations
+
+    return rotations(read_table(spark, sf_dir, "conversations"))
+
+
 def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     from pathtwin.llm.simhash import near_duplicates
 
@@ -49,6 +55,6 @@ def op10_rule_ensemble(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "held_out", "score", "predicted")
 
 
-QUERIES = {"op1_quality_rules": op1_quality_rules, "op4_simhash": op4_simhash, "op7_packing": op7_packing, "op9_byte_bpe": op9_byte_bpe, "op10_rule_ensemble": op10_rule_ensemble}
+QUERIES = {"op1_quality_rules": op1_quality_rules, "op2_chat_rotation": op2_chat_rotation, "op4_simhash": op4_simhash, "op7_packing": op7_packing, "op9_byte_bpe": op9_byte_bpe, "op10_rule_ensemble": op10_rule_ensemble}
 
-ORACLES: dict[str, str] = {"op1_quality_rules": quality_rules.ORACLE}
+ORACLES: dict[str, str] = {"op1_quality_rules": quality_rules.ORACLE, "op2_chat_rotation": chat.ORACLE}
