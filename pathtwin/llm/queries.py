@@ -31,6 +31,12 @@ def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(_documents(spark, sf_dir)).select("doc_id", "fingerprint", "component_id")
 
 
+def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pathtwin.llm.toxicity import toxicity_scores
+
+    return toxicity_scores(_documents(spark, sf_dir), read_table(spark, sf_dir, "labels"))
+
+
 def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     from pathtwin.llm.language_id import identify
 
@@ -61,6 +67,6 @@ def op10_rule_ensemble(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "held_out", "score", "predicted")
 
 
-QUERIES = {"op1_quality_rules": op1_quality_rules, "op2_chat_rotation": op2_chat_rotation, "op4_simhash": op4_simhash, "op6_language_id": op6_language_id, "op7_packing": op7_packing, "op9_byte_bpe": op9_byte_bpe, "op10_rule_ensemble": op10_rule_ensemble}
+QUERIES = {"op1_quality_rules": op1_quality_rules, "op2_chat_rotation": op2_chat_rotation, "op4_simhash": op4_simhash, "op5_toxicity": op5_toxicity, "op6_language_id": op6_language_id, "op7_packing": op7_packing, "op9_byte_bpe": op9_byte_bpe, "op10_rule_ensemble": op10_rule_ensemble}
 
 ORACLES: dict[str, str] = {"op1_quality_rules": quality_rules.ORACLE, "op2_chat_rotation": chat.ORACLE}
