@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from pathtwin.llm import chat, quality_rules
+from pathtwin.llm import chat, quality_rules, vector_dedup
 from pathtwin.sources.io import read_table
 
 
@@ -25,6 +25,12 @@ def op2_chat_rotation(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rotations(read_table(spark, sf_dir, "conversations"))
 
 
+def op3_vector_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pathtwin.llm.vector_dedup import near_duplicates
+
+    return near_duplicates(read_table(spark, sf_dir, "embeddings"))
+
+
 def op4_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     from pathtwin.llm.simhash import near_duplicates
 
@@ -67,6 +73,6 @@ def op10_rule_ensemble(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "held_out", "score", "predicted")
 
 
-QUERIES = {"op1_quality_rules": op1_quality_rules, "op2_chat_rotation": op2_chat_rotation, "op4_simhash": op4_simhash, "op5_toxicity": op5_toxicity, "op6_language_id": op6_language_id, "op7_packing": op7_packing, "op9_byte_bpe": op9_byte_bpe, "op10_rule_ensemble": op10_rule_ensemble}
+QUERIES = {"op1_quality_rules": op1_quality_rules, "op2_chat_rotation": op2_chat_rotation, "op3_vector_dedup": op3_vector_dedup, "op4_simhash": op4_simhash, "op5_toxicity": op5_toxicity, "op6_language_id": op6_language_id, "op7_packing": op7_packing, "op9_byte_bpe": op9_byte_bpe, "op10_rule_ensemble": op10_rule_ensemble}
 
-ORACLES: dict[str, str] = {"op1_quality_rules": quality_rules.ORACLE, "op2_chat_rotation": chat.ORACLE}
+ORACLES: dict[str, str] = {"op1_quality_rules": quality_rules.ORACLE, "op2_chat_rotation": chat.ORACLE, "op3_vector_dedup": vector_dedup.ORACLE}
