@@ -57,6 +57,12 @@ def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(_documents(spark, sf_dir), public_tokenizers.path("word_bpe_49k.json"))
 
 
+def op8_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from pathtwin.llm.suffix_dedup import dedup_digests
+
+    return dedup_digests(_documents(spark, sf_dir))
+
+
 def op9_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 
@@ -73,6 +79,6 @@ def op10_rule_ensemble(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "held_out", "score", "predicted")
 
 
-QUERIES = {"op1_quality_rules": op1_quality_rules, "op2_chat_rotation": op2_chat_rotation, "op3_vector_dedup": op3_vector_dedup, "op4_simhash": op4_simhash, "op5_toxicity": op5_toxicity, "op6_language_id": op6_language_id, "op7_packing": op7_packing, "op9_byte_bpe": op9_byte_bpe, "op10_rule_ensemble": op10_rule_ensemble}
+QUERIES = {"op1_quality_rules": op1_quality_rules, "op2_chat_rotation": op2_chat_rotation, "op3_vector_dedup": op3_vector_dedup, "op4_simhash": op4_simhash, "op5_toxicity": op5_toxicity, "op6_language_id": op6_language_id, "op7_packing": op7_packing, "op8_suffix_dedup": op8_suffix_dedup, "op9_byte_bpe": op9_byte_bpe, "op10_rule_ensemble": op10_rule_ensemble}
 
 ORACLES: dict[str, str] = {"op1_quality_rules": quality_rules.ORACLE, "op2_chat_rotation": chat.ORACLE, "op3_vector_dedup": vector_dedup.ORACLE}

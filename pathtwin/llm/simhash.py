@@ -59,14 +59,15 @@ def fingerprint(text: str | None, size: int = 3) -> int:
 
 
 def fingerprints(docs: DataFrame, size: int = 3) -> DataFrame:
-    """Rows ``doc_id, fp``, ``fp`` as a signed long. One pass, no shuffle."""
+    """Rows ``doc_id, th, fp``: a hash of the text, and the fingerprint as a signed long. One pass, no shuffle."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for b in batches:
             fp = np.array([fingerprint(t, size) for t in b["text"]], np.uint64).view(np.int64)
-            yield pd.DataFrame({"doc_id": b["doc_id"], "fp": fp})
+            yield pd.DataFrame({"doc_id": b["doc_id"], "th": b["th"], "fp": fp})
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(run, "doc_id long, fp long")
+    text = F.col("text").cast("string")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.hash(text).alias("th"), text.alias("text")).mapInPandas(run, "doc_id long, th int, fp long")
 
 
 def _shared_bytes(a: Column, b: Column) -> Column:
@@ -93,7 +94,7 @@ def fingerprint_links(fps: DataFrame, long_list: int = LONG_LIST) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, long_list: int = LONG_LIST, size: int = 3) -> DataFrame:
-    """Rows ``doc_id, fp, fingerprint, component_id``; a group's id is its smallest doc_id."""
+    """Rows ``doc_id, th, fp, fingerprint, component_id``; a group's id is its smallest doc_id."""
     found = cut(fingerprints(docs, size))
     groups = found.groupBy("fp").agg(F.min("doc_id").alias("least"))
     groups = cut(groups)
@@ -101,4 +102,17 @@ def near_duplicates(docs: DataFrame, long_list: int = LONG_LIST, size: int = 3)
     groups = groups.join(parts, "fp", "left").withColumn("component", F.coalesce("component", "fp"))
     least = groups.groupBy("component").agg(F.min("least").alias("component_id"))
     groups = groups.join(least, "component").select("fp", "component_id")
-    return found.join(groups, "fp").select("doc_id", "fp", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    return found.join(groups, "fp").select("doc_id", "th", "fp", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+
+
+def one_of_each(docs: DataFrame, long_list: int = LONG_LIST, size: int = 3) -> DataFrame:
+    """``docs`` with one document of each group: that of the smallest id, then of the smallest text hash.
+
+    A null id comes before all others. The verdicts are joined to the documents by id and text hash.
+    """
+    nobody, text_hash = F.lit(-(2**63)), F.hash(F.col("text").cast("string"))
+    keyed = docs.withColumns({"__k": F.coalesce(F.col("doc_id").cast("long"), nobody), "__th": text_hash})
+    named = docs.select(F.coalesce(F.col("doc_id").cast("long"), nobody).alias("doc_id"), "text")
+    found = near_duplicates(named, long_list, size)
+    kept = found.groupBy("component_id").agg(F.min(F.struct(F.col("doc_id").alias("__k"), F.col("th").alias("__th"))).alias("x")).select("x.*")
+    return keyed.join(kept, ["__k", "__th"], "left_semi").dropDuplicates(["__k", "__th"]).drop("__k", "__th")

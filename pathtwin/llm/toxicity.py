@@ -24,6 +24,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StructType
 
 from pathtwin.llm.common import fold
 from pathtwin.llm.rule_ensemble import labelled_sample
@@ -260,8 +261,8 @@ def hash_word(w: str) -> int:
     return xxh64_intdigest(w)
 
 
-def toxicity_scores(docs: DataFrame, labels: DataFrame, folds: int = 5, held_out: int = 0, rows: int = SAMPLE, keep: bool = False) -> DataFrame:
-    """Rows ``doc_id, held_out, score, predicted``; with ``keep`` all columns of ``docs`` and ``score``.
+def toxicity_scores(docs: DataFrame, labels: DataFrame, folds: int = 5, held_out: int = 0, rows: int = SAMPLE, keep_as: str | None = None) -> DataFrame:
+    """Rows ``doc_id, held_out, score, predicted``; with ``keep_as`` all columns of ``docs`` and the score under that name.
 
     Two passes over the texts and no shuffle of them but for the sampled rows, which go to one task.
     """
@@ -286,13 +287,10 @@ def toxicity_scores(docs: DataFrame, labels: DataFrame, folds: int = 5, held_out
             for text in b["text"]:
                 x, y = evidence(restorer.words(text or ""), learned)
                 out.append(1 / (1 + math.exp(-min(max(base + strong * x + more * y, -500), 500))))
-            yield b.assign(score=np.array(out, np.float64)) if keep else pd.DataFrame({"doc_id": b["doc_id"], "score": out})
+            yield b.assign(**{keep_as: np.array(out, np.float64)}) if keep_as else pd.DataFrame({"doc_id": b["doc_id"], "score": out})
 
-    if keep:
-        from pyspark.sql.types import DoubleType, StructType
-
-        source = docs.drop("score")
-        return source.mapInPandas(score, StructType([*source.schema.fields]).add("score", DoubleType()))
+    if keep_as:
+        return docs.mapInPandas(score, StructType([*docs.schema.fields]).add(keep_as, DoubleType()))
     held = F.coalesce(fold("doc_id", folds) == held_out, F.lit(False))
     scored = d.mapInPandas(score, "doc_id long, score double")
     return scored.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
