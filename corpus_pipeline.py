@@ -1,4 +1,8 @@
-"""Corpus pipeline: toxicity, quality rules, SimHash near-dedup, suffix-array dedup, packing."""
+"""Corpus pipeline: toxicity, quality rules, SimHash near-dedup, suffix-array dedup, packing.
+
+Each stage takes all documents that its predecessor kept and, but for the last, returns the columns of
+``documents``. Columns that it doesn't know are carried along, whatever their names.
+"""
 
 from __future__ import annotations
 
@@ -8,6 +12,38 @@ from pathtwin.plans.lineage import cut
 from pathtwin.sources.io import read_table
 
 
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents with a toxicity score under one half."""
+    from pathtwin.llm.toxicity import toxicity_scores
+
+    scored = toxicity_scores(docs, read_table(spark, sf_dir, "labels"), keep_as="__toxicity")
+    return scored.filter("__toxicity < 0.5").drop("__toxicity")
+
+
+def apply_quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the base rules and their host's verdict keep."""
+    from pathtwin.llm.quality_rules import ADDED, judge
+
+    own = {c: f"__own_{c}" for c in docs.columns if c in (*ADDED, "shrunk_rate", "kept")}
+    judged = judge(docs.withColumnsRenamed(own))
+    kept = judged.filter("kept").drop(*ADDED, "shrunk_rate", "kept").withColumnsRenamed({v: k for k, v in own.items()})
+    return kept.select(*docs.columns)
+
+
+def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each SimHash group."""
+    from pathtwin.llm.simhash import one_of_each
+
+    return one_of_each(docs).select(*docs.columns)
+
+
+def drop_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without the bytes of repeated passages."""
+    from pathtwin.llm.suffix_dedup import without_repeats
+
+    return without_repeats(docs)
+
+
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token windows of what is left."""
     import public_tokenizers
@@ -17,7 +53,13 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return pack_documents(docs, public_tokenizers.path("word_bpe_49k.json"))
 
 
-STAGES = [("packing", pack)]
+STAGES = [
+    ("toxicity", drop_toxic),
+    ("quality_rules", apply_quality_rules),
+    ("simhash_near_dedup", drop_near_copies),
+    ("suffix_array_dedup", drop_repeated_passages),
+    ("packing", pack),
+]
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -30,4 +72,5 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     return docs
 
 
+#: Viterbi decoding, learned scores, tokenizers and cut byte strings are beyond SQL; tests hold each stage against plain Python.
 ORACLE_SQL = None
