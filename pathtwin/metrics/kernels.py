@@ -120,7 +120,7 @@ def ngram(a: Sequence, b: Sequence, n: int = 2) -> float:
 
 
 def jaro_winkler(a: Sequence, b: Sequence) -> float:
-    """1 - similarity, with a bonus of a tenth for each of up to four leading equal symbols."""
+    """1 - similarity, with a bonus of a tenth for each of up to four leading equal symbols where it exceeds 0.7."""
     if not a or not b:
         return 0.0 if not a and not b else 1.0
     reach = max(0, max(len(a), len(b)) // 2 - 1)
@@ -137,6 +137,8 @@ def jaro_winkler(a: Sequence, b: Sequence) -> float:
     swaps = sum(x != y for x, y in zip(left, right, strict=True)) // 2
     m = len(left)
     jaro = (m / len(a) + m / len(b) + (m - swaps) / m) / 3
+    if jaro <= 0.7:
+        return 1 - jaro
     lead = 0
     for x, y in zip(a[:4], b[:4], strict=False):
         if x != y:

@@ -1,4 +1,10 @@
 """Registry of the workloads on the given tables."""
 
+from pathtwin.workloads import documents, variants
+
+_MODULES = (documents, variants)
 QUERIES: dict = {}
 ORACLES: dict = {}
+for _module in _MODULES:
+    QUERIES |= _module.QUERIES
+    ORACLES |= _module.ORACLES
