@@ -1,8 +1,8 @@
 """Registry of the workloads on the given tables."""
 
-from pathtwin.workloads import documents, variants
+from pathtwin.workloads import documents, flows, variants
 
-_MODULES = (documents, variants)
+_MODULES = (documents, variants, flows)
 QUERIES: dict = {}
 ORACLES: dict = {}
 for _module in _MODULES:
