@@ -1,8 +1,8 @@
 """Registry of the workloads on the given tables."""
 
-from pathtwin.workloads import documents, flows, variants
+from pathtwin.workloads import documents, flows, operators, streams, variants
 
-_MODULES = (documents, variants, flows)
+_MODULES = (documents, variants, flows, operators, streams)
 QUERIES: dict = {}
 ORACLES: dict = {}
 for _module in _MODULES:
