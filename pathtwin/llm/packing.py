@@ -28,7 +28,7 @@ OPEN = 16
 #: Tasks whose left-over windows one task of the next round merges.
 FAN_IN = 32
 #: Distinct blank-free strings a worker remembers.
-HELD = 600_000
+HELD = 400_000
 END_ID = 2
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long, ids binary"
@@ -181,6 +181,7 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, o
                     packer.add(doc, 0, np.append(ids, end), len(ids) + 1)
             yield _frame(packer.sent)
             packer.sent = []
+        ids_of.old = {}
         yield _frame(packer.left())
 
     def later(base: int, last: bool):

@@ -17,14 +17,13 @@ from __future__ import annotations
 
 import math
 import re
-from collections import Counter, defaultdict
+from collections import defaultdict
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import DoubleType, StructType
 
 from pathtwin.llm.common import fold
 from pathtwin.llm.rule_ensemble import labelled_sample
@@ -223,30 +222,32 @@ def evidence(words: set[str], lexicon: dict[str, float]) -> tuple[float, float]:
     return max(hits), math.log1p(sum(hits) - max(hits))
 
 
-def learn(rows: list[tuple[set[str], int]]) -> tuple[dict[str, float], np.ndarray]:
-    """Lexicon and the three logistic weights."""
-    families, keys = Counter(), []
-    for words, y in rows:
-        key = (min(map(hash_word, words), default=0), y)
-        keys.append(key)
-        families[key] += 1
-    seen: dict[int, dict[str, set]] = {0: defaultdict(set), 1: defaultdict(set)}
-    totals = {0: len({k for k in families if not k[1]}), 1: len({k for k in families if k[1]})}
-    for (words, y), (key, _) in zip(rows, keys, strict=True):
-        for w in words | {w[:n] + "-" for w in words for n in BEGINNINGS if len(w) > n}:
-            seen[int(bool(y))][w].add(key)
-    if not totals[0] or not totals[1]:
-        share = (totals[1] + 0.5) / (totals[0] + totals[1] + 1)
+def learn(rows: Iterator[tuple[set[str], int]]) -> tuple[dict[str, float], np.ndarray]:
+    """Lexicon and the three logistic weights. Words are kept once, documents as arrays of word numbers."""
+    number: dict[str, int] = {}
+    docs, pairs, families = [], [], {}
+    for words, label in rows:
+        y = int(bool(label))
+        family = families.setdefault((min(map(hash_word, words), default=0), y), len(families))
+        own = [number.setdefault(w, len(number)) for w in words]
+        heads = {w[:n] + "-" for w in words for n in BEGINNINGS if len(w) > n}
+        all_ids = own + [number.setdefault(w, len(number)) for w in heads]
+        docs.append((np.array(own, np.int32), y))
+        pairs.append((np.array(all_ids, np.int64) << 32) | family)
+    side = np.array([y for _, y in families], np.int64)
+    totals = np.bincount(side, minlength=2)
+    if not totals.all():
+        share = (totals[1] + 0.5) / (totals.sum() + 1)
         return {}, np.array([math.log(share / (1 - share)), 0.0, 0.0])
-    weight = {}
-    for w, votes in seen[1].items():
-        k, n = len(votes), len(seen[0].get(w, ()))
-        ratio = math.log((k + 0.5) / (totals[1] + 1)) - math.log((n + 0.5) / (totals[0] + 1))
-        if k >= 4 and k >= 0.004 * totals[1] and ratio > 2.5:
-            weight[w] = ratio
-    lexicon = dict(sorted(weight.items(), key=lambda x: (-x[1], x[0]))[:LEXICON])
-    x = np.array([[1.0, *evidence(words, lexicon)] for words, _ in rows])
-    y = np.array([float(bool(v)) for _, v in rows])
+    votes = np.unique(np.concatenate(pairs))
+    pairs.clear()
+    clean, toxic = (np.bincount(votes[side[votes & 0xFFFFFFFF] == y] >> 32, minlength=len(number)) for y in (0, 1))
+    ratio = np.log((toxic + 0.5) / (totals[1] + 1)) - np.log((clean + 0.5) / (totals[0] + 1))
+    names = list(number)
+    chosen = np.flatnonzero((toxic >= 4) & (toxic >= 0.004 * totals[1]) & (ratio > 2.5))
+    lexicon = dict(sorted(((names[i], float(ratio[i])) for i in chosen), key=lambda x: (-x[1], x[0]))[:LEXICON])
+    x = np.array([[1.0, *evidence(words, lexicon)] for words in ({names[i] for i in own.tolist()} for own, _ in docs)])
+    y = np.array([float(v) for _, v in docs])
     w = np.zeros(3)
     for _ in range(50):
         p = 1 / (1 + np.exp(-x @ w))
@@ -270,27 +271,26 @@ def toxicity_scores(docs: DataFrame, labels: DataFrame, folds: int = 5, held_out
     counts = corpus_char_counts(d)
 
     def fit(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        restorer, seen = Restorer(counts), []
-        for b in batches:
-            seen += [(restorer.words(t or ""), y) for t, y in zip(b["text"], b["y"], strict=True)]
-        lexicon, w = learn(seen)
+        restorer = Restorer(counts)
+        lexicon, w = learn((restorer.words(t or ""), y) for b in batches for t, y in zip(b["text"], b["y"], strict=True))
         yield pd.DataFrame({"word": [*lexicon, *("", " ", "  ")], "w": [*lexicon.values(), *w.tolist()]})
 
     sample = d.join(labelled_sample(labels, "toxic", folds, held_out, rows), "doc_id").dropDuplicates(["doc_id"])
     learned = {r["word"]: r["w"] for r in sample.select("text", "y").coalesce(1).mapInPandas(fit, "word string, w double").collect()}
     base, strong, more = (learned.pop(k, 0.0) for k in ("", " ", "  "))
 
-    def score(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    @F.pandas_udf("double")
+    def score(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         restorer = Restorer(counts)
-        for b in batches:
+        for texts in batches:
             out = []
-            for text in b["text"]:
+            for text in texts:
                 x, y = evidence(restorer.words(text or ""), learned)
                 out.append(1 / (1 + math.exp(-min(max(base + strong * x + more * y, -500), 500))))
-            yield b.assign(**{keep_as: np.array(out, np.float64)}) if keep_as else pd.DataFrame({"doc_id": b["doc_id"], "score": out})
+            yield pd.Series(out, dtype="float64")
 
     if keep_as:
-        return docs.mapInPandas(score, StructType([*docs.schema.fields]).add(keep_as, DoubleType()))
+        return docs.withColumn(keep_as, score(F.col("text").cast("string")))
     held = F.coalesce(fold("doc_id", folds) == held_out, F.lit(False))
-    scored = d.mapInPandas(score, "doc_id long, score double")
+    scored = d.withColumn("score", score("text"))
     return scored.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
