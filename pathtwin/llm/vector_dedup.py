@@ -60,6 +60,8 @@ def tile_links(x: np.ndarray, left: np.ndarray, right: np.ndarray, same: bool, t
     angle = np.arccos(threshold) + 1e-6
 
     def tiles(rows: np.ndarray) -> list[tuple[np.ndarray, np.ndarray, float]]:
+        if not len(rows):
+            return []
         picks = unit[rows[:: max(1, len(rows) // 32)][:32]]
         order = rows[np.argsort((unit[rows] @ picks.T).argmax(1), kind="stable")]
         out = []
