@@ -11,15 +11,15 @@ from pathtwin.match import sets as S
 from pathtwin.metrics import set_distance_udf
 
 
-def compare(pairs: DataFrame, sets: DataFrame, cfg: DetectorConfig) -> DataFrame:
-    """``pairs`` with ``distance`` and ``relation``, set-size short circuit applied, no threshold yet."""
+def compare(pairs: DataFrame, sets: DataFrame, cfg: DetectorConfig, cutoff: float | None = None) -> DataFrame:
+    """``pairs`` with ``distance`` (exact below ``cutoff``) and ``relation``, set-size short circuit applied, no threshold yet."""
     a = sets.select(F.col("fragment_id").alias("left_id"), F.col("paths").alias("pa"), F.col("n_paths").alias("na"))
     b = sets.select(F.col("fragment_id").alias("right_id"), F.col("paths").alias("pb"), F.col("n_paths").alias("nb"))
     joined = pairs.join(a, "left_id").join(b, "right_id")
     if cfg.max_set_factor is not None:
         joined = joined.filter(F.greatest("na", "nb") <= F.least("na", "nb") * F.lit(cfg.max_set_factor))
     relation = F.when(F.col("na") == F.col("nb"), "strict").otherwise("partial")
-    return joined.select("left_id", "right_id", F.round(set_distance_udf(cfg)("pa", "pb"), 6).alias("distance"), relation.alias("relation"))
+    return joined.select("left_id", "right_id", F.round(set_distance_udf(cfg, cutoff)("pa", "pb"), 6).alias("distance"), relation.alias("relation"))
 
 
 def detect(paths: DataFrame, cfg: DetectorConfig | None = None) -> DataFrame:
@@ -35,7 +35,7 @@ def detect(paths: DataFrame, cfg: DetectorConfig | None = None) -> DataFrame:
     if cfg.copy != "off":
         sets, members = S.collapse(sets)
         encoded = encoded.join(sets.select("fragment_id"), "fragment_id", "left_semi")
-    pairs = compare(C.candidates(encoded, sets, cfg), sets, cfg).filter(F.col("distance") < F.lit(cfg.tau))
+    pairs = compare(C.candidates(encoded, sets, cfg), sets, cfg, cfg.tau).filter(F.col("distance") < F.lit(cfg.tau))
     if members is None or cfg.copy == "lossy":
         return pairs.withColumn("via", F.lit("compared"))
     return S.expand(pairs, members)

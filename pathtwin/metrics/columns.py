@@ -21,14 +21,23 @@ def distance_udf(metric: str, cfg: DetectorConfig | None = None):
     return path_distance
 
 
-def set_distance_udf(cfg: DetectorConfig):
-    """Arrow function over two arrays of ``struct<code, mult>``: the distance of two description sets."""
+#: Path distances that a batch remembers.
+HELD = 200_000
+
+
+def set_distance_udf(cfg: DetectorConfig, cutoff: float | None = None):
+    """Arrow function over two arrays of ``struct<code, mult>``: the distance of two description sets, exact below ``cutoff``."""
 
     @F.pandas_udf("double")
     def delta(a: pd.Series, b: pd.Series) -> pd.Series:
-        made = lambda s: [(tuple(p["code"]), int(p["mult"])) for p in s]
+        made = lambda s: [(tuple(p["code"].tolist()), int(p["mult"])) for p in s]
         kw = {"normalise": cfg.normalise, "sub_slack": cfg.sub_slack, "sub_min_len": cfg.sub_min_len}
-        return pd.Series([K.set_distance(made(x), made(y), cfg.metric, cfg.tau, cfg.tie, cfg.max_len_diff, **kw) for x, y in zip(a, b, strict=True)], dtype="float64")
+        known, out = {}, []
+        for x, y in zip(a, b, strict=True):
+            if len(known) > HELD:
+                known.clear()
+            out.append(K.set_distance(made(x), made(y), cfg.metric, cfg.tau, cfg.tie, cfg.max_len_diff, cutoff, known, **kw))
+        return pd.Series(out, dtype="float64")
 
     return delta
 

@@ -170,12 +170,17 @@ def path_distance(a: Sequence, b: Sequence, metric: str, tau: float = 0.3, norma
     return plain
 
 
-def set_distance(a: list, b: list, metric: str, tau: float = 0.3, tie: str = "min", max_len_diff: int | None = None, **kw) -> float:
-    """Mean over the smaller set of each path's distance to its nearest path; ``a`` and ``b`` hold ``(path, times)``."""
+def set_distance(a: list, b: list, metric: str, tau: float = 0.3, tie: str = "min", max_len_diff: int | None = None, cutoff: float | None = None, known: dict | None = None, **kw) -> float:
+    """Mean over the smaller set of each path's distance to its nearest path; ``a`` and ``b`` hold ``(path, times)``.
+
+    With ``cutoff`` a mean that is sure to reach it may be returned as any value from it on. ``known`` carries
+    path distances from call to call. Paths whose lengths alone put them behind the nearest so far are skipped.
+    """
     if not a or not b:
         return 0.0 if not a and not b else 1.0
     size = lambda s: sum(n for _, n in s)
-    known: dict = {}
+    known = {} if known is None else known
+    by_length = REGISTRY[metric][2] and metric != "lcs_mod" and kw.get("normalise", "longer") == "longer"
 
     def d(p: tuple, q: tuple) -> float:
         if max_len_diff is not None and abs(len(p) - len(q)) > max_len_diff and metric != "lcs_mod":
@@ -186,7 +191,19 @@ def set_distance(a: list, b: list, metric: str, tau: float = 0.3, tie: str = "mi
         return known[key]
 
     def one_way(x: list, y: list) -> float:
-        return sum(n * min(d(p, q) for q, _ in y) for p, n in x) / size(x)
+        total, n = 0.0, size(x)
+        for p, times in x:
+            best = math.inf
+            for q, _ in y:
+                if by_length and abs(len(p) - len(q)) >= best * max(len(p), len(q)):
+                    continue
+                best = min(best, d(p, q))
+                if not best:
+                    break
+            total += times * best
+            if cutoff is not None and total >= (cutoff + 1e-6) * n:
+                break
+        return total / n
 
     x, y = size(a), size(b)
     if x < y or x == y and tie == "first":
