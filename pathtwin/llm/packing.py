@@ -208,7 +208,7 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, o
         parts.append(done.filter("sequence_id is not null").drop("ids"))
         if round_ and tasks == 1:
             break
-        tasks = -(-tasks // fan_in)
+        tasks = max(1, -(-tasks // fan_in))
         round_ += 1
         left = done.filter("sequence_id is null")
         key = F.pmod(F.xxhash64("doc_id", "start"), F.lit(tasks))

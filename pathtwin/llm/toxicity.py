@@ -33,7 +33,7 @@ SAMPLE = 9_000
 #: Entries of the lexicon, the strongest first.
 LEXICON = 4_000
 #: Decoded spans that a worker remembers.
-HELD = 200_000
+HELD = 50_000
 #: Lengths of word beginnings that may enter the lexicon.
 BEGINNINGS = (4, 5, 6)
 
