@@ -5,6 +5,8 @@ All propose pairs by equi-joins of postings; prefix filters are lossless for the
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -93,6 +95,35 @@ def tree_vector(vectors: DataFrame, radius: float) -> DataFrame:
     return found.select(F.col("datasetA.id").alias("left_id"), F.col("datasetB.id").alias("right_id"), F.round("d", 6).alias("distance")).distinct()
 
 
+def projection_bands(vectors: DataFrame, cosine: float = 0.9, bands: int = 12, rows: int = 10, seed: int = 11) -> DataFrame:
+    """Pairs of vectors that agree on all signs of one of ``bands`` groups of ``rows`` random projections and reach ``cosine`` (lossy).
+
+    Equal vectors are compared once and their results copied, so copies do not fill a bucket.
+    """
+    @F.pandas_udf("array<long>")
+    def keys(v: pd.Series) -> pd.Series:
+        if not len(v):
+            return pd.Series([], dtype=object)
+        x = np.stack(v.to_numpy()).astype(np.float64)
+        planes = np.random.default_rng(seed).standard_normal((x.shape[1], bands * rows))
+        bits = (x @ planes > 0).reshape(len(x), bands, rows)
+        return pd.Series(list(bits @ (1 << np.arange(rows, dtype=np.int64))))
+
+    v = vectors.select("id", F.col("v").cast("array<double>").alias("v")).filter(F.size("v") > 0)
+    members = v.groupBy("v").agg(F.min("id").alias("rep"))
+    reps = members.select("rep", "v")
+    posts = reps.select("rep", F.posexplode(keys("v")).alias("band", "key"))
+    pairs = posts.alias("a").join(posts.alias("b"), ["band", "key"]).filter("a.rep < b.rep").select(F.col("a.rep").alias("p"), F.col("b.rep").alias("q")).distinct()
+    joined = pairs.join(reps.toDF("p", "x"), "p").join(reps.toDF("q", "y"), "q")
+    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda s, t: s * t), F.lit(0.0), lambda t, z: t + z)
+    joined = joined.withColumn("cosine", dot(F.col("x"), F.col("y")) / F.sqrt(dot(F.col("x"), F.col("x")) * dot(F.col("y"), F.col("y"))))
+    of = v.join(members, "v").select("id", "rep")
+    near = joined.filter(F.col("cosine") >= cosine).select("p", "q", "cosine")
+    across = near.join(of.toDF("a", "p"), "p").join(of.toDF("b", "q"), "q").select(F.least("a", "b").alias("left_id"), F.greatest("a", "b").alias("right_id"), F.round("cosine", 6).alias("cosine"))
+    inside = of.alias("m").join(of.alias("n"), "rep").filter("m.id < n.id").select(F.col("m.id").alias("left_id"), F.col("n.id").alias("right_id"), F.lit(1.0).alias("cosine"))
+    return across.unionByName(inside)
+
+
 FEATURES = ("lines", "words", "chars", "digits", "marks", "heads")
 
 

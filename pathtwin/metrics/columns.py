@@ -68,11 +68,27 @@ def jaccard(a: Column, b: Column) -> Column:
     return F.when(either == 0, F.lit(0.0)).otherwise(1 - F.size(F.array_intersect(a, b)) / either)
 
 
+def _times(s: Column, x: Column) -> Column:
+    return F.size(F.filter(s, lambda y: y == x))
+
+
 def cosine(a: Column, b: Column) -> Column:
-    times = lambda s, x: F.size(F.filter(s, lambda y: y == x))
     total = lambda s, of: F.aggregate(F.transform(F.array_distinct(s), of), F.lit(0).cast("long"), lambda t, x: t + x)
-    square = lambda s: total(s, lambda x: times(s, x) * times(s, x))
-    return 1 - total(a, lambda x: times(a, x) * times(b, x)) / F.sqrt(square(a) * square(b))
+    square = lambda s: total(s, lambda x: _times(s, x) * _times(s, x))
+    return 1 - total(a, lambda x: _times(a, x) * _times(b, x)) / F.sqrt(square(a) * square(b))
+
+
+def common_items(a: Column, b: Column) -> Column:
+    """Size of the multiset overlap."""
+    return F.aggregate(F.transform(F.array_distinct(a), lambda x: F.least(_times(a, x), _times(b, x))), F.lit(0), lambda t, x: t + x)
+
+
+def ngram(a: Column, b: Column) -> Column:
+    """Share of pairs of neighbours that the two sides do not have in common; sides without a pair are at distance zero if both are, else one."""
+    pairs = lambda s: F.when(F.size(s) < 2, F.array().cast("array<string>")).otherwise(F.transform(F.slice(s, 1, F.greatest(F.size(s) - 1, F.lit(0))), lambda x, i: F.concat_ws("\x01", x, F.get(s, i + 1))))
+    ga, gb = pairs(a), pairs(b)
+    total = F.size(ga) + F.size(gb)
+    return F.when(total == 0, F.lit(0.0)).otherwise(1 - 2 * common_items(ga, gb) / total)
 
 
 def as_characters(ids: Column, base: int = 0x4E00) -> Column:

@@ -3,8 +3,9 @@
 from __future__ import annotations
 
 import uuid
+from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pathtwin.plans.lineage import shared_folder
@@ -26,15 +27,55 @@ def _plain(c: str):
     return F.col(c).cast("timestamp_ntz")
 
 
-def drained(stream: DataFrame, mode: str = "complete") -> DataFrame:
-    """Runs a stream over what there is and returns its last state (``complete``) or all its rows (``append``)."""
-    spark, at = stream.sparkSession, f"{shared_folder(stream.sparkSession)}/stream-{uuid.uuid4().hex}"
+def _run(stream: DataFrame, at: str, mode: str) -> None:
+    """One pass over what there is. A batch that is run again replaces its own rows."""
 
-    def keep(batch: DataFrame, _: int) -> None:
-        batch.write.mode("overwrite" if mode == "complete" else "append").parquet(f"{at}/out")
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{at}/out/{'last' if mode == 'complete' else f'batch-{number}'}")
 
     stream.writeStream.outputMode(mode).option("checkpointLocation", f"{at}/checkpoint").foreachBatch(keep).trigger(availableNow=True).start().awaitTermination()
-    return spark.read.schema(stream.schema).parquet(f"{at}/out")
+
+
+def _output(stream: DataFrame, at: str) -> DataFrame:
+    return stream.sparkSession.read.schema(stream.schema).parquet(f"{at}/out/*")
+
+
+def _place(spark: SparkSession) -> str:
+    return f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
+
+
+def drained(stream: DataFrame, mode: str = "complete") -> DataFrame:
+    """Runs a stream over what there is and returns its last state (``complete``) or all its rows (``append``)."""
+    at = _place(stream.sparkSession)
+    stream.sparkSession.createDataFrame([], stream.schema).write.parquet(f"{at}/out/last")
+    _run(stream, at, mode)
+    return _output(stream, at)
+
+
+def arriving(slices: list[DataFrame], plan: Callable[[DataFrame], DataFrame], mode: str = "update") -> DataFrame:
+    """Rows that ``plan`` sends while ``slices`` of events arrive one after the other; state and watermark carry over."""
+    spark = slices[0].sparkSession
+    at, fields = _place(spark), [c.split() for c in SCHEMA.split(", ")]
+    for s in slices:
+        s.select(*[F.col(n).cast(t).alias(n) for n, t in fields]).write.mode("append").parquet(f"{at}/in")
+        stream = plan(event_stream(spark, f"{at}/in"))
+        _run(stream, at, mode)
+    return _output(stream, at)
+
+
+def late_counts(events: DataFrame, late: Column, slack_days: int = 3) -> DataFrame:
+    """Rows ``start, event_type, n, n_late``: events by day that a stream counts, and those it drops, when ``late`` ones come last.
+
+    Old events arrive first, those of the last ``slack_days`` move the watermark, then the late ones come.
+    """
+    edge = events.agg(F.max("ts").alias("ts")).first()["ts"]
+    marked = events.withColumn("__late", late)
+    old = F.col("ts") < F.lit(edge).cast("timestamp_ntz") - F.make_dt_interval(F.lit(slack_days)) if edge else F.lit(True)
+    sent = arriving([marked.filter(~F.col("__late") & old), marked.filter(~F.col("__late") & ~old), marked.filter("__late")], lambda s: windowed(s, "tumbling"))
+    counted = sent.groupBy("start", "event_type").agg(F.max("n").alias("n"))
+    total = events.groupBy(F.date_trunc("day", "ts").cast("timestamp_ntz").alias("start"), "event_type").agg(F.count("*").alias("total"))
+    n = F.coalesce("n", F.lit(0))
+    return total.join(counted, ["start", "event_type"], "left").select("start", "event_type", n.alias("n"), (F.col("total") - n).alias("n_late"))
 
 
 def windowed(events: DataFrame, kind: str) -> DataFrame:

@@ -309,6 +309,11 @@ def op_arr_cosine(s, d):
     return _name_pairs(s, d).select("a", "b", F.round(C.cosine(F.col("sa"), F.col("sb")), 6).alias("d"))
 
 
+@query("op_arr_ngram", f"{_PAIRS} SELECT a, b, round({O.distance('ngram', 'sa', 'sb')}, 6) AS d FROM p")
+def op_arr_ngram(s, d):
+    return _name_pairs(s, d).select("a", "b", F.round(C.ngram(F.col("sa"), F.col("sb")), 6).alias("d"))
+
+
 @query("op_map_counts", "SELECT user_id, event_type, count(*) AS n FROM events GROUP BY ALL")
 def op_map_counts(s, d):
     """Counts gathered into a map a user, and listed again."""

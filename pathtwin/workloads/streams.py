@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from pyspark.sql import functions as F
+
+from pathtwin.sources.io import read_table
 from pathtwin.streaming import windows as S
 
 QUERIES: dict = {}
@@ -29,3 +32,18 @@ ORACLES["op_stream_dedup"] = "SELECT DISTINCT event_id, user_id FROM events"
 QUERIES["op_stream_state"] = lambda spark, sf_dir: S.drained(S.flow_state(_stream(spark, sf_dir)), "append")
 ORACLES["op_stream_state"] = "SELECT DISTINCT user_id, coalesce(lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id), 'entry') || '>' || event_type AS edge FROM events"
 QUERIES["flow_sessions_stream"] = lambda spark, sf_dir: S.drained(S.session_sets(_stream(spark, sf_dir)))
+
+
+def op_stream_late(spark, sf_dir):
+    """Every twentieth event, if ten days older than the newest, arrives after all others: dropped and counted."""
+    events = read_table(spark, sf_dir, "events")
+    newest = events.agg(F.max("ts").alias("ts")).first()["ts"]
+    old = F.col("ts") < F.lit(newest).cast("timestamp_ntz") - F.make_dt_interval(F.lit(10)) if newest else F.lit(False)
+    return S.late_counts(events, (F.col("event_id") % 20 == 0) & old)
+
+
+QUERIES["op_stream_late"] = op_stream_late
+ORACLES["op_stream_late"] = (
+    "WITH e AS (SELECT date_trunc('day', ts) AS start, event_type, event_id % 20 = 0 AND ts < (SELECT max(ts) FROM events) - INTERVAL 10 DAY AS late FROM events) "
+    "SELECT CAST(start AS TIMESTAMP) AS start, event_type, count(*) FILTER (NOT late) AS n, count(*) FILTER (late) AS n_late FROM e GROUP BY ALL"
+)
