@@ -67,7 +67,7 @@ def fingerprints(docs: DataFrame, size: int = 3) -> DataFrame:
             yield pd.DataFrame({"doc_id": b["doc_id"], "th": b["th"], "fp": fp})
 
     text = F.col("text").cast("string")
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.hash(text).alias("th"), text.alias("text")).mapInPandas(run, "doc_id long, th int, fp long")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text).alias("th"), text.alias("text")).mapInPandas(run, "doc_id long, th long, fp long")
 
 
 def _shared_bytes(a: Column, b: Column) -> Column:
@@ -94,15 +94,19 @@ def fingerprint_links(fps: DataFrame, long_list: int = LONG_LIST) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, long_list: int = LONG_LIST, size: int = 3) -> DataFrame:
-    """Rows ``doc_id, th, fp, fingerprint, component_id``; a group's id is its smallest doc_id."""
+    """Rows ``doc_id, th, fp, fingerprint, component, component_id``.
+
+    ``component`` is the smallest fingerprint of a group and is the group's own key; ``component_id`` is its smallest
+    doc_id, which groups share where ids are null or repeat.
+    """
     found = cut(fingerprints(docs, size))
     groups = found.groupBy("fp").agg(F.min("doc_id").alias("least"))
     groups = cut(groups)
     parts = connected_components(fingerprint_links(groups.select("fp"), long_list)).withColumnRenamed("node", "fp")
     groups = groups.join(parts, "fp", "left").withColumn("component", F.coalesce("component", "fp"))
     least = groups.groupBy("component").agg(F.min("least").alias("component_id"))
-    groups = groups.join(least, "component").select("fp", "component_id")
-    return found.join(groups, "fp").select("doc_id", "th", "fp", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    groups = groups.join(least, "component").select("fp", "component", "component_id")
+    return found.join(groups, "fp").select("doc_id", "th", "fp", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component", "component_id")
 
 
 def one_of_each(docs: DataFrame, long_list: int = LONG_LIST, size: int = 3) -> DataFrame:
@@ -110,9 +114,9 @@ def one_of_each(docs: DataFrame, long_list: int = LONG_LIST, size: int = 3) -> D
 
     A null id comes before all others. The verdicts are joined to the documents by id and text hash.
     """
-    nobody, text_hash = F.lit(-(2**63)), F.hash(F.col("text").cast("string"))
+    nobody, text_hash = F.lit(-(2**63)), F.xxhash64(F.col("text").cast("string"))
     keyed = docs.withColumns({"__k": F.coalesce(F.col("doc_id").cast("long"), nobody), "__th": text_hash})
     named = docs.select(F.coalesce(F.col("doc_id").cast("long"), nobody).alias("doc_id"), "text")
     found = near_duplicates(named, long_list, size)
-    kept = found.groupBy("component_id").agg(F.min(F.struct(F.col("doc_id").alias("__k"), F.col("th").alias("__th"))).alias("x")).select("x.*")
+    kept = found.groupBy("component").agg(F.min(F.struct(F.col("doc_id").alias("__k"), F.col("th").alias("__th"))).alias("x")).select("x.*")
     return keyed.join(kept, ["__k", "__th"], "left_semi").dropDuplicates(["__k", "__th"]).drop("__k", "__th")

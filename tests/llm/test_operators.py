@@ -123,6 +123,14 @@ def test_simhash(docs, long_list):
     assert sorted(r.doc_id for r in one if r.doc_id is not None) == sorted(set(group.values())) and len(one[0]) == len(docs.columns)
 
 
+def test_simhash_keeps_each_group(spark):
+    """Unrelated texts under null ids or one repeated id are groups of their own; copies under other ids are not."""
+    a, b, c, d = (" ".join(f"{x}{i * i}" for i in range(40)) for x in "abcd")
+    rows = [(None, a), (None, b), (None, b), (7, c), (7, d), (7, d), (8, c), (9, a)]
+    one = simhash.one_of_each(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect()
+    assert Counter((r.doc_id, r.text) for r in one) == Counter([(None, a), (None, b), (7, c), (7, d)])
+
+
 @pytest.mark.parametrize(("length", "hot"), [(40, 10**6), (40, 3), (25, 2)])
 def test_suffix_dedup(docs, length, hot):
     count = Counter(b[i : i + length] for _, t in _text(docs) for b in [(t or "").encode()] for i in range(len(b) - length + 1))
