@@ -32,9 +32,9 @@ def _fresh(doc: Column, n: int, kind: str) -> Column:
     return F.transform(F.sequence(F.lit(1), F.lit(n)), lambda i: F.concat_ws(" ", F.lit(kind), doc.cast("string"), i.cast("string")))
 
 
-def variants(docs: DataFrame, min_lines: int = 15, max_lines: int = 60) -> DataFrame:
+def variants(docs: DataFrame, min_lines: int = 15) -> DataFrame:
     """Rows ``origin_id, kind, s, v``: lines of the original and of the variant; ``ty2`` is kept in blind form."""
-    f = fragments(docs, "exact", min_lines).filter(F.col("n_lines") <= max_lines).select(F.col("fragment_id").alias("origin_id"), F.col("nodes").alias("s"))
+    f = fragments(docs, "exact", min_lines).select(F.col("fragment_id").alias("origin_id"), F.col("nodes").alias("s"))
     d, s = F.col("origin_id"), F.col("s")
     blind = F.transform(s, lambda x: abstract_line(x, "blind"))
     renamed = F.transform(s, lambda x: abstract_line(F.translate(x, "aeiou", "eioua"), "blind"))
