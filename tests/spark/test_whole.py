@@ -37,3 +37,18 @@ def test_variants_of_long_documents(spark, made):
     pairs = variants(spark.read.parquet(f"{at}/documents.parquet")).collect()
     want = {k: sum(round(1 - _common(r.s, r.v) / max(len(r.s), len(r.v)), 6) < 0.3 for r in pairs if r.kind == k) for k in KINDS}
     assert {r.kind: (r.n_pairs, r.n_found) for r in QUERIES["var_recall_lcs"](spark, at).collect()} == {k: (4, n) for k, n in want.items()}
+
+
+def test_one_method_for_each_id(spark, made):
+    from pathtwin.corpus.methods import FUNCTIONALITIES, KINDS, mutate, template
+    from pathtwin.workloads.methods import corpus
+
+    ids = [0, 43 * 5, 43 * 15, 43 * 25, 430, 10**12 + 7, 430, None]
+    at = made("documents", [(i,) for i in ids], "doc_id long")
+    got = {r.fragment_id: (r.functionality, r.kind, r.content) for r in corpus(spark, at).collect()}
+    seeds = set(ids) - {None}
+    kind = {i: KINDS[i // FUNCTIONALITIES % len(KINDS)] for i in seeds}
+    assert got == {i: (i % FUNCTIONALITIES, kind[i], mutate(template(i % FUNCTIONALITIES), kind[i], i)) for i in seeds}
+    assert len({got[i][2] for i in (43 * 5, 43 * 15, 43 * 25)}) == 3
+    y = QUERIES["java_yield"](spark, at).first()
+    assert (y.n_files, y.n_parsed) == (6, 6)
