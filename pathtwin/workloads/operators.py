@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Window
 from pyspark.sql import functions as F
@@ -18,6 +19,8 @@ from pathtwin.workloads.documents import _docs
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
+#: Queries and vectors that a task of ``op_vec_cosine`` compares, about.
+VEC_BLOCK = (512, 4096)
 
 
 def query(name: str, sql: str | None = None):
@@ -358,13 +361,38 @@ def op_recursive_paths(s, d):
 
 @query("op_vec_cosine", "SELECT a.vec_id AS q, b.vec_id AS v, round(list_cosine_similarity(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 6) AS cos FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id < b.vec_id WHERE a.vec_id % 50 = 0")
 def op_vec_cosine(s, d):
-    """A stated query set (ids divisible by 50) against all vectors of the same label."""
-    e = _t("embeddings")(s, d).select("vec_id", "label", F.col("embedding").cast("array<double>").alias("e"))
-    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p * q), F.lit(0.0), lambda t, z: t + z)
-    a, b = e.filter("vec_id % 50 = 0").alias("a"), e.alias("b")
-    j = a.join(b, (F.col("a.label") == F.col("b.label")) & (F.col("a.vec_id") < F.col("b.vec_id")))
-    x, y = F.col("a.e"), F.col("b.e")
-    return j.select(F.col("a.vec_id").alias("q"), F.col("b.vec_id").alias("v"), F.round(dot(x, y) / F.sqrt(dot(x, x) * dot(y, y)), 6).alias("cos"))
+    """A stated query set (ids divisible by 50) against every other vector, block by block.
+
+    Vectors that are null, hold a null, are of length zero or of another dimension have a null cosine.
+    """
+    e = _t("embeddings")(s, d).select("vec_id", F.col("embedding").cast("array<double>").alias("e"))
+    n = e.count()
+    n_q, n_v = n // (50 * VEC_BLOCK[0]) + 1, n // VEC_BLOCK[1] + 1
+    deal = lambda k: F.pmod(F.xxhash64("vec_id", "e"), F.lit(k)).cast("int")
+    every = lambda k: F.explode(F.sequence(F.lit(0), F.lit(k - 1)))
+    a = e.filter("vec_id % 50 = 0").select("vec_id", "e", deal(n_q).alias("q_block"), every(n_v).alias("v_block"))
+    b = e.select(F.coalesce("vec_id", F.lit(0)).alias("vec_id"), F.isnull("vec_id").alias("unnamed"), "e", every(n_q).alias("q_block"), deal(n_v).alias("v_block"))
+
+    def by_dim(g: pd.DataFrame) -> dict:
+        """Row numbers and unit vectors of each dimension; rows without a direction are under ``None``."""
+        rows: dict = {}
+        for i, x in enumerate(g["e"]):
+            x = None if x is None else np.asarray(x, float)
+            good = x is not None and len(x) and np.isfinite(x).all() and x.any()
+            rows.setdefault(len(x) if good else None, []).append((i, x))
+        return {k: (np.array([i for i, _ in r]), None if k is None else np.stack([x / np.linalg.norm(x) for _, x in r])) for k, r in rows.items()}
+
+    def run(q: pd.DataFrame, v: pd.DataFrame) -> pd.DataFrame:
+        cos = np.full((len(q), len(v)), np.nan)
+        of_v = by_dim(v)
+        for k, (i, x) in by_dim(q).items():
+            if k is not None and k in of_v:
+                cos[np.ix_(i, of_v[k][0])] = x @ of_v[k][1].T
+        ids = pd.arrays.IntegerArray(np.tile(v["vec_id"].to_numpy("int64"), len(q)), np.tile(v["unnamed"].to_numpy(bool), len(q)))
+        return pd.DataFrame({"q": np.repeat(q["vec_id"].to_numpy("int64"), len(v)), "v": ids, "cos": cos.ravel()})
+
+    pairs = a.groupBy("q_block", "v_block").cogroup(b.groupBy("q_block", "v_block")).applyInPandas(run, "q long, v long, cos double")
+    return pairs.filter(~F.col("q").eqNullSafe(F.col("v"))).select("q", "v", F.round("cos", 6).alias("cos"))
 
 
 @query("op_udf_scalar", f"{_PAIRS} SELECT a, b, levenshtein(a, b) / greatest(len(a), len(b)) < 0.5 AS near FROM p")

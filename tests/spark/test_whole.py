@@ -1,5 +1,8 @@
 """Queries do their whole job: small tables made here, held against plain Python."""
 
+import math
+import random
+
 import pytest
 
 from pathtwin.workloads import QUERIES
@@ -52,3 +55,26 @@ def test_one_method_for_each_id(spark, made):
     assert len({got[i][2] for i in (43 * 5, 43 * 15, 43 * 25)}) == 3
     y = QUERIES["java_yield"](spark, at).first()
     assert (y.n_files, y.n_parsed) == (6, 6)
+
+
+@pytest.mark.parametrize("block", [(512, 4096), (1, 7)])
+def test_cosine_of_every_other_vector(spark, made, monkeypatch, block):
+    from pathtwin.workloads import operators
+
+    monkeypatch.setattr(operators, "VEC_BLOCK", block, raising=False)
+    rng = random.Random(3)
+    rows = [(i, [rng.gauss(0, 1) for _ in range(8)], i % 3 if i % 7 else None) for i in range(120)]
+    rows += [(None, rows[5][1], 1), (200, [0.0] * 8, 0), (201, None, 0), (202, [1.0] * 5, 0), (203, [1.0, None] * 4, 0), (2**60 + 1, rows[9][1], None), (7, rows[8][1], 2)]
+    at = made("embeddings", rows, "vec_id long, embedding array<float>, label int")
+    flat = [(i, v) for i, v, _ in ((r.vec_id, r.embedding, r.label) for r in spark.read.parquet(f"{at}/embeddings.parquet").collect())]
+
+    def cos(x, y):
+        if x is None or y is None or len(x) != len(y) or None in x or None in y or not any(x) or not any(y):
+            return None
+        return sum(p * q for p, q in zip(x, y, strict=True)) / math.sqrt(sum(p * p for p in x) * sum(q * q for q in y))
+
+    key = lambda r: (r[0], r[1] is None, r[1] or 0, r[2] is None, r[2] or 0)
+    want = sorted(((i, j, cos(x, y)) for i, x in flat if i is not None and i % 50 == 0 for j, y in flat if i != j), key=key)
+    got = sorted((tuple(r) for r in QUERIES["op_vec_cosine"](spark, at).collect()), key=key)
+    assert [r[:2] for r in got] == [r[:2] for r in want]
+    assert all((g is None) == (w is None) and (g is None or abs(g - w) < 1e-6) for (_, _, g), (_, _, w) in zip(got, want, strict=True))
