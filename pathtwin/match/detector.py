@@ -22,20 +22,28 @@ def compare(pairs: DataFrame, sets: DataFrame, cfg: DetectorConfig, cutoff: floa
     return joined.select("left_id", "right_id", F.round(set_distance_udf(cfg, cutoff)("pa", "pb"), 6).alias("distance"), relation.alias("relation"))
 
 
-def detect(paths: DataFrame, cfg: DetectorConfig | None = None) -> DataFrame:
-    """Rows ``left_id, right_id, distance, relation, via`` of clone pairs, ``left_id < right_id``.
+def detect_classes(paths: DataFrame, cfg: DetectorConfig) -> tuple[DataFrame, DataFrame | None]:
+    """Clone pairs of representatives ``left_id, right_id, distance, relation``, and the members ``fragment_id, rep_id, class_size``.
 
-    Fragments with equal sets are matched once. Every distance is of whole sets, so far paths keep their
-    true distance; candidates only say which pairs are worth it.
+    With ``copy='off'`` every fragment stands for itself and there are no members.
     """
-    cfg = cfg or DetectorConfig()
     encoded = S.encoded_paths(paths.filter(F.col("n_lines") >= cfg.min_lines), cfg.encoding, cfg.merge)
     sets = S.description_sets(encoded)
     members = None
     if cfg.copy != "off":
         sets, members = S.collapse(sets)
         encoded = encoded.join(sets.select("fragment_id"), "fragment_id", "left_semi")
-    pairs = compare(C.candidates(encoded, sets, cfg), sets, cfg, cfg.tau).filter(F.col("distance") < F.lit(cfg.tau))
+    return compare(C.candidates(encoded, sets, cfg), sets, cfg, cfg.tau).filter(F.col("distance") < F.lit(cfg.tau)), members
+
+
+def detect(paths: DataFrame, cfg: DetectorConfig | None = None) -> DataFrame:
+    """Rows ``left_id, right_id, distance, relation, via`` of clone pairs, ``left_id < right_id``.
+
+    Fragments with equal sets are matched once. Every distance is of whole sets, so far paths keep their
+    true distance; candidates only say which pairs are worth it.
+    """
+    cfg = cfg or DetectorConfig()
+    pairs, members = detect_classes(paths, cfg)
     if members is None or cfg.copy == "lossy":
         return pairs.withColumn("via", F.lit("compared"))
     return S.expand(pairs, members)

@@ -9,7 +9,7 @@ from pathtwin.config import DetectorConfig
 from pathtwin.flow.dominators import dominator_paths, idom_bulk, idom_local
 from pathtwin.frontends import event_flow as E
 from pathtwin.frontends import tables as T
-from pathtwin.match.detector import detect, groups
+from pathtwin.match.detector import detect, detect_classes, groups
 from pathtwin.sources.io import read_table
 from pathtwin.sql import oracles as O
 
@@ -114,20 +114,29 @@ ORACLES["order_seq_classes"] = (
 
 
 def order_seq_clones(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Similar classes of order sequences of at least six lines, distances between representatives."""
+    """Similar order sequences of any length, at a distance under 0.2.
+
+    Rows ``pair``: representatives of two classes of equal sequences and their distance. Rows ``member``, one an order: its
+    class's representative and the order, at distance zero. Together they hold every pair of similar orders.
+    """
     paths = T.order_paths(read_table(spark, sf_dir, "lineitem"))
-    cfg = DetectorConfig(metric="lcs", encoding="md5", min_lines=6, tau=0.2, copy="lossy")
-    return detect(paths, cfg).select("left_id", "right_id", "distance")
+    pairs, members = detect_classes(paths, DetectorConfig(metric="lcs", encoding="md5", min_lines=1, tau=0.2))
+    pairs = pairs.select(F.lit("pair").alias("row"), "left_id", "right_id", "distance")
+    return pairs.unionByName(members.select(F.lit("member").alias("row"), F.col("rep_id").alias("left_id"), F.col("fragment_id").alias("right_id"), F.lit(0.0).alias("distance")))
 
 
 QUERIES["order_seq_clones"] = order_seq_clones
 
 
 def order_fast_vs_default(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Pairs of order classes that Hamming and plain LCS report."""
+    """Pairs of orders of any length under distance 0.2 that Hamming and plain LCS report: classes weighted by their sizes, and pairs inside a class."""
     paths, out = T.order_paths(read_table(spark, sf_dir, "lineitem")), None
     for name, metric in (("fast", "hamming"), ("lcs", "lcs")):
-        found = detect(paths, DetectorConfig(metric=metric, encoding="md5", min_lines=7, tau=0.2, copy="lossy")).agg(F.count("*").alias("n_pairs")).withColumn("setup", F.lit(name))
+        pairs, members = detect_classes(paths, DetectorConfig(metric=metric, encoding="md5", min_lines=1, tau=0.2))
+        size = members.filter("fragment_id = rep_id").select("rep_id", F.col("class_size").alias("n"))
+        across = pairs.join(size.toDF("left_id", "na"), "left_id").join(size.toDF("right_id", "nb"), "right_id").select((F.col("na") * F.col("nb")).alias("n"))
+        inside = size.select(F.expr("n * (n - 1) div 2").alias("n"))
+        found = across.unionByName(inside).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n_pairs")).withColumn("setup", F.lit(name))
         out = found if out is None else out.unionByName(found)
     return out.select("setup", "n_pairs")
 

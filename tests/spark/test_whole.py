@@ -78,3 +78,29 @@ def test_cosine_of_every_other_vector(spark, made, monkeypatch, block):
     got = sorted((tuple(r) for r in QUERIES["op_vec_cosine"](spark, at).collect()), key=key)
     assert [r[:2] for r in got] == [r[:2] for r in want]
     assert all((g is None) == (w is None) and (g is None or abs(g - w) < 1e-6) for (_, _, g), (_, _, w) in zip(got, want, strict=True))
+
+
+def test_orders_of_all_lengths_and_classes(spark, made):
+    rng = random.Random(5)
+    base = [[rng.choice([("A", "F", 5.0), ("N", "O", 20.0), ("R", "F", 40.0)]) for _ in range(n)] for n in (1, 2, 3, 5, 6, 7, 8, 10, 12)]
+    seqs = base + base + base[:4] + [s[:-1] for s in base[4:]] + [[*s[:3], ("N", "F", 5.0), *s[4:]] for s in base[4:]] + [s[1:] for s in base[5:]]
+    rows = [(k, i, 1, 1, i, 1.0, f, st, q) for k, s in enumerate(seqs) for i, (f, st, q) in enumerate(s)]
+    at = made("lineitem", rows, "l_orderkey long, l_linenumber int, l_partkey long, l_suppkey long, l_shipdate int, l_extendedprice double, l_returnflag string, l_linestatus string, l_quantity double")
+
+    def near(metric):
+        far = {"lcs": lambda a, b: max(len(a), len(b)) - _common(a, b), "hamming": lambda a, b: sum(x != y for x, y in zip(a, b, strict=False)) + abs(len(a) - len(b))}[metric]
+        d = {(i, j): far(seqs[i], seqs[j]) / max(len(seqs[i]), len(seqs[j])) for i in range(len(seqs)) for j in range(i + 1, len(seqs))}
+        return {k: round(x, 6) for k, x in d.items() if round(x, 6) < 0.2}
+
+    found = QUERIES["order_seq_clones"](spark, at).collect()
+    rep = {r.right_id: r.left_id for r in found if r.row == "member"}
+    assert rep == {i: seqs.index(s) for i, s in enumerate(seqs)}
+    linked = {(r.left_id, r.right_id): r.distance for r in found if r.row == "pair"}
+    whole = {}
+    for i in rep:
+        for j in range(i + 1, len(seqs)):
+            k = tuple(sorted((rep[i], rep[j])))
+            if k[0] == k[1] or k in linked:
+                whole[i, j] = linked.get(k, 0.0)
+    assert whole == near("lcs") and len(whole) > len(linked) > 0
+    assert {r.setup: r.n_pairs for r in QUERIES["order_fast_vs_default"](spark, at).collect()} == {"fast": len(near("hamming")), "lcs": len(near("lcs"))}
