@@ -165,11 +165,14 @@ ORACLES["clone_report_by_nation"] = (
 
 
 def word_near_copies(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Near copies by words: bags propose, the longest common subsequence of words decides."""
+    """Near copies by words, at the default threshold and of any length: bags propose, the longest common subsequence of words decides.
+
+    Documents without a word are copies of each other.
+    """
     from pathtwin.frontends.text_lines import word_paths
 
     docs = read_table(spark, sf_dir, "documents", "doc_id", "text")
-    return detect(word_paths(docs), DetectorConfig(metric="lcs", encoding="none", min_lines=40, tau=0.1)).select("left_id", "right_id", "distance")
+    return detect(word_paths(docs), DetectorConfig(metric="lcs", encoding="none", min_lines=0)).select("left_id", "right_id", "distance")
 
 
 QUERIES["word_near_copies"] = word_near_copies

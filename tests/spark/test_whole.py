@@ -104,3 +104,21 @@ def test_orders_of_all_lengths_and_classes(spark, made):
                 whole[i, j] = linked.get(k, 0.0)
     assert whole == near("lcs") and len(whole) > len(linked) > 0
     assert {r.setup: r.n_pairs for r in QUERIES["order_fast_vs_default"](spark, at).collect()} == {"fast": len(near("hamming")), "lcs": len(near("lcs"))}
+
+
+def test_word_copies_of_all_lengths(spark, made):
+    rng = random.Random(11)
+    texts = [" ".join(f"w{rng.randrange(60)}" for _ in range(n)) for n in (1, 2, 4, 9, 20, 39, 40, 90, 200)]
+    edited = [" ".join(w for i, w in enumerate(t.split()) if i % k) for t in texts[3:] for k in (5, 8, 12)]
+    texts = [*texts, *texts[:6], *edited, "", None, "...", texts[4].upper() + "!"]
+    at = made("documents", list(enumerate(texts)), "doc_id long, text string")
+    words = [[w.strip("!.") for w in (t or "").lower().split() if w.strip("!.")] for t in texts]
+    want = {}
+    for i, a in enumerate(words):
+        for j in range(i + 1, len(words)):
+            longer = max(len(a), len(words[j]))
+            d = round(1 - _common(a, words[j]) / longer, 6) if longer else 0.0
+            if d < 0.3:
+                want[i, j] = d
+    assert {(r.left_id, r.right_id): r.distance for r in QUERIES["word_near_copies"](spark, at).collect()} == want
+    assert any(0.1 < d < 0.3 for d in want.values())
