@@ -122,3 +122,19 @@ def test_word_copies_of_all_lengths(spark, made):
                 want[i, j] = d
     assert {(r.left_id, r.right_id): r.distance for r in QUERIES["word_near_copies"](spark, at).collect()} == want
     assert any(0.1 < d < 0.3 for d in want.values())
+
+
+def test_rounds_go_on_to_the_end(spark):
+    from pathtwin.flow.dominators import idom_bulk
+    from pathtwin.flow.exceptions import propagate
+
+    names = ["entry", *(f"n{i:02d}" for i in range(6))]
+    chain = spark.createDataFrame([(1, a, b) for a, b in zip(names, names[1:], strict=False)], "fragment_id long, src string, dst string")
+    assert {r.node_id: r.idom for r in idom_bulk(chain).collect()} == dict(zip(names[1:], names, strict=False))
+    with pytest.raises(RuntimeError):
+        idom_bulk(chain, max_rounds=3)
+    calls = spark.createDataFrame([(f"f{i}", f"f{i + 1}") for i in range(5)], "caller string, callee string")
+    facts, none = spark.createDataFrame([("f5", "io")], "fn string, exc string"), spark.createDataFrame([], "fn string, exc string")
+    assert {r.fn for r in propagate(calls, facts, none).collect()} == {f"f{i}" for i in range(6)}
+    with pytest.raises(RuntimeError):
+        propagate(calls, facts, none, max_rounds=3)
