@@ -1,8 +1,8 @@
 """Byte-level BPE by a monoid tree reduction.
 
 An encoding of a byte string is an element of a monoid: the product of two encodings is the encoding
-of the joined bytes. A string is encoded by halves; two neighbours are joined by looking only at the
-boundary. A token sequence is the encoding of its bytes exactly if every adjacent pair of tokens is
+of the joined bytes. A string is encoded by halves, down to single bytes; two neighbours are joined by
+looking only at the boundary. A token sequence is the encoding of its bytes exactly if every adjacent pair of tokens is
 the encoding of that pair's bytes, so a join is final as soon as the pairs at both rims of the
 re-encoded boundary window are stable; until then the window grows. Decoding is the plain product of
 token bytes up the same tree.
@@ -18,13 +18,13 @@ import base64
 import hashlib
 from collections.abc import Iterator
 
-import pandas as pd
+import numpy as np
 import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-#: Strings up to this many bytes are leaves of the tree.
-LEAF = 24
+from pathtwin.llm.common import map_slices
+
 #: Distinct pre-tokens held at once by a task; the table is emptied beyond it.
 HELD = 400_000
 
@@ -40,10 +40,10 @@ class MonoidBpe:
     def __init__(self, ranks: dict[bytes, int]):
         self.ranks = ranks
         self.bytes_of = {r: t for t, r in ranks.items()}
-        self._stable: dict[tuple[int, int], bool] = {}
+        self._pairs: dict[tuple[int, int], list[int]] = {}
 
-    def leaf(self, b: bytes) -> list[int]:
-        """Merges the lowest-ranked neighbours until none is left."""
+    def merged(self, b: bytes) -> list[int]:
+        """Encoding of a boundary window: merges the lowest-ranked neighbours until none is left."""
         if (whole := self.ranks.get(b)) is not None:
             return [whole]
         get, none = self.ranks.get, 1 << 60
@@ -59,36 +59,42 @@ class MonoidBpe:
                 found[i - 1] = get(parts[i - 1] + parts[i], none)
         return [self.ranks[p] for p in parts]
 
-    def stable(self, x: int, y: int) -> bool:
-        if (known := self._stable.get((x, y))) is None:
-            if len(self._stable) > HELD:
-                self._stable.clear()
-            known = self._stable[x, y] = self.leaf(self.bytes_of[x] + self.bytes_of[y]) == [x, y]
+    def pair(self, x: int, y: int) -> list[int]:
+        """Encoding of the bytes of two tokens; the pair is stable if it is the two tokens again."""
+        if (known := self._pairs.get((x, y))) is None:
+            if len(self._pairs) > HELD:
+                self._pairs.clear()
+            known = self._pairs[x, y] = self.merged(self.bytes_of[x] + self.bytes_of[y])
         return known
 
+    def stable(self, x: int, y: int) -> bool:
+        return self.pair(x, y) == [x, y]
+
     def join(self, a: list[int], b: list[int]) -> list[int]:
-        """Product of two encodings."""
-        if not a or not b or self.stable(a[-1], b[0]):
+        """Product of two encodings. The window doubles until its rims are stable, or it is everything."""
+        if not a or not b:
+            return a + b
+        window, width = self.pair(a[-1], b[0]), 1
+        if window == [a[-1], b[0]]:
             return a + b
-        width = 1
         while True:
             i, j = max(0, len(a) - width), min(len(b), width)
-            window = self.leaf(b"".join(self.bytes_of[t] for t in a[i:] + b[:j]))
-            left_final = i == 0 or self.stable(a[i - 1], window[0])
-            right_final = j == len(b) or self.stable(window[-1], b[j])
-            if left_final and right_final:
+            if (i == 0 or self.stable(a[i - 1], window[0])) and (j == len(b) or self.stable(window[-1], b[j])):
                 return a[:i] + window + b[j:]
             width *= 2
+            window = self.merged(b"".join(self.bytes_of[t] for t in a[-width:] + b[:width]))
 
     def encode(self, b: bytes) -> list[int]:
-        if not b:
-            return []
-        if len(b) <= LEAF or b in self.ranks:
-            return self.leaf(b)
-        level = [self.leaf(b[i : i + LEAF]) for i in range(0, len(b), LEAF)]
-        while len(level) > 1:
-            level = [self.join(level[i], level[i + 1]) if i + 1 < len(level) else level[i] for i in range(0, len(level), 2)]
-        return level[0]
+        """A string that is a token is that token; all others are products of their halves."""
+        if (whole := self.ranks.get(b)) is not None:
+            return [whole]
+        return self._product(b, 0, len(b)) if b else []
+
+    def _product(self, b: bytes, lo: int, hi: int) -> list[int]:
+        if hi - lo == 1:
+            return [self.ranks[b[lo:hi]]]
+        mid = (lo + hi) // 2
+        return self.join(self._product(b, lo, mid), self._product(b, mid, hi))
 
     def decode(self, ids: list[int]) -> bytes:
         return b"".join(map(self.bytes_of.__getitem__, ids))
@@ -151,20 +157,23 @@ def encode_documents(docs: DataFrame, ranks_path: str, pattern: str, ids: bool =
     """
     columns = "doc_id long, " + "ids array<int>, " * ids + "n_tokens long, ids_sha256 string, decoded_sha256 string"
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def run(parts: Iterator[dict]) -> Iterator[dict]:
         from pathtwin.llm.byte_bpe import codec_of
 
         codec = codec_of(ranks_path, pattern)
-        for batch in batches:
-            rows = []
-            for doc, text in zip(batch["doc_id"], batch["text"], strict=True):
+        for p in parts:
+            out: dict[str, list] = {"doc_id": p["doc_id"], "ids": [], "n_tokens": [], "ids_sha256": [], "decoded_sha256": []}
+            for text in p["text"]:
                 pieces = codec.pieces(text or "")
                 joined = " ".join(pieces)
-                raw = codec.decoded(pieces)
-                row = [doc, joined.count(" ") + 1 if joined else 0, hashlib.sha256(joined.encode()).hexdigest(), hashlib.sha256(raw).hexdigest()]
+                out["n_tokens"].append(joined.count(" ") + 1 if joined else 0)
+                out["ids_sha256"].append(hashlib.sha256(joined.encode()).hexdigest())
+                out["decoded_sha256"].append(hashlib.sha256(codec.decoded(pieces)).hexdigest())
                 if ids:
-                    row.insert(1, [int(t) for t in joined.split()])
-                rows.append(row)
-            yield pd.DataFrame(rows, columns=[c.split()[0] for c in columns.split(", ")])
+                    out["ids"].append(np.array(joined.split(), np.int32))
+            if not ids:
+                del out["ids"]
+            yield out
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(run, columns)
+    named = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return map_slices(named, run, columns)
