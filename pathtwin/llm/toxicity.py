@@ -18,20 +18,22 @@ from __future__ import annotations
 import math
 import re
 from collections import defaultdict
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pathtwin.llm.common import fold
+from pathtwin.llm.common import column_of, fold, map_slices
 from pathtwin.llm.rule_ensemble import labelled_sample
 
 #: Labelled rows that the lexicon is learned on, the least by hash of the id.
 SAMPLE = 9_000
 #: Entries of the lexicon, the strongest first.
 LEXICON = 4_000
+#: Positive rows, near copies aside, that a lexicon entry needs.
+VOTES = 4
 #: Decoded spans that a worker remembers.
 HELD = 50_000
 #: Lengths of word beginnings that may enter the lexicon.
@@ -81,12 +83,13 @@ def char_counts(texts: Iterator[str]) -> np.ndarray:
 def corpus_char_counts(docs: DataFrame) -> np.ndarray:
     """Trigram counts over all texts: each task adds up its own table, tables are summed by shuffle."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        total = sum((char_counts(t for t in b["text"] if t) for b in batches), np.zeros(BASE**3, np.int64))
+    def run(parts: Iterator[dict]) -> Iterator[dict]:
+        total = sum((char_counts(t for t in p["text"] if t) for p in parts), np.zeros(BASE**3, np.int64))
         at = np.flatnonzero(total)
-        yield pd.DataFrame({"gram": at, "n": total[at]})
+        yield {"gram": at, "n": total[at]}
 
-    summed = docs.select(F.col("text").cast("string").alias("text")).mapInPandas(run, "gram int, n long").groupBy("gram").agg(F.sum("n").alias("n")).toPandas()
+    counted = map_slices(docs.select(F.col("text").cast("string").alias("text")), run, "gram int, n long")
+    summed = counted.groupBy("gram").agg(F.sum("n").alias("n")).toPandas()
     out = np.zeros(BASE**3, np.int64)
     out[summed["gram"].to_numpy(np.int64)] = summed["n"].to_numpy(np.int64)
     return out
@@ -125,57 +128,58 @@ def disguised(text: str) -> list[tuple[int, int]]:
     return list(zip(cuts[::2], cuts[1::2], strict=True))
 
 
-def decode(span: str, model: CharModel) -> str:
-    """Likeliest plain text of a disguised span: words of a..z parted by blanks; other letters stay breaks."""
-    s, log = span.lower(), model.log
-    best: list[dict] = [defaultdict(lambda: (-math.inf, None)) for _ in range(len(s) + 1)]
-    best[0][0, 0] = (0.0, None)
-
-    def step(i: int, j: int, out: tuple[int, ...], cost: float) -> None:
-        for state, (score, _) in list(best[i].items()):
-            a, c, total = *state, score - cost
-            for x in out:
-                if x == 0 and c == 0:
-                    continue
-                total += log[a][c][x]
-                a, c = c, x
-            if total > best[j][a, c][0]:
-                best[j][a, c] = (total, (i, state, out))
-
-    i = 0
+def lattice(span: str) -> Iterator[tuple[int, int, tuple[int, ...], float]]:
+    """Edges ``i, j, out, cost`` of a span: its characters ``i..j`` may stand for ``out``, letters 1..26 or the break 0."""
+    s, i = span.lower(), 0
     while i < len(s):
-        ch = s[i]
-        j = i + 1
+        ch, j = s[i], i + 1
         while j < len(s) and s[j] == ch:
             j += 1
         if "a" <= ch <= "z":
             x = ord(ch) - 96
             if j - i == 1:
-                step(i, j, (x,), 0.0)
+                yield i, j, (x,), 0.0
             else:
-                step(i, j, (x,), 2.0 if j - i == 2 else 0.3)
-                step(i, j, (x, x), 0.0 if j - i == 2 else 0.3)
+                yield i, j, (x,), 2.0 if j - i == 2 else 0.3
+                yield i, j, (x, x), 0.0 if j - i == 2 else 0.3
         else:
             likes = LOOKS_LIKE.get(ch, "")
             for y in likes:
-                step(i, j, (ord(y) - 96,), 0.5 + 0.4 * (len(likes) > 2))
+                yield i, j, (ord(y) - 96,), 0.5 + 0.4 * (len(likes) > 2)
                 if j - i > 1:
-                    step(i, j, (ord(y) - 96,) * 2, 1.0)
+                    yield i, j, (ord(y) - 96,) * 2, 1.0
             if ch in SEPARATORS:
-                step(i, j, (), 0.2)
-            step(i, j, (0,), 1.5 if ch in SEPARATORS else 9.0)
-        for k in range(i + 1, j):
-            best[k].clear()
+                yield i, j, (), 0.2
+            yield i, j, (0,), 1.5 if ch in SEPARATORS else 9.0
         i = j
-    for state in list(best[-1]):
-        score, back = best[-1][state]
-        best[-1][state] = (score + (log[state[0]][state[1]][0] if state[1] else 0.0), back)
-    state = max(best[-1], key=lambda k: best[-1][k][0])
-    at, out = len(s), []
+
+
+def decode(span: str, model: CharModel) -> str:
+    """Likeliest plain text of a disguised span: words of a..z parted by blanks; other letters stay breaks.
+
+    A Viterbi search over the lattice whose states are the last two letters; breaks in a row are one.
+    """
+    log, n = model.log, len(span.lower())
+    best: dict[int, dict] = defaultdict(dict)
+    best[0][0, 0] = (0.0, None)
+    for i, j, out, cost in lattice(span):
+        ahead = best[j]
+        for state, (score, _) in best[i].items():
+            a, c, total = *state, score - cost
+            for x in out:
+                if x == 0 and c == 0:
+                    continue
+                total += log[a][c][x]
+                a, c = c, x
+            if (a, c) not in ahead or total > ahead[a, c][0]:
+                ahead[a, c] = (total, (i, state, out))
+    ends = {state: score + (log[state[0]][state[1]][0] if state[1] else 0.0) for state, (score, _) in best[n].items()}
+    state = max(ends, key=ends.__getitem__)
+    at, made = n, []
     while (back := best[at][state][1]) is not None:
-        at, state, made = back
-        out.append(made)
-    return "".join(" " if x == 0 else chr(96 + x) for made in reversed(out) for x in made).strip()
+        at, state, out = back
+        made.append(out)
+    return "".join(" " if x == 0 else chr(96 + x) for out in reversed(made) for x in out).strip()
 
 
 class Restorer:
@@ -222,32 +226,58 @@ def evidence(words: set[str], lexicon: dict[str, float]) -> tuple[float, float]:
     return max(hits), math.log1p(sum(hits) - max(hits))
 
 
-def learn(rows: Iterator[tuple[set[str], int]]) -> tuple[dict[str, float], np.ndarray]:
-    """Lexicon and the three logistic weights. Words are kept once, documents as arrays of word numbers."""
+def _terms(words: set[str]) -> Iterator[tuple[str, ...]]:
+    """Each word with its beginnings."""
+    for w in words:
+        yield (w, *(w[:n] + "-" for n in BEGINNINGS if len(w) > n))
+
+
+def learn(rows: Iterable[tuple[set[str], int]]) -> tuple[dict[str, float], np.ndarray]:
+    """Lexicon and the three logistic weights. Rows of the positive label come first.
+
+    Only words of positive rows can enter the lexicon, so of the others those alone are kept, as numbers.
+    """
     number: dict[str, int] = {}
-    docs, pairs, families = [], [], {}
+    docs: list[tuple[np.ndarray, np.ndarray, int]] = []
+    families: dict[tuple[int, int], np.ndarray] = {}
+    known = None
     for words, label in rows:
         y = int(bool(label))
-        family = families.setdefault((min(map(hash_word, words), default=0), y), len(families))
-        own = [number.setdefault(w, len(number)) for w in words]
-        heads = {w[:n] + "-" for w in words for n in BEGINNINGS if len(w) > n}
-        all_ids = own + [number.setdefault(w, len(number)) for w in heads]
-        docs.append((np.array(own, np.int32), y))
-        pairs.append((np.array(all_ids, np.int64) << 32) | family)
-    side = np.array([y for _, y in families], np.int64)
-    totals = np.bincount(side, minlength=2)
+        if not y and known is None:
+            votes = np.zeros(len(number), np.int64)
+            for (_, side), ids in families.items():
+                votes[ids] += side
+            known = {w: i for w, i in number.items() if votes[i] >= VOTES}
+            number = known
+        if y and known is not None:
+            raise ValueError("rows of the positive label must come first")
+        groups = ([number.setdefault(t, len(number)) for t in terms] if y else [number[t] for t in terms if t in number] for terms in _terms(words))
+        groups = [g for g in groups if g]
+        ids = np.array([i for g in groups for i in g], np.int32)
+        first = np.cumsum([0, *map(len, groups)])[:-1].astype(np.int32)
+        family = (min(map(hash_word, words), default=0), y)
+        families[family] = np.unique(np.concatenate([families[family], ids])) if family in families else np.unique(ids)
+        docs.append((ids, first, y))
+    totals = np.bincount([y for _, y in families], minlength=2)
     if not totals.all():
         share = (totals[1] + 0.5) / (totals.sum() + 1)
         return {}, np.array([math.log(share / (1 - share)), 0.0, 0.0])
-    votes = np.unique(np.concatenate(pairs))
-    pairs.clear()
-    clean, toxic = (np.bincount(votes[side[votes & 0xFFFFFFFF] == y] >> 32, minlength=len(number)) for y in (0, 1))
-    ratio = np.log((toxic + 0.5) / (totals[1] + 1)) - np.log((clean + 0.5) / (totals[0] + 1))
-    names = list(number)
-    chosen = np.flatnonzero((toxic >= 4) & (toxic >= 0.004 * totals[1]) & (ratio > 2.5))
-    lexicon = dict(sorted(((names[i], float(ratio[i])) for i in chosen), key=lambda x: (-x[1], x[0]))[:LEXICON])
-    x = np.array([[1.0, *evidence(words, lexicon)] for words in ({names[i] for i in own.tolist()} for own, _ in docs)])
-    y = np.array([float(v) for _, v in docs])
+    size = 1 + max(number.values(), default=0)
+    size = max(size, 1 + max((int(ids.max()) for ids, _, _ in docs if len(ids)), default=0))
+    count = np.zeros((2, size), np.int64)
+    for (_, y), ids in families.items():
+        count[y][ids] += 1
+    ratio = np.log((count[1] + 0.5) / (totals[1] + 1)) - np.log((count[0] + 0.5) / (totals[0] + 1))
+    chosen = (count[1] >= VOTES) & (count[1] >= 0.004 * totals[1]) & (ratio > 2.5)
+    strongest = sorted(((w, float(ratio[i])) for w, i in number.items() if chosen[i]), key=lambda x: (-x[1], x[0]))[:LEXICON]
+    lexicon, weight = dict(strongest), np.zeros(size)
+    for w, value in strongest:
+        weight[number[w]] = value
+    x = np.ones((len(docs), 3))
+    for k, (ids, first, _) in enumerate(docs):
+        hits = np.maximum.reduceat(weight[ids], first) if len(ids) else np.zeros(1)
+        x[k, 1:] = hits.max(), math.log1p(hits.sum() - hits.max())
+    y = np.array([float(v) for _, _, v in docs])
     w = np.zeros(3)
     for _ in range(50):
         p = 1 / (1 + np.exp(-x @ w))
@@ -270,25 +300,26 @@ def toxicity_scores(docs: DataFrame, labels: DataFrame, folds: int = 5, held_out
     d = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     counts = corpus_char_counts(d)
 
-    def fit(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def fit(parts: Iterator[dict]) -> Iterator[dict]:
         restorer = Restorer(counts)
-        lexicon, w = learn((restorer.words(t or ""), y) for b in batches for t, y in zip(b["text"], b["y"], strict=True))
-        yield pd.DataFrame({"word": [*lexicon, *("", " ", "  ")], "w": [*lexicon.values(), *w.tolist()]})
+        lexicon, w = learn((restorer.words(t or ""), y) for p in parts for t, y in zip(p["text"], p["y"], strict=True))
+        yield {"word": [*lexicon, *("", " ", "  ")], "w": [*lexicon.values(), *w.tolist()]}
 
-    sample = d.join(labelled_sample(labels, "toxic", folds, held_out, rows), "doc_id").dropDuplicates(["doc_id"])
-    learned = {r["word"]: r["w"] for r in sample.select("text", "y").coalesce(1).mapInPandas(fit, "word string, w double").collect()}
+    sample = d.join(labelled_sample(labels, "toxic", folds, held_out, rows), "doc_id").withColumn("th", F.xxhash64("text"))
+    sample = sample.dropDuplicates(["doc_id"]).coalesce(1).sortWithinPartitions(F.desc("y"), "th", "doc_id")
+    learned = {r["word"]: r["w"] for r in map_slices(sample.select("text", "y"), fit, "word string, w double").collect()}
     base, strong, more = (learned.pop(k, 0.0) for k in ("", " ", "  "))
 
-    @F.pandas_udf("double")
-    def score(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
+    def run(arrays: Iterator[pa.Array]) -> Iterator[pa.Array]:
         restorer = Restorer(counts)
-        for texts in batches:
-            out = []
-            for text in texts:
-                x, y = evidence(restorer.words(text or ""), learned)
-                out.append(1 / (1 + math.exp(-min(max(base + strong * x + more * y, -500), 500))))
-            yield pd.Series(out, dtype="float64")
 
+        def scores(texts: list) -> list:
+            found = (evidence(restorer.words(t or ""), learned) for t in texts)
+            return [1 / (1 + math.exp(-min(max(base + strong * x + more * y, -500), 500))) for x, y in found]
+
+        yield from column_of(scores, pa.float64())(arrays)
+
+    score = F.arrow_udf("double")(run)
     if keep_as:
         return docs.withColumn(keep_as, score(F.col("text").cast("string")))
     held = F.coalesce(fold("doc_id", folds) == held_out, F.lit(False))
