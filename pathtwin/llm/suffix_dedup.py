@@ -30,11 +30,12 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.types import StructType
 
-from pathtwin.plans.lineage import cut
+from pathtwin.llm.common import column_of, hand_back, map_slices
+from pathtwin.plans.lineage import cut, settled
 
 LENGTH = 400
 #: Bytes of an anchor, as a share of the length.
@@ -47,6 +48,8 @@ BLOCK = 40
 BATCH = 4_000
 #: Bytes hashed at once.
 STEP = 1 << 19
+#: Tasks that the rows of one anchor are dealt over.
+SALTS = 16
 
 _U = np.uint64
 _rng = np.random.default_rng(20_011)
@@ -250,6 +253,7 @@ def _solver(reach: int, length: int, key: str):
             hit = [i for i, f in enumerate(found) if f is not None]
             x, near, far = x.iloc[hit], np.array([found[i][0] for i in hit], np.int64), np.array([found[i][1] for i in hit], np.int64)
             yield pd.DataFrame({"k": x["k"], "th": x["th"], "s": x["at"] - far, "e": x["at"] - near + length})
+        hand_back()
 
     return run
 
@@ -290,6 +294,11 @@ def _hot_spans(hot: DataFrame, reach: int, length: int, limit: int) -> list[Data
     return spans
 
 
+def salted(keys: DataFrame) -> DataFrame:
+    """One row for each salt: the rows of a common key are dealt over as many tasks."""
+    return keys.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+
+
 def _whole_classes(batches: Iterator[pd.DataFrame], key: str) -> Iterator[pd.DataFrame]:
     """Sorted batches, cut again where the key changes, of at least ``BATCH`` rows but for the last."""
     held: list[pd.DataFrame] = []
@@ -307,41 +316,48 @@ def _whole_classes(batches: Iterator[pd.DataFrame], key: str) -> Iterator[pd.Dat
 
 
 def repeated_spans(docs: DataFrame, length: int = LENGTH, hot: int = HOT) -> DataFrame:
-    """Rows ``k, th, spans``: by id and hash of a text, its overlapping repeated byte ranges."""
+    """Rows ``k, th, spans``: by id and hash of a text, its overlapping repeated byte ranges; written, and all that led to them deleted."""
+    return settled(lambda: _spans(docs, length, hot))
+
+
+def _spans(docs: DataFrame, length: int, hot: int) -> DataFrame:
     k = max(1, int(length * ANCHOR_SHARE))
     reach = length - k
 
-    def anchors(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            out = []
-            for key, th, text in zip(b["k"], b["th"], b["bytes"], strict=True):
-                at, kh, ch = find_anchors(text, length, k)
-                out.append(pd.DataFrame({"k": np.full(len(at), key), "th": np.full(len(at), th, np.int32), "at": at.astype(np.int32), "kh": kh.view(np.int64), "ch": ch.view(np.int64)}))
-            if out:
-                yield pd.concat(out, ignore_index=True)
+    def anchors(parts: Iterator[dict]) -> Iterator[dict]:
+        for p in parts:
+            met = [find_anchors(text, length, k) for text in p["bytes"]]
+            sizes = [len(at) for at, _, _ in met]
+            yield {
+                "k": np.repeat(np.array(p["k"], np.int64), sizes), "th": np.repeat(np.array(p["th"], np.int32), sizes), "at": np.concatenate([m[0] for m in met]).astype(np.int32),
+                "kh": np.concatenate([m[1] for m in met]).view(np.int64), "ch": np.concatenate([m[2] for m in met]).view(np.int64),
+            }
 
     texts = _texts(docs).filter(F.octet_length("bytes") >= length)
-    found = cut(texts.mapInPandas(anchors, "k long, th int, at int, kh long, ch long"))
+    found = cut(map_slices(texts, anchors, "k long, th int, at int, kh long, ch long").withColumn("salt", F.pmod(F.xxhash64("k", "th", "at"), F.lit(SALTS)).cast("int")))
     classes = found.groupBy("kh").agg(F.count("*").alias("n"), (F.min("ch") < F.max("ch")).alias("mixed")).filter("n > 1")
-    again = cut(found.join(classes, "kh"))
-    contexts = cut(again.groupBy("kh", "ch").agg(F.count("*").alias("copies"), F.min(F.struct("k", "th", "at")).alias("rep"), F.first("mixed").alias("mixed"), F.first("n").alias("n")))
-    whole = again.join(contexts.filter("copies > 1").select("kh", "ch"), ["kh", "ch"], "left_semi")
+    again = cut(found.join(salted(classes), ["kh", "salt"]))
+    contexts = again.groupBy("kh", "ch").agg(F.count("*").alias("copies"), F.min(F.struct("k", "th", "at")).alias("rep"), F.first("mixed").alias("mixed"), F.first("n").alias("n"))
+    contexts = cut(contexts)
+    whole = again.join(salted(contexts.filter("copies > 1").select("kh", "ch")), ["kh", "ch", "salt"], "left_semi")
     spans = [whole.select("k", "th", F.greatest(F.lit(0), F.col("at") - reach).alias("s"), (F.col("at") + length).alias("e"))]
     wanted = contexts.filter("mixed").groupBy("rep.k", "rep.th").agg(F.collect_list(F.struct("rep.at", F.col("kh").alias("cls"), "n")).alias("wanted"))
 
-    def around(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
+    def around(parts: Iterator[dict]) -> Iterator[dict]:
+        names = ("k", "th", "at", "cls", "lft", "rgt", "n")
+        for p in parts:
             out = []
-            for key, th, text, want in zip(b["k"], b["th"], b["bytes"], b["wanted"], strict=True):
+            for key, th, text, want in zip(p["k"], p["th"], p["bytes"], p["wanted"], strict=True):
                 for w in want:
                     a = w["at"]
                     out.append((key, th, a, w["cls"], text[max(0, a - reach) : a], text[a + k : a + length], w["n"]))
-                    if len(out) >= 20_000:
-                        yield pd.DataFrame(out, columns=["k", "th", "at", "cls", "lft", "rgt", "n"])
+                    if len(out) >= BATCH:
+                        yield dict(zip(names, zip(*out, strict=True), strict=True))
                         out = []
-            yield pd.DataFrame(out, columns=["k", "th", "at", "cls", "lft", "rgt", "n"])
+            if out:
+                yield dict(zip(names, zip(*out, strict=True), strict=True))
 
-    cuts = texts.join(wanted, ["k", "th"]).mapInPandas(around, _CONTEXT + ", n long")
+    cuts = map_slices(texts.join(wanted, ["k", "th"]), around, _CONTEXT + ", n long")
     heavy = contexts.filter(F.col("mixed") & (F.col("n") > hot))
     if heavy.isEmpty():
         cool = cuts
@@ -379,37 +395,44 @@ def remaining(text: bytes, spans: list[tuple[int, int]]) -> bytes:
 def dedup_digests(docs: DataFrame, length: int = LENGTH, hot: int = HOT) -> DataFrame:
     """Rows ``doc_id, n_bytes, n_removed, n_spans, kept_sha256``."""
 
-    def digest(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            rows = []
-            for key, text, spans in zip(b["k"], b["bytes"], b["spans"], strict=True):
-                cuts = merged(spans, len(text))
-                kept = remaining(text, cuts)
-                rows.append((None if key == -(2**63) else key, len(text), len(text) - len(kept), len(cuts), hashlib.sha256(kept).hexdigest()))
-            yield pd.DataFrame(rows, columns=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"]).astype({"doc_id": "Int64"})
+    def digest(parts: Iterator[dict]) -> Iterator[dict]:
+        for p in parts:
+            cuts = [merged(spans, len(text)) for text, spans in zip(p["bytes"], p["spans"], strict=True)]
+            kept = [remaining(text, c) for text, c in zip(p["bytes"], cuts, strict=True)]
+            yield {
+                "doc_id": [None if key == -(2**63) else key for key in p["k"]], "n_bytes": [len(t) for t in p["bytes"]],
+                "n_removed": [len(t) - len(x) for t, x in zip(p["bytes"], kept, strict=True)], "n_spans": [len(c) for c in cuts],
+                "kept_sha256": [hashlib.sha256(x).hexdigest() for x in kept],
+            }
 
     joined = _texts(docs).join(repeated_spans(docs, length, hot), ["k", "th"], "left")
-    return joined.mapInPandas(digest, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    return map_slices(joined, digest, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
 def without_repeats(docs: DataFrame, length: int = LENGTH, hot: int = HOT) -> DataFrame:
-    """``docs`` with the repeated bytes of ``text`` removed and ``n_chars`` updated; cut characters go whole."""
-    schema, names = StructType(docs.schema.fields), docs.columns
+    """``docs`` with the repeated bytes of ``text`` removed and ``n_chars`` updated; cut characters go whole.
+
+    A null text stays null and an empty one empty; a text that is all repeats becomes empty and its row stays.
+    """
+    names = docs.columns
     joined = docs.withColumns({"__k": F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63))), "__th": F.hash(F.coalesce(F.col("text").cast("string"), F.lit("")))})
     spans = repeated_spans(docs, length, hot).select(F.col("k").alias("__k"), F.col("th").alias("__th"), F.col("spans").alias("__spans"))
-    joined = joined.join(spans, ["__k", "__th"], "left").drop("__k", "__th")
-
-    def strip(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            texts = []
-            for text, spans_ in zip(b["text"], b["__spans"], strict=True):
-                if text is not None and spans_ is not None:
-                    raw = text.encode()
-                    text = remaining(raw, merged(spans_, len(raw))).decode(errors="ignore")
-                texts.append(text)
-            yield b.assign(text=texts)[names]
-
-    out = joined.mapInPandas(strip, schema)
+    joined = joined.join(spans, ["__k", "__th"], "left").drop("__k", "__th").withColumn("text", F.col("text").cast("string"))
+
+    def stripped(pairs: list) -> list:
+        out = []
+        for pair in pairs:
+            raw = pair["text"].encode() if pair and pair["text"] else b""
+            out.append(remaining(raw, merged(pair["spans"], len(raw))).decode(errors="ignore") if raw else None)
+        return out
+
+    def run(arrays: Iterator[pa.Array]) -> Iterator[pa.Array]:
+        yield from column_of(stripped, pa.string())(arrays)
+
+    strip = F.arrow_udf("string")(run)
+    cut_text = F.when(F.col("__spans").isNull() | F.col("text").isNull(), F.col("text")).otherwise(F.coalesce("__cut", F.lit("")))
+    hit = F.when(F.col("__spans").isNotNull(), F.struct("text", F.col("__spans").alias("spans")))
+    out = joined.withColumn("__cut", strip(hit)).withColumn("text", cut_text).select(*names)
     if "n_chars" in names:
         kind = docs.schema["n_chars"].dataType
         out = out.withColumn("n_chars", F.length("text").cast(kind))
