@@ -16,10 +16,10 @@ from array import array
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from pathtwin.llm.common import map_slices
 from pathtwin.plans.lineage import cut
 
 WINDOW = 4096
@@ -158,8 +158,9 @@ class Packer:
             self._send(row)
 
 
-def _frame(rows: list[tuple]) -> pd.DataFrame:
-    return pd.DataFrame(rows, columns=[c.split()[0] for c in PIECES.split(", ")]).astype({c: "Int64" for c in ("ids_crc32", "sequence_id", "offset")})
+def _columns(rows: list[tuple]) -> dict[str, list]:
+    names = [c.split()[0] for c in PIECES.split(", ")]
+    return {n: [r[k] for r in rows] for k, n in enumerate(names)}
 
 
 def pack_documents(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, open_windows: int = OPEN, fan_in: int = FAN_IN) -> DataFrame:
@@ -171,39 +172,37 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, o
     """
     from pyspark import TaskContext
 
-    def first(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def first(parts: Iterator[dict]) -> Iterator[dict]:
         ids_of, part = word_ids(tokenizer_path), TaskContext.get().partitionId()
         packer, end = Packer(part << 32, window, open_windows), np.array([END_ID], "<u4")
-        for batch in batches:
-            docs, texts = batch["doc_id"].tolist(), [t or "" for t in batch["text"]]
-            for at in range(0, len(docs), 500):
-                for doc, ids in zip(docs[at : at + 500], ids_of.batch(texts[at : at + 500]), strict=True):
-                    packer.add(doc, 0, np.append(ids, end), len(ids) + 1)
-            yield _frame(packer.sent)
+        for p in parts:
+            for doc, ids in zip(p["doc_id"], ids_of.batch([t or "" for t in p["text"]]), strict=True):
+                packer.add(doc, 0, np.append(ids, end), len(ids) + 1)
+            yield _columns(packer.sent)
             packer.sent = []
         ids_of.old = {}
-        yield _frame(packer.left())
+        yield _columns(packer.left())
 
     def later(base: int, last: bool):
-        def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        def run(parts: Iterator[dict]) -> Iterator[dict]:
             packer = Packer(base + (TaskContext.get().partitionId() << 32), window, open_windows)
-            for batch in batches:
-                for x in batch.itertuples(index=False):
-                    packer.add(x.doc_id, x.start, np.frombuffer(x.ids, "<u4"), x.doc_tokens)
-                yield _frame(packer.sent)
+            for p in parts:
+                for doc, start, ids, total in zip(p["doc_id"], p["start"], p["ids"], p["doc_tokens"], strict=True):
+                    packer.add(doc, start, np.frombuffer(ids, "<u4"), total)
+                yield _columns(packer.sent)
                 packer.sent = []
             if last:
                 packer.close()
-                yield _frame(packer.sent)
+                yield _columns(packer.sent)
             else:
-                yield _frame(packer.left())
+                yield _columns(packer.left())
 
         return run
 
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     tasks = source.rdd.getNumPartitions()
     round_, parts = 0, []
-    done = cut(source.mapInPandas(first, PIECES))
+    done = cut(map_slices(source, first, PIECES))
     while True:
         parts.append(done.filter("sequence_id is not null").drop("ids"))
         if round_ and tasks == 1:
@@ -213,7 +212,7 @@ def pack_documents(docs: DataFrame, tokenizer_path: str, window: int = WINDOW, o
         left = done.filter("sequence_id is null")
         key = F.pmod(F.xxhash64("doc_id", "start"), F.lit(tasks))
         left = (left.coalesce(1) if tasks == 1 else left.repartition(tasks, key)).sortWithinPartitions("doc_id", "start", "length")
-        done = cut(left.mapInPandas(later(round_ << 56, tasks == 1), PIECES))
+        done = cut(map_slices(left, later(round_ << 56, tasks == 1), PIECES))
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)
