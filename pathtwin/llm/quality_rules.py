@@ -7,7 +7,8 @@ base failures exceeds ``host_limit`` are rejected, and the verdict is joined bac
 
 A null text is empty and so fails. A null source is no host: its documents are judged alone. Repeated
 rows count as often as they occur. With fewer than two hosts, or hosts without any spread, the prior
-has the weight of one document. An empty table gives an empty result.
+has the weight of one document. An empty table gives an empty result. Columns of the input that have a
+name of an added one are carried on as ``own_<name>``.
 """
 
 from __future__ import annotations
@@ -19,12 +20,14 @@ from pathtwin.llm import text_stats as S
 from pathtwin.plans.lineage import cut
 
 HOST_LIMIT = 0.5
-ADDED = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "base_failed")
+ADDED = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "base_failed", "shrunk_rate", "kept")
+#: Tasks that the documents of one host are dealt over when they meet its verdict.
+SALTS = 16
 
 
 def measured(docs: DataFrame) -> DataFrame:
-    """``docs`` with the statistics of each text and ``base_failed``; columns of those names are replaced."""
-    docs = docs.drop(*ADDED)
+    """``docs`` with the statistics of each text and ``base_failed``; columns of added names become ``own_<name>``."""
+    docs = docs.withColumnsRenamed({c: f"own_{c}" for c in docs.columns if c in ADDED})
     w, lines, text = "__words", "__lines", F.col("text")
     out = docs.withColumns({w: S.words(text), lines: S.worded_lines(text)}).withColumns({
         "n_words": F.size(w).cast("long"), "word_chars": S.word_chars(text), "n_symbols": S.n_symbols(text), "n_dup_lines": S.n_dup_lines(F.col(lines)),
@@ -50,14 +53,17 @@ def judge(docs: DataFrame, host_limit: float = HOST_LIMIT, keep_text: bool = Tru
     """``docs`` with statistics, ``base_failed``, ``shrunk_rate`` and ``kept``.
 
     Statistics are worked out once and written, since both the host rates and the documents need them.
-    The table of hosts is broadcast only if Spark finds it small enough; a large one is joined by
-    shuffle, where adaptive execution splits a hot host.
+    The table of hosts is broadcast only if Spark finds it small enough; otherwise it is joined by shuffle,
+    one row for each salt, so that a hot host is dealt over ``SALTS`` tasks.
     """
     found = measured(docs)
     stats = cut(found if keep_text else found.drop("text"))
     hosts = host_verdicts(stats, host_limit=host_limit).select(F.col("host").alias("__host"), "shrunk_rate", F.col("host_rejected").alias("__rejected"))
-    out = stats.drop("shrunk_rate", "kept").join(hosts, F.col("source") == F.col("__host"), "left")
-    return out.withColumn("kept", ~F.col("base_failed") & ~F.coalesce("__rejected", F.lit(False))).drop("__host", "__rejected")
+    hosts = hosts.withColumn("__salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    salt = F.pmod(F.xxhash64("doc_id", "n_words", "word_chars"), F.lit(SALTS)).cast("int")
+    out = stats.withColumn("__deal", salt).join(hosts, (F.col("source") == F.col("__host")) & (F.col("__deal") == F.col("__salt")), "left")
+    kept = ~F.col("base_failed") & ~F.coalesce("__rejected", F.lit(False))
+    return out.withColumn("kept", kept).drop("__host", "__rejected", "__salt", "__deal")
 
 
 ORACLE = r"""
