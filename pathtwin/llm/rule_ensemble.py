@@ -82,14 +82,14 @@ def _hits(x: np.ndarray, terms: tuple) -> np.ndarray:
     return out
 
 
-def _grow(x: np.ndarray, g: np.ndarray, h: np.ndarray, rows: np.ndarray, path: tuple, depth: int, out: list, step: np.ndarray, least: int) -> None:
-    """One node of a boosted tree; every node but the root leaves its path in ``out``."""
+def _grow(x: np.ndarray, g: np.ndarray, h: np.ndarray, rows: np.ndarray, path: tuple, depth: int, least: int, out: list, leaves: list) -> None:
+    """One node of a boosted tree; every node but the root leaves its path in ``out``, every leaf its path and step in ``leaves``."""
     if path:
         out.append(path)
     score = lambda a, b: a * a / (b + 1.0)
     best = (1e-6, None)
+    total_g, total_h = g[rows].sum(), h[rows].sum()
     if depth and len(rows) >= 2 * least:
-        total_g, total_h = g[rows].sum(), h[rows].sum()
         for f in range(x.shape[1]):
             v = x[rows, f]
             for cutoff in np.unique(np.quantile(v, np.linspace(0.04, 0.96, 24), method="lower")):
@@ -101,11 +101,11 @@ def _grow(x: np.ndarray, g: np.ndarray, h: np.ndarray, rows: np.ndarray, path: t
                     if gain > best[0]:
                         best = (gain, (f, float(cutoff), left))
     if best[1] is None:
-        step[rows] = -g[rows].sum() / (h[rows].sum() + 1.0)
+        leaves.append((path, -total_g / (total_h + 1.0)))
         return
     f, cutoff, left = best[1]
-    _grow(x, g, h, rows[left], (*path, (f, False, cutoff)), depth - 1, out, step, least)
-    _grow(x, g, h, rows[~left], (*path, (f, True, cutoff)), depth - 1, out, step, least)
+    _grow(x, g, h, rows[left], (*path, (f, False, cutoff)), depth - 1, least, out, leaves)
+    _grow(x, g, h, rows[~left], (*path, (f, True, cutoff)), depth - 1, least, out, leaves)
 
 
 def fit_rules(x: np.ndarray, y: np.ndarray, trees: int = 12, depth: int = 3, penalty: float = 2e-3, steps: int = 400, seed: int = 7) -> RuleModel:
@@ -119,16 +119,16 @@ def fit_rules(x: np.ndarray, y: np.ndarray, trees: int = 12, depth: int = 3, pen
     rng, z, paths = np.random.default_rng(seed), np.full(len(y), base), []
     for _ in range(trees):
         p = 1 / (1 + np.exp(-z))
-        g, h, step = p - y, p * (1 - p), np.zeros(len(y))
+        g, h = p - y, p * (1 - p)
         rows = np.sort(rng.permutation(len(y))[: min(len(y), max(2000, len(y) // 4))])
-        found: list = []
-        _grow(x, g, h, rows, (), depth, found, step, max(5, len(rows) // 200))
+        found, leaves = [], []
+        _grow(x, g, h, rows, (), depth, max(5, len(rows) // 200), found, leaves)
         paths += found
-        for terms in found:
-            if len(terms) == depth:
-                hit = _hits(x, terms)
-                z[hit] += 0.5 * -g[hit].sum() / (h[hit].sum() + 1.0)
+        for terms, step in leaves:
+            z[_hits(x, terms)] += 0.5 * step
     paths = list(dict.fromkeys(paths))
+    if not paths:
+        return RuleModel(base)
     m = np.stack([_hits(x, p) for p in paths], 1).astype(np.float64)
     scale = np.maximum(m.std(0), 1e-3)
     m /= scale
