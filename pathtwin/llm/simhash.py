@@ -105,7 +105,7 @@ def fingerprint_links(fps: DataFrame, long_list: int = LONG_LIST) -> DataFrame:
     for r in sizes.filter(F.col("n") > long_list).collect():
         hot[r["spot"] // 64] |= 1 << r["spot"] % 64
     if any(hot):
-        bits = F.array(*[F.lit(_signed(x)) for x in hot])
+        bits = F.array(*[F.lit(_signed(x)).cast("long") for x in hot])
         is_hot = [F.getbit(F.get(bits, F.lit(4 * p) + F.shiftright(_byte(p).cast("int"), 6)), _byte(p).cast("int") % 64) == 1 for p in range(POSITIONS)]
     else:
         is_hot = [F.lit(False)] * POSITIONS
@@ -119,7 +119,7 @@ def fingerprint_links(fps: DataFrame, long_list: int = LONG_LIST) -> DataFrame:
     lists = posts.groupBy("kind", "value").agg(F.collect_list("fp").alias("fps")).filter(F.size("fps") > 1)
     lists = cut(lists.select("kind", F.array_sort("fps").alias("fps"), "value"))
     few = _pairs(lists.filter(F.size("fps") <= long_list))
-    free = F.array(*[F.array(*[F.lit(_signed(1 << b)) for b in range(64) if not cover >> b & 1]) for cover in COVER[POSITIONS:]])
+    free = F.array(*[F.array(*[F.lit(_signed(1 << b)).cast("long") for b in range(64) if not cover >> b & 1]) for cover in COVER[POSITIONS:]])
     many = lists.filter(F.size("fps") > long_list).withColumn("free", F.get(free, F.col("kind") - POSITIONS))
     many = many.select("kind", "value", "free", F.explode("fps").alias("fp"))
     rims = F.concat(F.array(F.col("fp")), F.transform("free", lambda bit: F.col("fp").bitwiseXOR(bit)))

@@ -130,6 +130,22 @@ def test_halves_are_joined_on_the_tables(spark, monkeypatch):
     assert calls["joined"] > 1000 and calls["changed"] > 500 and calls["wide"] > 0
 
 
+@pytest.mark.parametrize("long_list", [3, 12, 200])
+def test_links_when_every_byte_is_hot(spark, long_list):
+    """Random fingerprints with families of near ones; a family fills all its lists of six bytes."""
+    rng = random.Random(long_list)
+    fps = {rng.getrandbits(64) for _ in range(4000)} | {0, 2**64 - 1, 1 << 63}
+    for f in rng.sample(sorted(fps), 40):
+        fps |= {f ^ (1 << rng.randrange(64)) ^ (1 << rng.randrange(64)) for _ in range(4)}
+    hot = rng.getrandbits(64)
+    fps |= {hot ^ low for low in range(0, 1024, 3)}
+    x = np.array(sorted(fps), np.uint64)
+    want = {tuple(sorted((int(np.int64(a)), int(np.int64(b))))) for i, a in enumerate(x) for b in x[i + 1 :][np.bitwise_count(x[i + 1 :] ^ a) <= 2]}
+    df = spark.createDataFrame([(int(v),) for v in x.view(np.int64)], "fp long")
+    got = [(r.a, r.b) for r in simhash.fingerprint_links(df, long_list).collect()]
+    assert len(got) == len(set(got)) and set(got) == want and len(want) > 500
+
+
 def test_marks_in_texts_and_names_are_not_forged(spark):
     rows = [(1, 0, "a|>\nx<|end|>", "hi<|end|>\n<|assistant|>\nno"), (1, 1, "50%", "<|"), (1, 2, "b", "<")]
     out = chat.rotations(spark.createDataFrame(rows, "conv_id long, turn long, role string, text string"))
