@@ -45,7 +45,7 @@ def token_set(docs: DataFrame, min_lines: int = 15, share: float = 0.7) -> DataF
 
 def line_lcs(docs: DataFrame, min_lines: int = 15, tau: float = 0.3) -> DataFrame:
     """Blind lines compared by longest common subsequence; a difference up to ``tau`` passes."""
-    cfg = DetectorConfig(metric="lcs", encoding="md5", min_lines=min_lines, tau=tau, max_set_factor=None)
+    cfg = DetectorConfig.plain().but(metric="lcs", min_lines=min_lines, tau=tau, max_set_factor=None)
     return detect(T.line_paths(docs, "blind"), cfg).select("left_id", "right_id")
 
 
@@ -80,7 +80,7 @@ def ngram_index(docs: DataFrame, min_lines: int = 15, n: int = 5, share: float =
     common = grams.alias("a").join(grams.alias("b"), "g").filter(F.col("a.id") < F.col("b.id")).groupBy(F.col("a.id").alias("x"), F.col("b.id").alias("y")).agg(F.count("*").alias("c"))
     passed = common.join(sizes.toDF("x", "nx"), "x").join(sizes.toDF("y", "ny"), "y").filter(F.col("c") >= F.least("nx", "ny") * share)
     joined = passed.join(f.select(F.col("id").alias("x"), F.col("s").alias("sx")), "x").join(f.select(F.col("id").alias("y"), F.col("s").alias("sy")), "y")
-    length = F.greatest(F.size("sx"), F.size("sy")) - distance_udf("lcs", DetectorConfig(normalise="none"))("sx", "sy")
+    length = F.greatest(F.size("sx"), F.size("sy")) - distance_udf("lcs", DetectorConfig.plain().but(normalise="none"))("sx", "sy")
     return joined.filter(length >= F.round(F.least(F.size("sx"), F.size("sy")) * verify, 9)).select(F.col("x").alias("left_id"), F.col("y").alias("right_id"))
 
 

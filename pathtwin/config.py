@@ -9,7 +9,8 @@ from dataclasses import dataclass, replace
 class DetectorConfig:
     """Settings of one detection run.
 
-    ``normalise`` is ``longer`` (distance over the longer path) or ``none`` (absolute). ``tie`` says how two
+    The defaults are the published ones: modified LCS on locality-sensitive codes, equal and one-node paths merged,
+    sets of up to 1.7 times the size, paths of up to 7 nodes more. ``normalise`` is ``longer`` (distance over the longer path) or ``none`` (absolute). ``tie`` says how two
     sets of equal size are oriented: ``min`` of both directions, or ``first``. ``copy`` is ``lossless`` (classes of
     equal sets are matched once and results copied), ``lossy`` (not copied) or ``off``.
     """
@@ -18,9 +19,9 @@ class DetectorConfig:
     min_lines: int = 15
     metric: str = "lcs_mod"
     encoding: str = "lsh"
-    merge: str = "identical"
+    merge: str = "one_node"
     max_set_factor: float | None = 1.7
-    max_len_diff: int | None = None
+    max_len_diff: int | None = 7
     copy: str = "lossless"
     normalise: str = "longer"
     tie: str = "min"
@@ -35,6 +36,11 @@ class DetectorConfig:
     def default(cls) -> DetectorConfig:
         return cls()
 
+    @classmethod
+    def plain(cls) -> DetectorConfig:
+        """Modified LCS on MD5 codes, only equal paths merged and no cap on lengths: the base that metrics and encodings are compared on."""
+        return cls(encoding="md5", merge="identical", max_len_diff=None)
+
     @classmethod
     def fast(cls) -> DetectorConfig:
         """Hamming on MD5 codes."""

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -16,29 +17,40 @@ def encoded_paths(paths: DataFrame, how: str, merge: str = "identical") -> DataF
     coded = paths.select("fragment_id", "n_lines", F.transform("nodes", lambda t: encode.code(t, how)).alias("code"), "mult")
     if merge == "none":
         return coded
-    merged = coded.groupBy("fragment_id", "n_lines", "code").agg(F.sum("mult").alias("mult"))
+    merged = coded.groupBy("fragment_id", "n_lines", "code").agg(F.sum("mult").cast("long").alias("mult"))
     return merged if merge == "identical" else merge_one_node(merged)
 
 
+def one_node_apart(paths: list[tuple[tuple, int]]) -> list[tuple[tuple, int]]:
+    """Greedy in sorted order: a path joins the first kept path of its length that differs from it in one node."""
+    kept: list[list] = []
+    by_hole: dict = {}
+    for code, times in sorted(paths):
+        holes = [(i, code[:i], code[i + 1 :]) for i in range(len(code))]
+        hit = min((by_hole[h] for h in holes if h in by_hole), default=None)
+        if hit is not None:
+            kept[hit][1] += times
+            continue
+        for h in holes:
+            by_hole.setdefault(h, len(kept))
+        kept.append([code, times])
+    return [(code, times) for code, times in kept]
+
+
+_PATHS = "array<struct<code: array<bigint>, mult: bigint>>"
+
+
 def merge_one_node(paths: DataFrame) -> DataFrame:
-    """Greedy in sorted order inside a fragment: a path joins the first kept path of its length that differs in one node."""
-    import pandas as pd
-
-    def near(g: pd.DataFrame) -> pd.DataFrame:
-        rows = sorted((tuple(c), int(m)) for c, m in zip(g["code"], g["mult"], strict=True))
-        kept: list[list] = []
-        by_hole: dict = {}
-        for code, times in rows:
-            hit = next((by_hole[k] for k in ((i, code[:i], code[i + 1 :]) for i in range(len(code))) if k in by_hole), None)
-            if hit is not None:
-                kept[hit][1] += times
-                continue
-            for i in range(len(code)):
-                by_hole.setdefault((i, code[:i], code[i + 1 :]), len(kept))
-            kept.append([code, times])
-        return pd.DataFrame({"fragment_id": g["fragment_id"].iloc[0], "n_lines": g["n_lines"].iloc[0], "code": [list(c) for c, _ in kept], "mult": [m for _, m in kept]})
-
-    return paths.groupBy("fragment_id").applyInPandas(near, "fragment_id long, n_lines int, code array<long>, mult long")
+    """``paths`` with those merged that differ in one node; fragments of one path pass by on the JVM."""
+
+    @F.arrow_udf(_PATHS)
+    def merged(column: pa.Array) -> pa.Array:
+        out = [[{"code": list(c), "mult": m} for c, m in one_node_apart([(tuple(p["code"]), p["mult"]) for p in s])] for s in column.to_pylist()]
+        return pa.array(out, pa.list_(pa.struct([("code", pa.list_(pa.int64())), ("mult", pa.int64())])))
+
+    sets = paths.groupBy("fragment_id").agg(F.first("n_lines").alias("n_lines"), F.collect_list(F.struct("code", "mult")).alias("paths"))
+    many = sets.filter(F.size("paths") > 1).withColumn("paths", merged("paths"))
+    return sets.filter(F.size("paths") == 1).unionByName(many).select("fragment_id", "n_lines", F.explode("paths").alias("p")).select("fragment_id", "n_lines", "p.code", "p.mult")
 
 
 def description_sets(encoded: DataFrame) -> DataFrame:

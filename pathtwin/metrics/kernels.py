@@ -61,25 +61,31 @@ def levenshtein(a: Sequence, b: Sequence) -> int:
 
 
 def damerau(a: Sequence, b: Sequence) -> int:
-    """Levenshtein with swaps of neighbours, unrestricted."""
-    n, m = len(a), len(b)
-    far = n + m
-    d = {(-1, -1): far}
-    for i in range(n + 1):
-        d[i, -1], d[i, 0] = far, i
-    for j in range(m + 1):
-        d[-1, j], d[0, j] = far, j
-    last_row: dict = {}
-    for i in range(1, n + 1):
-        last_match = 0
-        for j in range(1, m + 1):
-            k, left = last_row.get(b[j - 1], 0), last_match
-            cost = 1
-            if a[i - 1] == b[j - 1]:
-                cost, last_match = 0, j
-            d[i, j] = min(d[i - 1, j - 1] + cost, d[i, j - 1] + 1, d[i - 1, j] + 1, d[k - 1, left - 1] + (i - k - 1) + 1 + (j - left - 1))
-        last_row[a[i - 1]] = i
-    return d[n, m]
+    """Levenshtein with swaps of neighbours, unrestricted: a few rows, whatever the lengths.
+
+    ``before`` holds, for each column, the cell two steps back of the last row where its symbols were equal.
+    """
+    m, far = len(b), len(a) + len(b) + 1
+    # column j is at j + 1; one column before the first is out of reach
+    before, up, row = [far] * (m + 2), [far] * (m + 2), [far, *range(m + 1)]
+    seen: dict = {}
+    for i, x in enumerate(a, 1):
+        row, up = up, row
+        last, old, across = -1, row[1], far
+        row[1] = i
+        for j, y in enumerate(b, 1):
+            best = min(up[j] + (x != y), row[j] + 1, up[j + 1] + 1)
+            if x == y:
+                last, before[j + 1], across = j, up[j - 1], old
+            else:
+                k = seen.get(y, -1)
+                if j - last == 1:
+                    best = min(best, before[j + 1] + i - k)
+                elif i - k == 1:
+                    best = min(best, across + j - last)
+            old, row[j + 1] = row[j + 1], best
+        seen[x] = i
+    return row[m + 1]
 
 
 def alignment_score(a: Sequence, b: Sequence, match: int = 1, mismatch: int = -1, gap: int = 0) -> int:
@@ -155,14 +161,22 @@ REGISTRY = {
 }
 
 
-def path_distance(a: Sequence, b: Sequence, metric: str, tau: float = 0.3, normalise: str = "longer", sub_slack: float = 0.1, sub_min_len: int = 10) -> float:
-    """Distance of two paths; the modified LCS takes a path embedded in a longer one at the shorter's length."""
+def path_distance(a: Sequence, b: Sequence, metric: str, tau: float = 0.3, normalise: str = "longer", sub_slack: float = 0.1, sub_min_len: int = 10, max_len_diff: int | None = None) -> float:
+    """Distance of two paths; the modified LCS takes a path embedded in a longer one at the shorter's length.
+
+    Paths whose lengths differ by more than ``max_len_diff`` are as far apart as can be, but for embedded ones.
+    """
     kernel, counts, _, _ = REGISTRY[metric]
+    longer, shorter = max(len(a), len(b)), min(len(a), len(b))
+    capped = max_len_diff is not None and longer - shorter > max_len_diff
+    if capped and metric != "lcs_mod":
+        return float(longer) if counts and normalise == "none" else 1.0
     d = kernel(a, b)
     if not counts:
         return float(d)
-    longer, shorter = max(len(a), len(b)), min(len(a), len(b))
     plain = float(d) if normalise == "none" else (d / longer if longer else 0.0)
+    if capped:
+        plain = float(longer) if normalise == "none" else 1.0
     if metric == "lcs_mod" and plain >= tau and shorter >= sub_min_len:
         common = longer - d
         if 100 * common >= round(100 * (1 - sub_slack)) * shorter:
@@ -183,11 +197,9 @@ def set_distance(a: list, b: list, metric: str, tau: float = 0.3, tie: str = "mi
     by_length = REGISTRY[metric][2] and metric != "lcs_mod" and kw.get("normalise", "longer") == "longer"
 
     def d(p: tuple, q: tuple) -> float:
-        if max_len_diff is not None and abs(len(p) - len(q)) > max_len_diff and metric != "lcs_mod":
-            return 1.0
         key = (p, q) if p <= q else (q, p)
         if key not in known:
-            known[key] = path_distance(p, q, metric, tau, **kw)
+            known[key] = path_distance(p, q, metric, tau, max_len_diff=max_len_diff, **kw)
         return known[key]
 
     def one_way(x: list, y: list) -> float:

@@ -19,8 +19,13 @@ def fragments(min_lines: int, mode: str = "exact") -> str:
     return f"f AS (SELECT doc_id AS id, {abstracted(mode)} AS s, len(l) AS n FROM (SELECT doc_id, {LINES} AS l FROM documents) WHERE len(l) >= {min_lines})"
 
 
+def every(source: str = "f") -> str:
+    """CTE ``p(x, y)``: all pairs."""
+    return f"p AS (SELECT a.id AS x, b.id AS y FROM {source} a JOIN {source} b ON a.id < b.id)"
+
+
 def shared(source: str = "f") -> str:
-    """CTE ``p(x, y)``: pairs with a common symbol."""
+    """CTE ``p(x, y)``: pairs with a common symbol, for metrics that are one without."""
     return (
         f"u AS (SELECT DISTINCT id, unnest(s) AS v FROM {source}), p AS (SELECT DISTINCT a.id AS x, b.id AS y FROM u a JOIN u b ON a.v = b.v AND a.id < b.id)"
     )
@@ -46,8 +51,10 @@ def times(s: str, x: str) -> str:
     return f"len(list_filter({s}, lambda z: z = {x}))"
 
 
-def distance(metric: str, a: str = "a.s", b: str = "b.s", ta: str = "", tb: str = "", tau: float = 0.3) -> str:
-    """Normalised distance of two lists; the string metrics read the character columns."""
+def distance(metric: str, a: str = "a.s", b: str = "b.s", ta: str = "", tb: str = "", tau: float = 0.3, cap: int | None = None) -> str:
+    """Normalised distance of two lists; the string metrics read the character columns. ``cap`` is the greatest difference of lengths."""
+    if cap is not None and metric != "lcs_mod":
+        return f"CASE WHEN abs(len({a}) - len({b})) > {cap} THEN 1 ELSE {distance(metric, a, b, ta, tb, tau)} END"
     ta, tb = ta or characters(a, b, a), tb or characters(a, b, b)
     longer, shorter = f"greatest(len({a}), len({b}))", f"least(len({a}), len({b}))"
     if metric == "hamming":
@@ -59,7 +66,10 @@ def distance(metric: str, a: str = "a.s", b: str = "b.s", ta: str = "", tb: str
     if metric in ("lcs", "alignment"):
         return f"({longer} - z) / {longer}"
     if metric == "lcs_mod":
-        return f"CASE WHEN ({longer} - z) / {longer} >= {tau} AND {shorter} >= 10 AND 100 * z >= 90 * {shorter} THEN ({shorter} - z) / {shorter} ELSE ({longer} - z) / {longer} END"
+        plain = f"({longer} - z) / {longer}"
+        if cap is not None:
+            plain = f"CASE WHEN {longer} - {shorter} > {cap} THEN 1 ELSE {plain} END"
+        return f"CASE WHEN {plain} >= {tau} AND {shorter} >= 10 AND 100 * z >= 90 * {shorter} THEN ({shorter} - z) / {shorter} ELSE {plain} END"
     if metric == "jaccard":
         return f"1 - len(list_intersect(list_distinct({a}), list_distinct({b}))) / len(list_distinct(list_concat({a}, {b})))"
     if metric == "cosine":
@@ -80,9 +90,19 @@ def needs_lcs(metric: str) -> bool:
     return metric in ("lcs", "lcs_mod", "alignment")
 
 
-def clones(metric: str, min_lines: int = 15, mode: str = "exact", tau: float = 0.3) -> str:
-    """Clone pairs of single-path documents by one metric."""
+def clones(metric: str, min_lines: int = 15, mode: str = "exact", tau: float = 0.3, cap: int | None = None, source: str = "", by_class: bool = False) -> str:
+    """Clone pairs of single-path documents by one metric; ``source`` makes ``f(id, s, n)`` otherwise than from the documents' lines.
+
+    With ``by_class`` documents of equal paths are one, the first of them, and rows of its other members follow.
+    """
     z = f", {lcs('a.s', 'b.s')} AS z" if needs_lcs(metric) else ""
-    inner = f"SELECT p.x, p.y, a.s AS sa, b.s AS sb{z} FROM p JOIN f a ON a.id = p.x JOIN f b ON b.id = p.y"
-    d = distance(metric, "sa", "sb", tau=tau)
-    return f"WITH {fragments(min_lines, mode)}, {shared()}, m AS ({inner}) SELECT x AS left_id, y AS right_id, round(CAST({d} AS DOUBLE), 6) AS distance FROM m WHERE round({d}, 6) < {tau}"
+    f = source or fragments(min_lines, mode)
+    one = "c AS (SELECT min(id) AS id, s, n FROM f GROUP BY s, n)" if by_class else "c AS (SELECT id, s, n FROM f)"
+    near = every("c") if metric == "hamming_free" else shared("c")
+    inner = f"SELECT p.x, p.y, a.s AS sa, b.s AS sb{z} FROM p JOIN c a ON a.id = p.x JOIN c b ON b.id = p.y"
+    d = distance(metric, "sa", "sb", tau=tau, cap=cap)
+    found = f"SELECT x AS left_id, y AS right_id, round(CAST({d} AS DOUBLE), 6) AS distance FROM m WHERE round({d}, 6) < {tau}"
+    if not by_class:
+        return f"WITH {f}, {one}, {near}, m AS ({inner}) {found}"
+    rest = "SELECT 'member' AS \"row\", c.id AS left_id, f.id AS right_id, CAST(0 AS DOUBLE) AS distance FROM f JOIN c ON f.s = c.s WHERE f.id <> c.id"
+    return f"WITH {f}, {one}, {near}, m AS ({inner}) SELECT 'pair' AS \"row\", * FROM ({found}) UNION ALL {rest}"

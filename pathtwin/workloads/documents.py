@@ -11,7 +11,7 @@ from pathtwin.config import DetectorConfig
 from pathtwin.frontends import text_lines as T
 from pathtwin.functions import windows
 from pathtwin.match import sets as S
-from pathtwin.match.detector import compare, detect, groups, nearest
+from pathtwin.match.detector import compare, detect, detect_classes, groups, nearest
 from pathtwin.metrics import distance_udf
 from pathtwin.sources.io import read_table
 from pathtwin.sql import oracles as O
@@ -47,40 +47,57 @@ def doc_fragments(spark: SparkSession, sf_dir: str) -> DataFrame:
     return f.select("fragment_id", F.col("n_lines").cast("long").alias("n_lines"), F.md5(F.array_join("nodes", "\n")).alias("digest"))
 
 
-@query("doc_t1_exact", f"WITH {O.fragments(6)} SELECT a.id AS left_id, b.id AS right_id FROM f a JOIN f b ON a.s = b.s AND a.id < b.id")
+def _class_sql(mode: str) -> str:
+    return f"WITH {O.fragments(6, mode)}, c AS (SELECT s, min(id) AS k, count(*) AS n FROM f GROUP BY s) SELECT id AS fragment_id, k AS class_id, c.n AS class_size FROM f JOIN c ON f.s = c.s WHERE c.n > 1"
+
+
+@query("doc_t1_exact", _class_sql("exact"))
 def doc_t1_exact(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _equal(spark, sf_dir, "exact")
 
 
-@query("doc_t2_blind", f"WITH {O.fragments(6, 'blind')} SELECT a.id AS left_id, b.id AS right_id FROM f a JOIN f b ON a.s = b.s AND a.id < b.id")
+@query("doc_t2_blind", _class_sql("blind"))
 def doc_t2_blind(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _equal(spark, sf_dir, "blind")
 
 
 def _equal(spark: SparkSession, sf_dir: str, mode: str) -> DataFrame:
+    """Every document that equals another, with its class: no pairs, so a class may be of any size."""
     f = T.fragments(_docs(spark, sf_dir), mode, 6).select("fragment_id", F.md5(F.array_join("nodes", "\n")).alias("key"))
-    pairs = f.alias("a").join(f.alias("b"), "key").filter(F.col("a.fragment_id") < F.col("b.fragment_id"))
-    return pairs.select(F.col("a.fragment_id").alias("left_id"), F.col("b.fragment_id").alias("right_id"))
+    classes = f.groupBy("key").agg(F.min("fragment_id").alias("class_id"), F.count("*").alias("class_size")).filter("class_size > 1")
+    return f.join(classes, "key").select("fragment_id", "class_id", "class_size")
+
+
+def clone_rows(paths: DataFrame, cfg: DetectorConfig) -> DataFrame:
+    """Rows ``pair`` of the first documents of two classes of equal sets, and rows ``member`` of a class's first and each other document.
+
+    Together they hold every clone pair, though a class of any size gives one row a document.
+    """
+    pairs, members = detect_classes(paths, cfg)
+    rest = members.filter("fragment_id <> rep_id").select(F.lit("member").alias("row"), F.col("rep_id").alias("left_id"), F.col("fragment_id").alias("right_id"), F.lit(0.0).alias("distance"))
+    return pairs.select(F.lit("pair").alias("row"), "left_id", "right_id", "distance").unionByName(rest)
 
 
 def _detector(cfg: DetectorConfig, mode: str = "exact"):
-    return lambda spark, sf_dir: _pairs(detect(T.line_paths(_docs(spark, sf_dir), mode), cfg))
+    return lambda spark, sf_dir: clone_rows(T.line_paths(_docs(spark, sf_dir), mode), cfg)
 
 
+PLAIN = DetectorConfig.plain()
+CAP = DetectorConfig().max_len_diff
 for _m in METRICS:
-    QUERIES[f"doc_clones_{SHORT[_m]}"] = _detector(DetectorConfig(metric=_m, encoding="md5"))
-    ORACLES[f"doc_clones_{SHORT[_m]}"] = O.clones(_m)
+    QUERIES[f"doc_clones_{SHORT[_m]}"] = _detector(PLAIN.but(metric=_m))
+    ORACLES[f"doc_clones_{SHORT[_m]}"] = O.clones(_m, by_class=True)
 for _mode in ("blind", "keep_head"):
-    QUERIES[f"doc_clones_lcsmod_{_mode}"] = _detector(DetectorConfig(encoding="md5"), _mode)
-    ORACLES[f"doc_clones_lcsmod_{_mode}"] = O.clones("lcs_mod", 15, _mode)
-QUERIES["doc_clones_min6"] = _detector(DetectorConfig(encoding="md5", min_lines=6))
-ORACLES["doc_clones_min6"] = O.clones("lcs_mod", 6)
+    QUERIES[f"doc_clones_lcsmod_{_mode}"] = _detector(PLAIN, _mode)
+    ORACLES[f"doc_clones_lcsmod_{_mode}"] = O.clones("lcs_mod", 15, _mode, by_class=True)
+QUERIES["doc_clones_min6"] = _detector(PLAIN.but(min_lines=6))
+ORACLES["doc_clones_min6"] = O.clones("lcs_mod", 6, by_class=True)
 QUERIES["doc_clones_prime4"] = _detector(DetectorConfig.legacy())
-ORACLES["doc_clones_prime4"] = O.clones("lcs")
-QUERIES["doc_clones_none"] = _detector(DetectorConfig(encoding="none"))
-ORACLES["doc_clones_none"] = O.clones("lcs_mod")
+ORACLES["doc_clones_prime4"] = O.clones("lcs", cap=CAP, by_class=True)
+QUERIES["doc_clones_none"] = _detector(PLAIN.but(encoding="none"))
+ORACLES["doc_clones_none"] = O.clones("lcs_mod", by_class=True)
 QUERIES["doc_clones_fast"] = _detector(DetectorConfig.fast())
-ORACLES["doc_clones_fast"] = O.clones("hamming")
+ORACLES["doc_clones_fast"] = O.clones("hamming", cap=CAP, by_class=True)
 
 #: LSH bucket of a line in DuckDB: clamped word count, then the least seeded digest of placed words.
 _LSH = (
@@ -89,8 +106,12 @@ _LSH = (
 )
 
 
+def _lsh_fragments(min_lines: int) -> str:
+    return f"f0 AS ({O.fragments(min_lines)[6:-1]}), f AS (SELECT id, n, list_transform(s, lambda x: CAST({_LSH} AS VARCHAR)) AS s FROM f0)"
+
+
 def _lsh_sql(min_lines: int) -> str:
-    return O.clones("lcs_mod", min_lines).replace(O.fragments(min_lines), f"f0 AS ({O.fragments(min_lines)[6:-1]}), f AS (SELECT id, n, list_transform(s, lambda x: CAST({_LSH} AS VARCHAR)) AS s FROM f0)")
+    return O.clones("lcs_mod", min_lines, cap=CAP, source=_lsh_fragments(min_lines), by_class=True)
 
 
 QUERIES["doc_clones_lsh"] = _detector(DetectorConfig())
@@ -99,36 +120,63 @@ QUERIES["doc_clones_lsh_min6"] = _detector(DetectorConfig(min_lines=6))
 ORACLES["doc_clones_lsh_min6"] = _lsh_sql(6)
 
 
-#: Trees of paragraphs: one path a line, root first; the set distance over the smaller set, both ways on ties.
-_PARA = f"""WITH {O.fragments(15)},
+def _merge_sql() -> str:
+    """Greedy merging: in sorted order a path joins the first kept one of its length that differs in one node."""
+    differ = "len(list_filter(range(1, len(k.q) + 1), lambda i: k.q[i] <> x[1].q[i]))"
+    first = f"coalesce(list_min(list_transform(range(1, len(acc) + 1), lambda n: CASE WHEN len(acc[n].q) = len(x[1].q) AND {differ.replace('k.q', 'acc[n].q')} = 1 THEN n END)), 0)"
+    joined = f"list_transform(acc, lambda k, n: {{'q': k.q, 'm': CASE WHEN n = {first} THEN k.m + x[1].m ELSE k.m END}})"
+    return f"list_reduce(list_sort(list(DISTINCT [{{'q': q, 'm': m}}])), lambda acc, x: CASE WHEN {first} = 0 THEN list_concat(acc, x) ELSE {joined} END)"
+
+
+def _para_sql(encoded: bool, merge: bool, cap: int | None) -> str:
+    """Trees of paragraphs: one path a line, root first; the set distance over the smaller set, both ways on ties."""
+    code = f"list_transform(q, lambda x: {_LSH})" if encoded else "q"
+    merged = f"h AS (SELECT id, unnest({_merge_sql()}) AS k FROM w0 GROUP BY id), w AS (SELECT id, k.q AS q, k.m AS mult FROM h)" if merge else "w AS (SELECT id, q, m AS mult FROM w0)"
+    return f"""WITH {O.fragments(15)},
 g AS (SELECT id, n, list_filter(list_transform(string_split(unnest(s), '. '), lambda x: trim(x)), lambda x: x <> '') AS q, trim(string_split(s[1], '. ')[1]) AS root FROM f),
-w AS (SELECT id, list_concat([root], q) AS q, count(*) AS mult FROM g GROUP BY ALL),
+g2 AS (SELECT id, list_concat([root], q) AS q FROM g), g3 AS (SELECT id, {code} AS q FROM g2),
+w0 AS (SELECT id, q, count(*) AS m FROM g3 GROUP BY ALL), {merged},
 t AS (SELECT id, sum(mult) AS size FROM w GROUP BY id),
-k AS (SELECT DISTINCT id, unnest(q) AS v FROM w), p AS (SELECT DISTINCT a.id AS x, b.id AS y FROM k a JOIN k b ON a.v = b.v AND a.id < b.id),
-p2 AS (SELECT x, y, tx.size AS nx, ty.size AS ny FROM p JOIN t tx ON tx.id = x JOIN t ty ON ty.id = y WHERE greatest(tx.size, ty.size) <= 1.7 * least(tx.size, ty.size)),
-z AS (SELECT x, y, nx, ny, a.q AS qa, b.q AS qb, a.mult AS ma, b.mult AS mb, {O.lcs('a.q', 'b.q')} AS z FROM p2 JOIN w a ON a.id = x JOIN w b ON b.id = y),
-d AS (SELECT *, {O.distance('lcs_mod', 'qa', 'qb')} AS d FROM z),
-fwd AS (SELECT x, y, nx, ny, sum(m * ma) / nx AS v FROM (SELECT x, y, nx, ny, qa, ma, min(d) AS m FROM d GROUP BY ALL) GROUP BY x, y, nx, ny),
-bwd AS (SELECT x, y, sum(m * mb) / ny AS v FROM (SELECT x, y, ny, qb, mb, min(d) AS m FROM d GROUP BY ALL) GROUP BY x, y, ny),
-r AS (SELECT fwd.x, fwd.y, round(CASE WHEN nx < ny THEN fwd.v WHEN ny < nx THEN bwd.v ELSE least(fwd.v, bwd.v) END, 6) AS v FROM fwd JOIN bwd ON fwd.x = bwd.x AND fwd.y = bwd.y)
-SELECT x AS left_id, y AS right_id, v AS distance FROM r WHERE v < 0.3"""
+p2 AS (SELECT tx.id AS x, ty.id AS y, tx.size AS nx, ty.size AS ny FROM t tx JOIN t ty ON tx.id < ty.id AND greatest(tx.size, ty.size) <= 1.7 * least(tx.size, ty.size)),
+u AS (SELECT row_number() OVER () AS no, q FROM (SELECT DISTINCT q FROM w)), wu AS (SELECT id, no, mult FROM w JOIN u ON w.q = u.q),
+v AS (SELECT DISTINCT no, unnest(q) AS c FROM u), e AS (SELECT DISTINCT a.no AS i, b.no AS j FROM v a JOIN v b ON a.c = b.c AND a.no <= b.no),
+z AS (SELECT i, j, a.q AS qa, b.q AS qb, {O.lcs('a.q', 'b.q')} AS z FROM e JOIN u a ON a.no = i JOIN u b ON b.no = j),
+d0 AS (SELECT i, j, {O.distance('lcs_mod', 'qa', 'qb', cap=cap)} AS d FROM z), d1 AS (SELECT i, j, d FROM d0 WHERE d < 1 UNION SELECT j, i, d FROM d0 WHERE d < 1),
+near AS (SELECT a.id AS x, a.no, b.id AS y, min(d) AS d FROM wu a JOIN d1 ON d1.i = a.no JOIN wu b ON b.no = d1.j AND b.id <> a.id GROUP BY ALL),
+part AS (SELECT near.x, near.y, sum(wu.mult * (1 - near.d)) AS got FROM near JOIN wu ON wu.id = near.x AND wu.no = near.no GROUP BY ALL),
+r AS (SELECT p2.x, p2.y, 1 - coalesce(fwd.got, 0) / nx AS f, 1 - coalesce(bwd.got, 0) / ny AS b, nx, ny FROM p2 LEFT JOIN part fwd ON fwd.x = p2.x AND fwd.y = p2.y LEFT JOIN part bwd ON bwd.x = p2.y AND bwd.y = p2.x),
+o AS (SELECT x, y, round(CAST(CASE WHEN nx < ny THEN f WHEN ny < nx THEN b ELSE least(f, b) END AS DOUBLE), 6) AS v FROM r)
+SELECT x AS left_id, y AS right_id, v AS distance FROM o WHERE v < 0.3"""
+
+
+@query("doc_clones_default", _para_sql(True, True, CAP))
+def doc_clones_default(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The published set-up on trees of paragraphs, pairs of class members included."""
+    return _pairs(detect(T.paragraph_paths(_docs(spark, sf_dir)), DetectorConfig()))
 
 
-@query("doc_clones_default", _PARA)
-def doc_clones_default(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _pairs(detect(T.paragraph_paths(_docs(spark, sf_dir)), DetectorConfig(encoding="md5")))
+@query("doc_clones_trees_md5", _para_sql(False, False, None))
+def doc_clones_trees_md5(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same trees with collision-free codes, only equal paths merged and no cap."""
+    return _pairs(detect(T.paragraph_paths(_docs(spark, sf_dir)), PLAIN))
 
 
 @query("doc_copy_strategy", O.clones("lcs_mod"))
 def doc_copy_strategy(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Without classes of equal sets; must equal the run with them."""
-    return _detector(DetectorConfig(encoding="md5", copy="off"))(spark, sf_dir)
+    return _pairs(detect(T.line_paths(_docs(spark, sf_dir)), PLAIN.but(copy="off")))
+
+
+@query("doc_copy_lossy", O.clones("lcs_mod", by_class=True).replace("SELECT 'pair' AS \"row\", * FROM", "SELECT * FROM").split(" UNION ALL ")[0])
+def doc_copy_lossy(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The rival's copy strategy: one of equal fragments is compared, its copies' pairs are lost."""
+    return _pairs(detect(T.line_paths(_docs(spark, sf_dir)), PLAIN.but(copy="lossy")))
 
 
-@query("doc_brute_force", O.clones("lcs"))
+@query("doc_brute_force", O.clones("lcs").replace(O.shared("c"), O.every("c")))
 def doc_brute_force(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The lossless candidates with plain LCS, classes off: the reference for candidate generation."""
-    return _detector(DetectorConfig(metric="lcs", encoding="md5", copy="off", candidates="shared"))(spark, sf_dir)
+    """Every pair compared, classes off: the reference for candidates and copies."""
+    return _pairs(detect(T.line_paths(_docs(spark, sf_dir)), PLAIN.but(metric="lcs", copy="off", candidates="all")))
 
 
 @query("doc_copy_classes", f"WITH {O.fragments(6)} SELECT min(id) AS rep_id, count(*) AS class_size FROM f GROUP BY s HAVING count(*) > 1")
@@ -144,7 +192,7 @@ _SWEEP = ", ".join(f"({t})" for t in (0.1, 0.2, 0.3, 0.4))
 @query("doc_tau_sweep", f"WITH x AS ({O.clones('lcs', 6, tau=0.4)}), t(tau) AS (VALUES {_SWEEP}) SELECT CAST(tau AS DOUBLE) AS tau, count(left_id) AS n_pairs FROM t LEFT JOIN x ON distance < tau GROUP BY tau")
 def doc_tau_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Distances once at the widest threshold; every threshold counts from them."""
-    found = detect(T.line_paths(_docs(spark, sf_dir)), DetectorConfig(metric="lcs", encoding="md5", min_lines=6, tau=0.4))
+    found = detect(T.line_paths(_docs(spark, sf_dir)), DetectorConfig.plain().but(metric="lcs", min_lines=6, tau=0.4))
     taus = spark.sql(f"SELECT CAST(col1 AS DOUBLE) AS tau FROM VALUES {_SWEEP}")
     return taus.join(found, F.col("distance") < F.col("tau"), "left").groupBy("tau").agg(F.count("left_id").alias("n_pairs"))
 
@@ -161,7 +209,7 @@ _SIZES = ", ".join(f"({n})" for n in range(6, 21))
 def doc_min_size_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _docs(spark, sf_dir)
     f = T.fragments(docs, min_lines=6).select("fragment_id", "n_lines")
-    pairs = detect(T.line_paths(docs), DetectorConfig(metric="lcs", encoding="md5", min_lines=6))
+    pairs = detect(T.line_paths(docs), DetectorConfig.plain().but(metric="lcs", min_lines=6))
     a, b = f.toDF("left_id", "na"), f.toDF("right_id", "nb")
     least = pairs.join(a, "left_id").join(b, "right_id").select(F.least("na", "nb").alias("k"), F.lit(0).alias("one_f"), F.lit(1).alias("one_p"))
     both = least.unionByName(f.select(F.col("n_lines").alias("k"), F.lit(1).alias("one_f"), F.lit(0).alias("one_p")))
@@ -182,7 +230,7 @@ def _band(sim):
     "SELECT CASE WHEN same THEN 'ty1' WHEN sim >= 0.9 THEN 'vst3' WHEN sim >= 0.7 THEN 'st3' WHEN sim >= 0.5 THEN 'mt3' ELSE 'ty4' END AS band, count(*) AS n_pairs FROM s GROUP BY ALL",
 )
 def doc_type_bands(spark: SparkSession, sf_dir: str) -> DataFrame:
-    cfg = DetectorConfig(metric="lcs", encoding="md5", max_set_factor=None, min_lines=6)
+    cfg = DetectorConfig.plain().but(metric="lcs", max_set_factor=None, min_lines=6)
     encoded = S.encoded_paths(T.line_paths(_docs(spark, sf_dir), "exact", 6), "md5")
     sets = S.description_sets(encoded)
     from pathtwin.match.candidates import shared_pairs
@@ -195,7 +243,7 @@ def doc_type_bands(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query("doc_groups")
 def doc_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Clone groups as components of the pairs."""
-    return groups(detect(T.line_paths(_docs(spark, sf_dir)), DetectorConfig(encoding="md5", min_lines=6)))
+    return groups(detect(T.line_paths(_docs(spark, sf_dir)), DetectorConfig.plain().but(min_lines=6)))
 
 
 ORACLES["doc_groups"] = f"""WITH RECURSIVE x AS ({O.clones('lcs_mod', 6)}), e AS (SELECT left_id AS a, right_id AS b FROM x UNION SELECT right_id, left_id FROM x),
@@ -204,13 +252,13 @@ r AS (SELECT a, a AS b FROM e UNION SELECT r.a, e.b FROM r JOIN e ON r.b = e.a)
 
 @query(
     "doc_nearest",
-    f"WITH {O.fragments(15)}, {O.shared()}, q AS (SELECT x, y FROM p UNION ALL SELECT y, x FROM p), m AS (SELECT x, y, {O.lcs('a.s', 'b.s')} AS z, a.s AS sa, b.s AS sb FROM q JOIN f a ON a.id = x JOIN f b ON b.id = y), "
+    f"WITH {O.fragments(15)}, {O.every()}, q AS (SELECT x, y FROM p UNION ALL SELECT y, x FROM p), m AS (SELECT x, y, {O.lcs('a.s', 'b.s')} AS z, a.s AS sa, b.s AS sb FROM q JOIN f a ON a.id = x JOIN f b ON b.id = y), "
     "d AS (SELECT x, y, round((greatest(len(sa), len(sb)) - z) / greatest(len(sa), len(sb)), 6) AS d FROM m) "
     "SELECT x AS left_id, y AS right_id, d AS distance, rank FROM (SELECT *, row_number() OVER (PARTITION BY x ORDER BY d, y) AS rank FROM d) WHERE rank <= 3",
 )
 def doc_nearest(spark: SparkSession, sf_dir: str) -> DataFrame:
     paths = T.line_paths(_docs(spark, sf_dir), "exact", 15)
-    return nearest(paths, paths, DetectorConfig(metric="lcs", encoding="md5"), 3)
+    return nearest(paths, paths, DetectorConfig.plain().but(metric="lcs"), 3)
 
 
 @query(
@@ -258,7 +306,7 @@ def doc_short_circuit(spark: SparkSession, sf_dir: str) -> DataFrame:
     f"WITH x AS ({O.clones('lcs_mod', 6)}), l AS (SELECT doc_id, max(quality) AS q FROM labels GROUP BY doc_id) SELECT count(*) AS n_pairs, count(*) FILTER (a.q = b.q) AS n_agree FROM x JOIN l a ON a.doc_id = left_id JOIN l b ON b.doc_id = right_id",
 )
 def doc_label_agreement(spark: SparkSession, sf_dir: str) -> DataFrame:
-    pairs = detect(T.line_paths(_docs(spark, sf_dir)), DetectorConfig(encoding="md5", min_lines=6))
+    pairs = detect(T.line_paths(_docs(spark, sf_dir)), DetectorConfig.plain().but(min_lines=6))
     q = read_table(spark, sf_dir, "labels").groupBy("doc_id").agg(F.max("quality").alias("q"))
     joined = pairs.join(q.toDF("left_id", "qa"), "left_id").join(q.toDF("right_id", "qb"), "right_id")
     return joined.agg(F.count("*").alias("n_pairs"), F.count_if(F.col("qa") == F.col("qb")).alias("n_agree"))

@@ -61,14 +61,14 @@ def flow_dominance(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES["flow_dominance"] = flow_dominance
 ORACLES["flow_dominance"] = f"WITH RECURSIVE {_DOM} SELECT f AS fragment_id, v AS node_id, depth AS n_dominators FROM k"
-QUERIES["flow_clones"] = lambda spark, sf_dir: detect(E.flow_paths(_events(spark, sf_dir), 10), DetectorConfig(metric="lcs", encoding="md5", min_lines=10)).select("left_id", "right_id", "distance")
+QUERIES["flow_clones"] = lambda spark, sf_dir: detect(E.flow_paths(_events(spark, sf_dir), 10), DetectorConfig.plain().but(metric="lcs", min_lines=10)).select("left_id", "right_id", "distance")
 
 _TAGS = "f AS (SELECT page_id AS id, regexp_extract_all(lower(coalesce(html, '')), '<(/?[a-z][a-z0-9]*)', 1) AS s FROM pages)"
 
 
 def tag_clones(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Pages whose tag sequences differ by less than a tenth."""
-    cfg = DetectorConfig(metric="lcs", encoding="md5", min_lines=1, tau=0.1, max_set_factor=None)
+    cfg = DetectorConfig.plain().but(metric="lcs", min_lines=1, tau=0.1, max_set_factor=None)
     return detect(T.tag_paths(read_table(spark, sf_dir, "pages", "page_id", "html")), cfg).select("left_id", "right_id", "distance")
 
 
@@ -88,7 +88,7 @@ def _conv(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def conv_clones(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Classes of conversations with equal sequences and the nearest other classes within the threshold."""
-    cfg = DetectorConfig(metric="lcs", encoding="md5", min_lines=1, tau=0.3, max_set_factor=None)
+    cfg = DetectorConfig.plain().but(metric="lcs", min_lines=1, tau=0.3, max_set_factor=None)
     return detect(_conv(spark, sf_dir), cfg).select("left_id", "right_id", "distance")
 
 
@@ -120,7 +120,7 @@ def order_seq_clones(spark: SparkSession, sf_dir: str) -> DataFrame:
     class's representative and the order, at distance zero. Together they hold every pair of similar orders.
     """
     paths = T.order_paths(read_table(spark, sf_dir, "lineitem"))
-    pairs, members = detect_classes(paths, DetectorConfig(metric="lcs", encoding="md5", min_lines=1, tau=0.2))
+    pairs, members = detect_classes(paths, DetectorConfig.plain().but(metric="lcs", min_lines=1, tau=0.2))
     pairs = pairs.select(F.lit("pair").alias("row"), "left_id", "right_id", "distance")
     return pairs.unionByName(members.select(F.lit("member").alias("row"), F.col("rep_id").alias("left_id"), F.col("fragment_id").alias("right_id"), F.lit(0.0).alias("distance")))
 
@@ -132,7 +132,7 @@ def order_fast_vs_default(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Pairs of orders of any length under distance 0.2 that Hamming and plain LCS report: classes weighted by their sizes, and pairs inside a class."""
     paths, out = T.order_paths(read_table(spark, sf_dir, "lineitem")), None
     for name, metric in (("fast", "hamming"), ("lcs", "lcs")):
-        pairs, members = detect_classes(paths, DetectorConfig(metric=metric, encoding="md5", min_lines=1, tau=0.2))
+        pairs, members = detect_classes(paths, DetectorConfig.plain().but(metric=metric, min_lines=1, tau=0.2))
         size = members.filter("fragment_id = rep_id").select("rep_id", F.col("class_size").alias("n"))
         across = pairs.join(size.toDF("left_id", "na"), "left_id").join(size.toDF("right_id", "nb"), "right_id").select((F.col("na") * F.col("nb")).alias("n"))
         inside = size.select(F.expr("n * (n - 1) div 2").alias("n"))
@@ -172,7 +172,7 @@ def word_near_copies(spark: SparkSession, sf_dir: str) -> DataFrame:
     from pathtwin.frontends.text_lines import word_paths
 
     docs = read_table(spark, sf_dir, "documents", "doc_id", "text")
-    return detect(word_paths(docs), DetectorConfig(metric="lcs", encoding="none", min_lines=0)).select("left_id", "right_id", "distance")
+    return detect(word_paths(docs), DetectorConfig.plain().but(metric="lcs", encoding="none", min_lines=0)).select("left_id", "right_id", "distance")
 
 
 QUERIES["word_near_copies"] = word_near_copies
@@ -197,5 +197,5 @@ for _p in (1, 10, 100):
     _name = f"doc_scale_{'all' if _p == 100 else _p}"
     QUERIES[_name] = _scale(_p)
     _sub = f"FROM documents WHERE CAST('0x' || substr(md5(CAST(doc_id AS VARCHAR)), 1, 6) AS BIGINT) % 100 < {_p}"
-    _frag, _cl = O.fragments(6).replace("FROM documents", _sub), O.clones("hamming", 6).replace("FROM documents", _sub)
+    _frag, _cl = O.fragments(6).replace("FROM documents", _sub), O.clones("hamming", 6, cap=DetectorConfig().max_len_diff).replace("FROM documents", _sub)
     ORACLES[_name] = f"WITH {_frag} SELECT count(*) AS n_fragments, CAST(sum(n) AS BIGINT) AS n_lines, (SELECT count(*) FROM ({_cl})) AS n_pairs FROM f"

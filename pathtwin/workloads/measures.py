@@ -76,12 +76,12 @@ ORACLES["var_composition"] = (
 def doc_exclusive_categories(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Pairs that only the modified LCS on blind lines or only the set family reports, by category."""
     docs = _docs(spark, sf_dir)
-    ours, sets = detect(T.line_paths(docs, "blind"), DetectorConfig(encoding="md5", max_set_factor=None)).select("left_id", "right_id"), B.token_set(docs)
+    ours, sets = detect(T.line_paths(docs, "blind"), DetectorConfig.plain().but(max_set_factor=None)).select("left_id", "right_id"), B.token_set(docs)
     alone = M.exclusive(ours, [sets]).withColumn("side", F.lit("ours")).unionByName(M.exclusive(sets, [ours]).withColumn("side", F.lit("set")))
     f = T.fragments(docs, min_lines=15).select("fragment_id", F.transform("nodes", lambda x: F.xxhash64(x)).alias("s"))
     both = alone.join(f.toDF("left_id", "a"), "left_id").join(f.toDF("right_id", "b"), "right_id")
     longer = F.greatest(F.size("a"), F.size("b"))
-    common = longer - distance_udf("lcs", DetectorConfig(normalise="none"))("a", "b")
+    common = longer - distance_udf("lcs", DetectorConfig.plain().but(normalise="none"))("a", "b")
     overlap = C.common_items(F.col("a"), F.col("b")) / longer
     named = both.withColumn("common", common).withColumn("category", category(F.col("common"), F.size("a"), F.size("b"), overlap))
     return named.groupBy("side", "category").agg(F.count("*").alias("n_pairs"))
@@ -99,7 +99,7 @@ ORACLES["doc_exclusive_categories"] = (
 def doc_incremental(spark: SparkSession, sf_dir: str) -> DataFrame:
     """New documents (ids divisible by five) against all others as the index; the index is not matched with itself."""
     paths = T.line_paths(_docs(spark, sf_dir), "exact", 15)
-    cfg = DetectorConfig(metric="lcs", encoding="md5", max_set_factor=None)
+    cfg = DetectorConfig.plain().but(metric="lcs", max_set_factor=None)
     return against(paths.filter("fragment_id % 5 = 0"), paths.filter("fragment_id % 5 <> 0"), cfg).select(F.col("left_id").alias("new_id"), F.col("right_id").alias("index_id"), "distance")
 
 

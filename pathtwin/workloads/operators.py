@@ -111,8 +111,8 @@ def op_join_anti(s, d):
 @query("op_join_full", f"WITH a AS ({O.clones('lcs')}), b AS ({O.clones('hamming_free')}) SELECT coalesce(a.left_id, b.left_id) AS left_id, coalesce(a.right_id, b.right_id) AS right_id, a.distance AS d_lcs, b.distance AS d_free FROM a FULL JOIN b ON a.left_id = b.left_id AND a.right_id = b.right_id")
 def op_join_full(s, d):
     p = T.line_paths(_docs(s, d))
-    a = detect(p, DetectorConfig(metric="lcs", encoding="md5")).select("left_id", "right_id", F.col("distance").alias("d_lcs"))
-    b = detect(p, DetectorConfig(metric="hamming_free", encoding="md5")).select("left_id", "right_id", F.col("distance").alias("d_free"))
+    a = detect(p, DetectorConfig.plain().but(metric="lcs")).select("left_id", "right_id", F.col("distance").alias("d_lcs"))
+    b = detect(p, DetectorConfig.plain().but(metric="hamming_free")).select("left_id", "right_id", F.col("distance").alias("d_free"))
     return a.join(b, ["left_id", "right_id"], "full")
 
 
@@ -214,7 +214,7 @@ def op_sort_limit(s, d):
 
 def _two(s, d):
     p = T.line_paths(_docs(s, d))
-    return (detect(p, DetectorConfig(metric=m, encoding="md5")).select("left_id", "right_id") for m in ("lcs", "hamming_free"))
+    return (detect(p, DetectorConfig.plain().but(metric=m)).select("left_id", "right_id") for m in ("lcs", "hamming_free"))
 
 
 for _name, _word in (("union", "UNION"), ("intersect", "INTERSECT"), ("except", "EXCEPT")):

@@ -143,7 +143,7 @@ def _family_paths(spark: SparkSession, sf_dir: str) -> DataFrame:
 def var_precision(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Share of reported pairs whose origins agree, over all pairs, for several set-ups."""
     paths, out = _family_paths(spark, sf_dir), None
-    for name, cfg in {"default": DetectorConfig(), "md5": DetectorConfig(encoding="md5"), "fast": DetectorConfig.fast(), "legacy": DetectorConfig.legacy()}.items():
+    for name, cfg in {"default": DetectorConfig(), "md5": DetectorConfig.plain(), "fast": DetectorConfig.fast(), "legacy": DetectorConfig.legacy()}.items():
         found = detect(paths, cfg.but(max_set_factor=None))
         same = F.floor(F.col("left_id") / 16) == F.floor(F.col("right_id") / 16)
         row = found.agg(F.count("*").alias("n_reported"), F.count_if(same).alias("n_same_origin")).withColumn("setup", F.lit(name))
@@ -222,7 +222,7 @@ QUERIES["base_learn"] = base_learn
 def doc_exclusive(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Pairs of the modified LCS on blind lines that no rival family reports."""
     docs = _docs(spark, sf_dir)
-    ours = detect(T.line_paths(docs, "blind"), DetectorConfig(encoding="md5", max_set_factor=None)).select("left_id", "right_id")
+    ours = detect(T.line_paths(docs, "blind"), DetectorConfig.plain().but(max_set_factor=None)).select("left_id", "right_id")
     return M.exclusive(ours, [B.token_bag(docs), B.token_set(docs), B.line_lcs(docs), B.line_windows(docs), B.token_runs(docs), B.ngram_index(docs)])
 
 

@@ -24,12 +24,12 @@ def _rows(df):
 @pytest.mark.parametrize("metric", ["lcs", "lcs_mod", "levenshtein", "hamming"])
 def test_prefix_candidates_lose_nothing(docs, metric):
     paths = T.line_paths(docs, "blind", 6)
-    cfg = DetectorConfig(metric=metric, encoding="md5", min_lines=6)
+    cfg = DetectorConfig.plain().but(metric=metric, encoding="md5", min_lines=6)
     assert _rows(detect(paths, cfg)) == _rows(detect(paths, cfg.but(candidates="all", copy="off")))
 
 
 def test_multi_path_sets(docs):
-    cfg = DetectorConfig(encoding="md5", min_lines=6)
+    cfg = DetectorConfig.plain().but(encoding="md5", min_lines=6)
     paths = T.paragraph_paths(docs)
     assert _rows(detect(paths, cfg)) == _rows(detect(paths, cfg.but(candidates="all", copy="off")))
     assert _rows(detect(paths, cfg)) == _rows(detect(paths, cfg.but(merge="none")))
@@ -38,7 +38,7 @@ def test_multi_path_sets(docs):
 def test_threshold_is_strict(spark):
     rows = [(i, 10, 0, [[x] for x in s], 1) for i, s in ((1, "abcdefghij"), (2, "abcdefgxyz"))]
     paths = spark.createDataFrame(rows, "fragment_id long, n_lines int, path_no int, nodes array<array<string>>, mult int")
-    cfg = DetectorConfig(metric="hamming", encoding="md5", min_lines=1)
+    cfg = DetectorConfig.plain().but(metric="hamming", encoding="md5", min_lines=1)
     assert detect(paths, cfg).count() == 0 and detect(paths, cfg.but(tau=0.31)).count() == 1
 
 

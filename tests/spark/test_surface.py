@@ -37,7 +37,7 @@ def test_sql_names(spark):
 
 def test_sweeps_and_report(spark):
     paths = T.line_paths(spark.read.parquet(f"{SF}/documents.parquet"), "blind", 6)
-    cfg = DetectorConfig(metric="lcs", encoding="md5", min_lines=6)
+    cfg = DetectorConfig.plain().but(metric="lcs", encoding="md5", min_lines=6)
     n = {r["tau"]: r["count"] for r in sweeps.sweep_tau(paths, cfg, [0.1, 0.2, 0.4]).groupBy("tau").count().collect()}
     assert n.get(0.1, 0) <= n.get(0.2, 0) <= n[0.4]
     w = sweeps.work(paths, cfg)
