@@ -7,7 +7,7 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from pathtwin.config import DetectorConfig
@@ -43,45 +43,79 @@ def token_set(docs: DataFrame, min_lines: int = 15, share: float = 0.7) -> DataF
     return _prefix_overlap(f, share)
 
 
+def _sharing(f: DataFrame, need: Column) -> DataFrame:
+    """Pairs ``x, y`` of ``f(id, s)`` where ``x`` may have ``need`` of its symbols in ``y``: one of its rarest is there.
+
+    Lists of frequent symbols are joined only with fragments that have hardly any others.
+    """
+    rows = f.select("id", (F.size("s") - need + 1).alias("keep"), F.explode("s").alias("c"))
+    every = rows.select("id", "c").distinct()
+    often = every.groupBy("c").agg(F.count("*").alias("freq"))
+    pos = F.row_number().over(Window.partitionBy("id").orderBy("freq", "c"))
+    rare = rows.join(often, "c").withColumn("pos", pos).filter(F.col("pos") <= F.col("keep")).select("id", "c").distinct()
+    return rare.toDF("x", "c").join(every.toDF("y", "c"), "c").filter("x <> y").select("x", "y").distinct()
+
+
 def line_lcs(docs: DataFrame, min_lines: int = 15, tau: float = 0.3) -> DataFrame:
-    """Blind lines compared by longest common subsequence; a difference up to ``tau`` passes."""
+    """Blind lines compared by longest common subsequence; a difference below ``tau`` passes."""
     cfg = DetectorConfig.plain().but(metric="lcs", min_lines=min_lines, tau=tau, max_set_factor=None)
     return detect(T.line_paths(docs, "blind"), cfg).select("left_id", "right_id")
 
 
 def line_windows(docs: DataFrame, min_lines: int = 15, size: int = 6, share: float = 0.6) -> DataFrame:
-    """Windows of lines that match with at most one line replaced; both sides need ``share`` of their windows matched."""
-    f = T.fragments(docs, min_lines=min_lines).select(F.col("fragment_id").alias("id"), F.size("nodes").alias("n"), "nodes")
-    w = f.select("id", (F.col("n") - size + 1).alias("nw"), F.posexplode(windows(F.col("nodes"), size)).alias("pos", "w"))
-    parts = F.split("w", "\x01")
-    holes = F.transform(F.sequence(F.lit(1), F.lit(size)), lambda i: F.xxhash64(i, F.array_join(F.concat(F.slice(parts, 1, i - 1), F.array(F.lit("\x02")), F.slice(parts, i + 1, size)), "\x01")))
-    keys = w.select("id", "nw", "pos", F.explode(holes).alias("key"))
-    m = keys.alias("a").join(keys.alias("b"), "key").filter(F.col("a.id") != F.col("b.id")).select(F.col("a.id").alias("x"), F.col("b.id").alias("y"), F.col("a.nw").alias("nw"), F.col("a.pos").alias("pos")).distinct()
-    s = m.groupBy("x", "y", "nw").agg(F.count("*").alias("hit")).filter(F.col("hit") >= F.round(F.col("nw") * share, 9))
-    both = s.alias("a").join(s.alias("b"), (F.col("a.x") == F.col("b.y")) & (F.col("a.y") == F.col("b.x"))).filter(F.col("a.x") < F.col("a.y"))
-    return both.select(F.col("a.x").alias("left_id"), F.col("a.y").alias("right_id"))
+    """Windows of lines that match with at most one line replaced; both sides need ``share`` of their windows matched.
 
+    A matched window has all but one of its lines on the other side and a line is in at most ``size`` windows, which says
+    how many lines a pair shares at least.
+    """
+    code = lambda c: F.transform(c, lambda x: F.xxhash64(x))
+    f = T.fragments(docs, min_lines=max(min_lines, size)).select(F.col("fragment_id").alias("id"), code(F.col("nodes")).alias("s"))
+    f = f.withColumn("least", F.ceil(F.round((F.size("s") - size + 1) * share, 9)))
+    pairs = _sharing(f, F.greatest(F.lit(size - 1), F.ceil(F.col("least") * (size - 1) / size))).filter("x < y")
 
-def token_runs(docs: DataFrame, min_lines: int = 15, block: int = 15, least: int = 50) -> DataFrame:
-    """Runs of equal words: hashed blocks are joined and consecutive ones chained on their diagonal; runs add up to ``least`` words."""
-    f = T.fragments(docs, min_lines=min_lines).select(F.col("fragment_id").alias("id"), F.split(F.array_join("nodes", " "), " ").alias("w"))
+    def holes(s: Column) -> Column:
+        """For each window its hash with one line left out, for each of its lines."""
+        left_out = lambda i, k: F.xxhash64(F.lit(k), *[F.get(s, i - 1 + j) for j in range(size) if j != k])
+        return F.transform(F.sequence(F.lit(1), F.size(s) - size + 1), lambda i: F.array(*[left_out(i, k) for k in range(size)]))
+
+    h = f.select("id", "least", holes(F.col("s")).alias("h"))
+    both = pairs.join(h.toDF("x", "nx", "hx"), "x").join(h.toDF("y", "ny", "hy"), "y").withColumn("common", F.array_intersect(F.flatten("hx"), F.flatten("hy")))
+    hits = lambda c: F.size(F.filter(c, lambda w: F.arrays_overlap(w, F.col("common"))))
+    return both.filter((hits(F.col("hx")) >= F.col("nx")) & (hits(F.col("hy")) >= F.col("ny"))).select(F.col("x").alias("left_id"), F.col("y").alias("right_id"))
+
+
+def runs(f: DataFrame, block: int = 15, least: int = 50) -> DataFrame:
+    """Pairs of ``f(id, w)`` with runs of equal tokens: hashed blocks are joined and consecutive ones chained on their diagonal; runs add up to ``least`` tokens."""
     g = f.select("id", F.posexplode(F.transform(windows(F.col("w"), block), lambda x: F.xxhash64(x))).alias("pos", "h"))
-    m = g.alias("a").join(g.alias("b"), "h").filter(F.col("a.id") < F.col("b.id")).select(F.col("a.id").alias("x"), F.col("b.id").alias("y"), (F.col("a.pos") - F.col("b.pos")).alias("diag"), F.col("a.pos").alias("pos"))
+    m = g.alias("a").join(g.alias("b"), "h").filter(F.col("a.id") < F.col("b.id"))
+    m = m.select(F.col("a.id").alias("x"), F.col("b.id").alias("y"), (F.col("a.pos") - F.col("b.pos")).alias("diag"), F.col("a.pos").alias("pos"))
     island = F.col("pos") - F.row_number().over(Window.partitionBy("x", "y", "diag").orderBy("pos"))
-    runs = m.withColumn("island", island).groupBy("x", "y", "diag", "island").agg((F.count("*") + block - 1).alias("words"))
-    return runs.groupBy("x", "y").agg(F.max("words").alias("words")).filter(F.col("words") >= least).select(F.col("x").alias("left_id"), F.col("y").alias("right_id"))
-
-
-def ngram_index(docs: DataFrame, min_lines: int = 15, n: int = 5, share: float = 0.1, verify: float = 0.7, partitions: int = 10) -> DataFrame:
-    """n-gram postings of lines filter, the longest common subsequence over the shorter side verifies."""
-    f = T.fragments(docs, min_lines=min_lines).select(F.col("fragment_id").alias("id"), F.transform("nodes", lambda x: F.xxhash64(x)).alias("s"), windows(F.col("nodes"), n).alias("g"))
-    grams = f.select("id", F.explode(F.array_distinct("g")).alias("g")).repartition(partitions, "g")
-    sizes = grams.groupBy("id").agg(F.count("*").alias("n"))
-    common = grams.alias("a").join(grams.alias("b"), "g").filter(F.col("a.id") < F.col("b.id")).groupBy(F.col("a.id").alias("x"), F.col("b.id").alias("y")).agg(F.count("*").alias("c"))
-    passed = common.join(sizes.toDF("x", "nx"), "x").join(sizes.toDF("y", "ny"), "y").filter(F.col("c") >= F.least("nx", "ny") * share)
-    joined = passed.join(f.select(F.col("id").alias("x"), F.col("s").alias("sx")), "x").join(f.select(F.col("id").alias("y"), F.col("s").alias("sy")), "y")
+    found = m.withColumn("island", island).groupBy("x", "y", "diag", "island").agg((F.count("*") + block - 1).alias("words"))
+    total = found.groupBy("x", "y").agg(F.sum("words").alias("words")).filter(F.col("words") >= least)
+    return total.select(F.col("x").alias("left_id"), F.col("y").alias("right_id"))
+
+
+def token_runs(docs: DataFrame, min_lines: int = 15, block: int = 15, least: int = 50) -> DataFrame:
+    """Runs of equal words of documents."""
+    f = T.fragments(docs, min_lines=min_lines).select(F.col("fragment_id").alias("id"), F.split(F.array_join("nodes", " "), " ").alias("w"))
+    return runs(f, block, least)
+
+
+def ngram_index(docs: DataFrame, min_lines: int = 15, n: int = 5, share: float = 0.1, verify: float = 0.7) -> DataFrame:
+    """Common n-grams of lines filter, the longest common subsequence over the shorter side verifies.
+
+    What verifies bounds what the shorter side has in common, so its rarest lines propose the pairs whose n-grams are counted.
+    """
+    f = T.fragments(docs, min_lines=min_lines).select(F.col("fragment_id").alias("id"), F.transform("nodes", lambda x: F.xxhash64(x)).alias("s"))
+    f = f.withColumn("g", F.array_distinct(F.transform(F.sequence(F.lit(0), F.size("s") - n), lambda i: F.xxhash64(*[F.get("s", i + k) for k in range(n)])))).filter(F.size("s") >= n)
+    left, right = f.toDF("x", "sx", "gx"), f.toDF("y", "sy", "gy")
+    shorter = F.least(F.size("sx"), F.size("sy"))
+    near = _sharing(f, F.ceil(F.round(F.size("s") * verify, 9))).join(left, "x").join(right, "y").filter(F.size("sx") <= F.size("sy"))
+    common = F.size(F.array_intersect("gx", "gy"))
+    near = near.filter((common > 0) & (common >= F.least(F.size("gx"), F.size("gy")) * share))
     length = F.greatest(F.size("sx"), F.size("sy")) - distance_udf("lcs", DetectorConfig.plain().but(normalise="none"))("sx", "sy")
-    return joined.filter(length >= F.round(F.least(F.size("sx"), F.size("sy")) * verify, 9)).select(F.col("x").alias("left_id"), F.col("y").alias("right_id"))
+    found = near.filter(length >= F.round(shorter * verify, 9))
+    return found.select(F.least("x", "y").alias("left_id"), F.greatest("x", "y").alias("right_id")).distinct()
 
 
 def tree_vector(vectors: DataFrame, radius: float) -> DataFrame:

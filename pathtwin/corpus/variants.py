@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from pathtwin.frontends.text_lines import abstract_line, fragments
+from pathtwin.frontends.text_lines import abstract_line, fragments, normalised_lines
 
 #: Share of edited lines in ten-thousandths.
 EDITS = {"vst3": 600, "st3": 2000, "mt3": 4000}
@@ -32,17 +32,29 @@ def _fresh(doc: Column, n: int, kind: str) -> Column:
     return F.transform(F.sequence(F.lit(1), F.lit(n)), lambda i: F.concat_ws(" ", F.lit(kind), doc.cast("string"), i.cast("string")))
 
 
+def _spaced(s: Column) -> Column:
+    """Text of the same lines with other blanks, and an empty line after each."""
+    return F.array_join(F.transform(s, lambda x: F.concat(F.lit("\t"), F.replace(x, F.lit(" "), F.lit(" \t ")), F.lit("  \n"))), "\n")
+
+
+def _renamed(s: Column) -> Column:
+    return F.transform(s, lambda x: F.translate(x, "aeiou", "eioua"))
+
+
 def variants(docs: DataFrame, min_lines: int = 15) -> DataFrame:
-    """Rows ``origin_id, kind, s, v``: lines of the original and of the variant; ``ty2`` is kept in blind form."""
+    """Rows ``origin_id, kind, s, v, text``: lines of the original and of the variant, and the variant's text.
+
+    ``ty1`` differs in blanks and empty lines before it goes through the frontend; the lines of ``ty2``, which is renamed, are
+    kept in blind form on both sides.
+    """
     f = fragments(docs, "exact", min_lines).select(F.col("fragment_id").alias("origin_id"), F.col("nodes").alias("s"))
     d, s = F.col("origin_id"), F.col("s")
-    blind = F.transform(s, lambda x: abstract_line(x, "blind"))
-    renamed = F.transform(s, lambda x: abstract_line(F.translate(x, "aeiou", "eioua"), "blind"))
+    blind = lambda lines: F.transform(lines, lambda x: abstract_line(x, "blind"))
     swapped = F.transform(s, lambda x, i: F.coalesce(F.get(s, F.when(i % 2 == 0, i + 1).otherwise(i - 1)), x))
-    made = {
-        "ty1": (s, F.transform(s, lambda x: F.trim(F.regexp_replace(F.concat(F.lit("  "), F.regexp_replace(x, " ", "   ")), " +", " ")))), "ty2": (blind, renamed),
-        **{k: (s, _edited(d, s, k)) for k in EDITS}, "embed_head": (s, F.concat(_fresh(d, EMBED, "embed_head"), s)), "embed_tail": (s, F.concat(s, _fresh(d, EMBED, "embed_tail"))),
-        "permute": (s, swapped), "shift": (s, F.concat(_fresh(d, 1, "shift"), s)),
+    plain = {
+        **{k: _edited(d, s, k) for k in EDITS}, "embed_head": F.concat(_fresh(d, EMBED, "embed_head"), s), "embed_tail": F.concat(s, _fresh(d, EMBED, "embed_tail")),
+        "permute": swapped, "shift": F.concat(_fresh(d, 1, "shift"), s),
     }
-    rows = F.array(*[F.struct(F.lit(k).alias("kind"), a.alias("s"), v.alias("v")) for k, (a, v) in made.items()])
+    made = {"ty1": (s, normalised_lines(_spaced(s)), _spaced(s)), "ty2": (blind(s), blind(_renamed(s)), F.array_join(_renamed(s), "\n")), **{k: (s, v, F.array_join(v, "\n")) for k, v in plain.items()}}
+    rows = F.array(*[F.struct(F.lit(k).alias("kind"), a.alias("s"), v.alias("v"), t.alias("text")) for k, (a, v, t) in made.items()])
     return f.select("origin_id", F.explode(rows).alias("r")).select("origin_id", "r.*")

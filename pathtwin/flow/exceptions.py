@@ -18,6 +18,7 @@ def propagate(calls: DataFrame, throws: DataFrame, catches: DataFrame, max_round
     more are an error.
     """
     handled = catches.select("fn", "exc").distinct()
+    handled, calls = cut(handled), cut(calls.select("caller", "callee").distinct())
     known = cut(throws.select("fn", "exc").distinct().join(handled, ["fn", "exc"], "left_anti"))
     new = known
     for n in count():

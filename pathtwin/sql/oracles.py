@@ -31,6 +31,18 @@ def shared(source: str = "f") -> str:
     )
 
 
+def likely(tau: float, source: str = "c") -> str:
+    """CTE ``p(x, y)`` of ``source(id, s, n)``: pairs whose bags of symbols have enough in common for a common subsequence of the needed length.
+
+    A common subsequence is never longer than what the bags share, and every metric it is used for is at least the longer
+    length less that, or looks for nine tenths of the shorter.
+    """
+    return (
+        f"bag AS (SELECT id, v, count(*) AS k FROM (SELECT id, unnest(s) AS v FROM {source}) GROUP BY ALL), both_bags AS (SELECT a.id AS x, b.id AS y, sum(least(a.k, b.k)) AS o FROM bag a JOIN bag b ON a.v = b.v AND a.id < b.id GROUP BY ALL), "
+        f"p AS (SELECT x, y FROM both_bags JOIN {source} a ON a.id = x JOIN {source} b ON b.id = y WHERE o > {1 - tau} * greatest(len(a.s), len(b.s)) - 1e-6 OR 100 * o >= 90 * least(len(a.s), len(b.s)))"
+    )
+
+
 def characters(a: str, b: str, which: str) -> str:
     """One of the lists ``a`` and ``b`` with a character for each symbol that occurs in either."""
     return f"array_to_string(list_transform({which}, lambda x: chr(CAST(list_position(list_distinct(list_concat({a}, {b})), x) AS INTEGER))), '')"
@@ -98,7 +110,7 @@ def clones(metric: str, min_lines: int = 15, mode: str = "exact", tau: float = 0
     z = f", {lcs('a.s', 'b.s')} AS z" if needs_lcs(metric) else ""
     f = source or fragments(min_lines, mode)
     one = "c AS (SELECT min(id) AS id, s, n FROM f GROUP BY s, n)" if by_class else "c AS (SELECT id, s, n FROM f)"
-    near = every("c") if metric == "hamming_free" else shared("c")
+    near = every("c") if metric == "hamming_free" else likely(tau) if metric in ("lcs", "lcs_mod", "alignment", "hamming", "levenshtein", "damerau") else shared("c")
     inner = f"SELECT p.x, p.y, a.s AS sa, b.s AS sb{z} FROM p JOIN c a ON a.id = p.x JOIN c b ON b.id = p.y"
     d = distance(metric, "sa", "sb", tau=tau, cap=cap)
     found = f"SELECT x AS left_id, y AS right_id, round(CAST({d} AS DOUBLE), 6) AS distance FROM m WHERE round({d}, 6) < {tau}"
@@ -106,3 +118,19 @@ def clones(metric: str, min_lines: int = 15, mode: str = "exact", tau: float = 0
         return f"WITH {f}, {one}, {near}, m AS ({inner}) {found}"
     rest = "SELECT 'member' AS \"row\", c.id AS left_id, f.id AS right_id, CAST(0 AS DOUBLE) AS distance FROM f JOIN c ON f.s = c.s WHERE f.id <> c.id"
     return f"WITH {f}, {one}, {near}, m AS ({inner}) SELECT 'pair' AS \"row\", * FROM ({found}) UNION ALL {rest}"
+
+
+def set_clones(paths: str, metric: str, cap: int | None = None, tau: float = 0.3, factor: float | None = 1.7) -> str:
+    """Clone pairs of sets of paths; ``paths`` makes ``w(id, q, mult)``. Distinct paths are compared once; the smaller set's mean decides, on ties the smaller mean."""
+    size = f" AND greatest(tx.size, ty.size) <= {factor} * least(tx.size, ty.size)" if factor else ""
+    return f"""{paths}, t AS (SELECT id, sum(mult) AS size FROM w GROUP BY id),
+p2 AS (SELECT tx.id AS x, ty.id AS y, tx.size AS nx, ty.size AS ny FROM t tx JOIN t ty ON tx.id < ty.id{size}),
+u AS (SELECT row_number() OVER () AS no, q FROM (SELECT DISTINCT q FROM w)), wu AS (SELECT id, no, mult FROM w JOIN u ON w.q = u.q),
+v AS (SELECT DISTINCT no, unnest(q) AS c FROM u), e AS (SELECT DISTINCT a.no AS i, b.no AS j FROM v a JOIN v b ON a.c = b.c AND a.no <= b.no),
+z AS (SELECT i, j, a.q AS qa, b.q AS qb, {lcs('a.q', 'b.q')} AS z FROM e JOIN u a ON a.no = i JOIN u b ON b.no = j),
+d0 AS (SELECT i, j, {distance(metric, 'qa', 'qb', tau=tau, cap=cap)} AS d FROM z), d1 AS (SELECT i, j, d FROM d0 WHERE d < 1 UNION SELECT j, i, d FROM d0 WHERE d < 1),
+near AS (SELECT a.id AS x, a.no, b.id AS y, min(d) AS d FROM wu a JOIN d1 ON d1.i = a.no JOIN wu b ON b.no = d1.j AND b.id <> a.id GROUP BY ALL),
+part AS (SELECT near.x, near.y, sum(wu.mult * (1 - near.d)) AS got FROM near JOIN wu ON wu.id = near.x AND wu.no = near.no GROUP BY ALL),
+r AS (SELECT p2.x, p2.y, 1 - coalesce(fwd.got, 0) / nx AS f, 1 - coalesce(bwd.got, 0) / ny AS b, nx, ny FROM p2 LEFT JOIN part fwd ON fwd.x = p2.x AND fwd.y = p2.y LEFT JOIN part bwd ON bwd.x = p2.y AND bwd.y = p2.x),
+o AS (SELECT x, y, round(CAST(CASE WHEN nx < ny THEN f WHEN ny < nx THEN b ELSE least(f, b) END AS DOUBLE), 6) AS v FROM r)
+SELECT x AS left_id, y AS right_id, v AS distance FROM o WHERE v < {tau}"""

@@ -128,25 +128,18 @@ def _merge_sql() -> str:
     return f"list_reduce(list_sort(list(DISTINCT [{{'q': q, 'm': m}}])), lambda acc, x: CASE WHEN {first} = 0 THEN list_concat(acc, x) ELSE {joined} END)"
 
 
-def _para_sql(encoded: bool, merge: bool, cap: int | None) -> str:
-    """Trees of paragraphs: one path a line, root first; the set distance over the smaller set, both ways on ties."""
+def _para_paths_sql(encoded: bool, merge: bool) -> str:
+    """CTEs up to ``w(id, q, mult)``: trees of paragraphs, one path a line, root first."""
     code = f"list_transform(q, lambda x: {_LSH})" if encoded else "q"
     merged = f"h AS (SELECT id, unnest({_merge_sql()}) AS k FROM w0 GROUP BY id), w AS (SELECT id, k.q AS q, k.m AS mult FROM h)" if merge else "w AS (SELECT id, q, m AS mult FROM w0)"
     return f"""WITH {O.fragments(15)},
 g AS (SELECT id, n, list_filter(list_transform(string_split(unnest(s), '. '), lambda x: trim(x)), lambda x: x <> '') AS q, trim(string_split(s[1], '. ')[1]) AS root FROM f),
 g2 AS (SELECT id, list_concat([root], q) AS q FROM g), g3 AS (SELECT id, {code} AS q FROM g2),
-w0 AS (SELECT id, q, count(*) AS m FROM g3 GROUP BY ALL), {merged},
-t AS (SELECT id, sum(mult) AS size FROM w GROUP BY id),
-p2 AS (SELECT tx.id AS x, ty.id AS y, tx.size AS nx, ty.size AS ny FROM t tx JOIN t ty ON tx.id < ty.id AND greatest(tx.size, ty.size) <= 1.7 * least(tx.size, ty.size)),
-u AS (SELECT row_number() OVER () AS no, q FROM (SELECT DISTINCT q FROM w)), wu AS (SELECT id, no, mult FROM w JOIN u ON w.q = u.q),
-v AS (SELECT DISTINCT no, unnest(q) AS c FROM u), e AS (SELECT DISTINCT a.no AS i, b.no AS j FROM v a JOIN v b ON a.c = b.c AND a.no <= b.no),
-z AS (SELECT i, j, a.q AS qa, b.q AS qb, {O.lcs('a.q', 'b.q')} AS z FROM e JOIN u a ON a.no = i JOIN u b ON b.no = j),
-d0 AS (SELECT i, j, {O.distance('lcs_mod', 'qa', 'qb', cap=cap)} AS d FROM z), d1 AS (SELECT i, j, d FROM d0 WHERE d < 1 UNION SELECT j, i, d FROM d0 WHERE d < 1),
-near AS (SELECT a.id AS x, a.no, b.id AS y, min(d) AS d FROM wu a JOIN d1 ON d1.i = a.no JOIN wu b ON b.no = d1.j AND b.id <> a.id GROUP BY ALL),
-part AS (SELECT near.x, near.y, sum(wu.mult * (1 - near.d)) AS got FROM near JOIN wu ON wu.id = near.x AND wu.no = near.no GROUP BY ALL),
-r AS (SELECT p2.x, p2.y, 1 - coalesce(fwd.got, 0) / nx AS f, 1 - coalesce(bwd.got, 0) / ny AS b, nx, ny FROM p2 LEFT JOIN part fwd ON fwd.x = p2.x AND fwd.y = p2.y LEFT JOIN part bwd ON bwd.x = p2.y AND bwd.y = p2.x),
-o AS (SELECT x, y, round(CAST(CASE WHEN nx < ny THEN f WHEN ny < nx THEN b ELSE least(f, b) END AS DOUBLE), 6) AS v FROM r)
-SELECT x AS left_id, y AS right_id, v AS distance FROM o WHERE v < 0.3"""
+w0 AS (SELECT id, q, count(*) AS m FROM g3 GROUP BY ALL), {merged}"""
+
+
+def _para_sql(encoded: bool, merge: bool, cap: int | None) -> str:
+    return O.set_clones(_para_paths_sql(encoded, merge), "lcs_mod", cap)
 
 
 @query("doc_clones_default", _para_sql(True, True, CAP))
@@ -272,13 +265,42 @@ def doc_path_merge(spark: SparkSession, sf_dir: str) -> DataFrame:
     return S.encoded_paths(paths, "md5").groupBy("fragment_id").agg(F.sum("mult").alias("n_paths"), F.count("*").alias("n_merged"))
 
 
-@query("doc_path_merge_one_node")
+@query("doc_path_merge_one_node", f"{_para_paths_sql(False, True)} SELECT id AS fragment_id, CAST(sum(mult) AS BIGINT) AS n_paths, count(*) AS n_merged FROM w GROUP BY id")
 def doc_path_merge_one_node(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Merging of paths that differ in one node, greedy in sorted order."""
     encoded = S.encoded_paths(T.paragraph_paths(_docs(spark, sf_dir), 15), "md5", "one_node")
     return encoded.groupBy("fragment_id").agg(F.sum("mult").alias("n_paths"), F.count("*").alias("n_merged"))
 
 
+def _saving_sql() -> str:
+    parts = []
+    for name, merge in (("none", "sum(mult)"), ("identical", "count(*)"), ("one_node", "count(*)")):
+        paths = _para_paths_sql(True, name == "one_node")
+        parts.append(
+            f"SELECT * FROM ({paths}, k AS MATERIALIZED (SELECT id, sum(mult) AS n, {merge} AS kept FROM w GROUP BY id) SELECT '{name}' AS merge, CAST((SELECT sum(kept) FROM k) AS BIGINT) AS n_paths, "
+            "CAST((SELECT sum(a.kept * b.kept) FROM k a JOIN k b ON a.id < b.id AND greatest(a.n, b.n) <= 1.7 * least(a.n, b.n)) AS BIGINT) AS n_compared)"
+        )
+    return " UNION ALL ".join(parts)
+
+
+@query("doc_merge_saving", _saving_sql())
+def doc_merge_saving(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Paths kept and pairs of paths to compare, over all pairs of sets within the size factor, without merging, with equal and with one-node paths merged."""
+    paths, out = T.paragraph_paths(_docs(spark, sf_dir), 15), None
+    for how in ("none", "identical", "one_node"):
+        k = S.encoded_paths(paths, "lsh", how).groupBy("fragment_id").agg(F.sum("mult").alias("n"), F.count("*").alias("kept"))
+        sizes = k.groupBy("n", "kept").agg(F.count("*").alias("m"))
+        a, b = sizes.toDF("na", "ka", "ma"), sizes.toDF("nb", "kb", "mb")
+        near = a.join(b, F.greatest("na", "nb") <= 1.7 * F.least("na", "nb"))
+        same = (F.col("na") == F.col("nb")) & (F.col("ka") == F.col("kb"))
+        both = F.sum(F.col("ka") * F.col("kb") * F.when(same, F.col("ma") * (F.col("ma") - 1)).otherwise(F.col("ma") * F.col("mb")))
+        row = near.agg((both / 2).cast("long").alias("n_compared")).withColumn("merge", F.lit(how))
+        total = sizes.agg(F.sum(F.col("kept") * F.col("m")).alias("n_paths")).withColumn("merge", F.lit(how))
+        row = row.join(total, "merge").select("merge", "n_paths", "n_compared")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 _GRID = [(a, c) for a in (1.2, 1.7, 2.5) for c in (3, 7, 15)]
 
 
@@ -323,7 +345,7 @@ def doc_subclones(spark: SparkSession, sf_dir: str) -> DataFrame:
     probe = b.filter(F.size("g") > 0).select("item_id", "passage", F.col("g")[0].alias("gram"))
     hits = docs.select("doc_id", "text", F.explode(all_grams).alias("gram")).join(probe, "gram").filter(F.contains("text", "passage"))
     rest = b.filter(F.size("g") == 0).select("item_id", "passage")
-    short = docs.join(F.broadcast(rest), F.contains("text", "passage"))
+    short = docs.join(rest, F.contains("text", "passage"))
     return hits.select("item_id", "doc_id").unionByName(short.select("item_id", "doc_id")).distinct()
 
 

@@ -2,16 +2,18 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from pathtwin.config import DetectorConfig
 from pathtwin.flow.dominators import dominator_paths, idom_bulk, idom_local
+from pathtwin.flow.exceptions import propagate
 from pathtwin.frontends import event_flow as E
 from pathtwin.frontends import tables as T
 from pathtwin.match.detector import detect, detect_classes, groups
 from pathtwin.sources.io import read_table
 from pathtwin.sql import oracles as O
+from pathtwin.workloads.documents import clone_rows
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -62,17 +64,23 @@ def flow_dominance(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES["flow_dominance"] = flow_dominance
 ORACLES["flow_dominance"] = f"WITH RECURSIVE {_DOM} SELECT f AS fragment_id, v AS node_id, depth AS n_dominators FROM k"
 QUERIES["flow_clones"] = lambda spark, sf_dir: detect(E.flow_paths(_events(spark, sf_dir), 10), DetectorConfig.plain().but(metric="lcs", min_lines=10)).select("left_id", "right_id", "distance")
+ORACLES["flow_clones"] = O.set_clones(
+    f"WITH w AS MATERIALIZED (WITH RECURSIVE {_DOM}, tr AS (SELECT f, v, [v] AS path FROM i WHERE idom = 'entry' UNION ALL SELECT i.f, i.v, list_append(tr.path, i.v) FROM tr JOIN i ON i.f = tr.f AND i.idom = tr.v), "
+    "big AS (SELECT f FROM sy GROUP BY f HAVING count(*) >= 10) SELECT f AS id, path AS q, count(*) AS mult FROM tr WHERE f IN (SELECT f FROM big) AND NOT EXISTS (SELECT 1 FROM i WHERE i.f = tr.f AND i.idom = tr.v) GROUP BY ALL)",
+    "lcs",
+)
 
 _TAGS = "f AS (SELECT page_id AS id, regexp_extract_all(lower(coalesce(html, '')), '<(/?[a-z][a-z0-9]*)', 1) AS s FROM pages)"
 
 
 def tag_clones(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Pages whose tag sequences differ by less than a tenth."""
+    """Pages whose tag sequences differ by less than a tenth: pairs of classes of equal sequences, and their members."""
     cfg = DetectorConfig.plain().but(metric="lcs", min_lines=1, tau=0.1, max_set_factor=None)
-    return detect(T.tag_paths(read_table(spark, sf_dir, "pages", "page_id", "html")), cfg).select("left_id", "right_id", "distance")
+    return clone_rows(T.tag_paths(read_table(spark, sf_dir, "pages", "page_id", "html")), cfg)
 
 
 QUERIES["tag_clones"] = tag_clones
+ORACLES["tag_clones"] = O.clones("lcs", 1, tau=0.1, source="f AS (SELECT id, s, len(s) AS n FROM (SELECT page_id AS id, regexp_extract_all(lower(coalesce(html, '')), '<(/?[a-z][a-z0-9]*)', 1) AS s FROM pages) WHERE len(s) >= 1)", by_class=True)
 QUERIES["tag_paths"] = lambda spark, sf_dir: T.tag_paths(read_table(spark, sf_dir, "pages", "page_id", "html")).select("fragment_id", F.col("n_lines").cast("long").alias("n_tags"), F.md5(F.array_join(F.flatten("nodes"), " ")).alias("digest"))
 ORACLES["tag_paths"] = f"WITH {_TAGS} SELECT id AS fragment_id, len(s) AS n_tags, md5(array_to_string(s, ' ')) AS digest FROM f"
 QUERIES["dom_paths"] = lambda spark, sf_dir: T.dom_paths(read_table(spark, sf_dir, "pages")).select("fragment_id", "path_no", F.transform("nodes", lambda x: F.array_join(x, " ")).alias("path"))
@@ -144,6 +152,30 @@ def order_fast_vs_default(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES["order_fast_vs_default"] = order_fast_vs_default
 
 
+def flow_exceptions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Exceptions that escape from functions, along calls to the fixpoint.
+
+    Parts stand for functions: a part calls the part of the next line of an order; lines of the greatest quantity raise their
+    return flag, and a part handles the flag that its size names.
+    """
+    line = read_table(spark, sf_dir, "lineitem", "l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate", "l_extendedprice", "l_returnflag", "l_quantity")
+    w = Window.partitionBy("l_orderkey").orderBy("l_linenumber", "l_partkey", "l_suppkey", "l_shipdate", "l_extendedprice")
+    calls = line.select(F.col("l_partkey").alias("caller"), F.lead("l_partkey").over(w).alias("callee")).dropna().distinct()
+    throws = line.filter("l_quantity >= 50").select(F.col("l_partkey").alias("fn"), F.col("l_returnflag").alias("exc")).distinct()
+    flag = F.element_at(F.array(F.lit("A"), F.lit("N"), F.lit("R")), F.col("p_size") % 3 + 1)
+    catches = read_table(spark, sf_dir, "part", "p_partkey", "p_size").select(F.col("p_partkey").alias("fn"), flag.alias("exc"))
+    return propagate(calls, throws, catches).select("fn", "exc")
+
+
+QUERIES["flow_exceptions"] = flow_exceptions
+ORACLES["flow_exceptions"] = (
+    "WITH RECURSIVE c AS (SELECT DISTINCT caller, callee FROM (SELECT l_partkey AS caller, lead(l_partkey) OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, l_suppkey, l_shipdate, l_extendedprice) AS callee FROM lineitem) WHERE callee IS NOT NULL), "
+    "h AS (SELECT p_partkey AS fn, CASE p_size % 3 WHEN 0 THEN 'A' WHEN 1 THEN 'N' ELSE 'R' END AS exc FROM part), "
+    "k AS (SELECT DISTINCT l_partkey AS fn, l_returnflag AS exc FROM lineitem l WHERE l_quantity >= 50 AND NOT EXISTS (SELECT 1 FROM h WHERE h.fn = l.l_partkey AND h.exc = l.l_returnflag) "
+    "UNION SELECT c.caller, k.exc FROM k JOIN c ON c.callee = k.fn WHERE NOT EXISTS (SELECT 1 FROM h WHERE h.fn = c.caller AND h.exc = k.exc)) SELECT fn, exc FROM k"
+)
+
+
 def clone_report_by_nation(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Orders in classes of equal sequences, rolled up by region and nation of their customers."""
     p = T.order_paths(read_table(spark, sf_dir, "lineitem"))

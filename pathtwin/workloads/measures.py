@@ -7,56 +7,150 @@ from pyspark.sql import functions as F
 
 from pathtwin.baselines import families as B
 from pathtwin.config import DetectorConfig
-from pathtwin.corpus.variants import KINDS
 from pathtwin.evaluation import measures as M
 from pathtwin.frontends import text_lines as T
 from pathtwin.match.detector import against, detect
 from pathtwin.match.report import category
 from pathtwin.metrics import columns as C
 from pathtwin.metrics import distance_udf
+from pathtwin.plans.lineage import cut
 from pathtwin.sources.io import read_table
 from pathtwin.sql import oracles as O
 from pathtwin.workloads import variants as V
-from pathtwin.workloads.documents import _docs
+from pathtwin.workloads.documents import PLAIN, _docs
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
 FAMILIES = {"bag": B.token_bag, "set": B.token_set, "line": B.line_lcs, "win": B.line_windows, "run": B.token_runs, "gram": B.ngram_index}
 
 
-def var_recall_baselines(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Pairs of an original and its variant that each rival family finds, by kind."""
-    family = V._family(spark, sf_dir)
-    docs = family.select(F.col("fragment_id").alias("doc_id"), F.array_join("l", "\n").alias("text"))
-    truth = family.filter("kind <> 'origin'").select((F.floor(F.col("fragment_id") / 16) * 16).alias("left_id"), F.col("fragment_id").alias("right_id"), "kind")
-    out = None
-    for name, find in FAMILIES.items():
-        part = M.recall(find(docs), truth, "kind").withColumn("family", F.lit(name))
-        out = part if out is None else out.unionByName(part)
-    return out
+FIRST, OWN = " UNION ALL ", "a.id // 16 = b.id // 16"
+
 
+def _recall(spark: SparkSession, sf_dir: str, min_lines: int, rivals: dict, setups: dict, mode: str = "blind") -> DataFrame:
+    """Pairs of an original and its variant that each detector finds, by kind."""
+    docs = V.family(spark, sf_dir, min_lines)
+    truth, out = V.family_truth(docs), None
+    found = {k: lambda f=f: f(docs, min_lines) for k, f in rivals.items()}
+    found |= {k: lambda c=c: detect(T.line_paths(docs, mode), c.but(min_lines=min_lines)) for k, (c, _) in setups.items()}
+    for name, find in found.items():
+        part = M.recall(find(), truth, "kind").withColumn("detector", F.lit(name))
+        out = part if out is None else out.unionByName(part)
+    return out.select("detector", "kind", "n_pairs", "n_found", "recall")
 
-def _family_sql() -> str:
-    number = " ".join(f"WHEN '{k}' THEN {i + 1}" for i, k in enumerate(KINDS))
-    fam = (
-        f"fam AS MATERIALIZED (SELECT id * 16 + CASE kind {number} END AS doc_id, kind, array_to_string(v, chr(10)) AS text FROM x WHERE kind <> 'ty2' "
-        "UNION ALL SELECT id * 16, 'origin', array_to_string(s, chr(10)) FROM x WHERE kind = 'ty1')"
-    )
 
+def _recall_sql(min_lines: int, rivals: dict, setups: dict, mode: str = "blind") -> str:
     def own(sql: str) -> str:
-        """A family's SQL on the variants, kept to pairs of one origin: recall needs no others."""
-        return sql.replace("FROM documents", "FROM fam").replace("a.id < b.id", "a.id < b.id AND a.id // 16 = b.id // 16").replace("a.id <> b.id", "a.id <> b.id AND a.id // 16 = b.id // 16")
+        """A detector's SQL on the variants, kept to pairs of one origin: recall needs no others."""
+        if min_lines != 15:
+            sql = sql.replace(O.fragments(15), O.fragments(min_lines)).replace(O.fragments(15, "blind"), O.fragments(min_lines, "blind")).replace(O.fragments(15, "keep_head"), O.fragments(min_lines, "keep_head"))
+        return sql.replace("FROM documents", "FROM fam").replace("a.id < b.id", f"a.id < b.id AND {OWN}").replace("a.id <> b.id", f"a.id <> b.id AND {OWN}")
 
+    queries = {k: own(V.ORACLES[f"base_{k}"]) for k in rivals} | {k: own(V.setup_sql(k, min_lines, mode)) for k in setups}
     parts = [
-        f"SELECT '{k}' AS family, kind, count(*) AS n_pairs, count(hit.right_id) AS n_found, round(count(hit.right_id) / count(*), 6) AS recall "
-        f"FROM (SELECT doc_id // 16 * 16 AS l, doc_id AS r, kind FROM fam WHERE kind <> 'origin') LEFT JOIN ({own(V.ORACLES[f'base_{k}'])}) hit ON hit.left_id = l AND hit.right_id = r GROUP BY kind"
-        for k in FAMILIES
+        f"SELECT '{k}' AS detector, kind, count(*) AS n_pairs, count(hit.right_id) AS n_found, round(count(hit.right_id) / count(*), 6) AS recall "
+        f"FROM (SELECT doc_id // 16 * 16 AS l, doc_id AS r, kind FROM fam WHERE kind <> 'origin') LEFT JOIN ({q}) hit ON hit.left_id = l AND hit.right_id = r GROUP BY kind"
+        for k, q in queries.items()
     ]
-    return f"WITH {V._variants_sql()}, {fam} " + " UNION ALL ".join(parts)
+    return f"WITH {V.family_sql(min_lines)} " + FIRST.join(parts)
+
+
+QUERIES["var_recall_baselines"] = lambda s, d: _recall(s, d, 15, FAMILIES, {})
+ORACLES["var_recall_baselines"] = _recall_sql(15, FAMILIES, {})
+QUERIES["var_recall_detector"] = lambda s, d: _recall(s, d, 15, {}, V.SETUPS)
+ORACLES["var_recall_detector"] = _recall_sql(15, {}, V.SETUPS)
+SMALL = {k: FAMILIES[k] for k in ("bag", "set", "line", "win", "gram")}
+QUERIES["var_recall_min6"] = lambda s, d: _recall(s, d, 6, SMALL, {"default": V.SETUPS["default"]})
+ORACLES["var_recall_min6"] = _recall_sql(6, SMALL, {"default": V.SETUPS["default"]})
+
+
+def var_recall_learned(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Recall of the learned family by kind, trained on half of the origins and scored on the others."""
+    v, docs = V._var(spark, sf_dir), V.family(spark, sf_dir)
+    half = F.pmod(F.xxhash64("origin_id"), F.lit(2)) == 0
+    found = V.learned_pairs(v.filter(half), docs.filter(F.pmod(F.xxhash64(F.floor(F.col("doc_id") / 16)), F.lit(2)) == 1))
+    truth = V.family_truth(docs.filter(F.pmod(F.xxhash64(F.floor(F.col("doc_id") / 16)), F.lit(2)) == 1))
+    return M.recall(found, truth, "kind")
+
+
+QUERIES["var_recall_learned"] = var_recall_learned
+
+#: Sweeps of the default set-up over the labelled variants: thresholds, least sizes, caps on the difference of lengths.
+TAUS, LEAST, CAPS = (0.1, 0.2, 0.3, 0.4), tuple(range(6, 21, 2)), (0, 3, 7, 15)
+
+
+def _score(found: DataFrame, truth: DataFrame) -> list:
+    """One row of recall and precision."""
+    same = F.floor(F.col("left_id") / 16) == F.floor(F.col("right_id") / 16)
+    reported = found.agg(F.count("*").alias("n_reported"), F.count_if(same).alias("n_same_origin")).withColumn("one", F.lit(1))
+    hit = M.recall(found, truth, None).withColumn("one", F.lit(1))
+    return hit.join(reported, "one").drop("one").withColumn("precision", F.round(F.col("n_same_origin") / F.col("n_reported"), 6))
+
+
+def _swept(name: str, rows: dict) -> DataFrame:
+    out = None
+    for value, row in rows.items():
+        row = row.withColumn(name, F.lit(value))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def _score_sql(name: str, kind: str, rows: dict[object, str], truth: str = "TRUE") -> str:
+    """Recall and precision for each value from SQL of its pairs; ``truth`` may name the value as ``$``."""
+    parts = []
+    for value, sql in rows.items():
+        t = f"(SELECT doc_id // 16 * 16 AS l, doc_id AS r FROM fam WHERE kind <> 'origin' AND {truth.replace('$', str(value))})"
+        parts.append(
+            f"SELECT CAST({value} AS {kind}) AS {name}, n_pairs, n_found, round(n_found / n_pairs, 6) AS recall, n_reported, n_same_origin, round(n_same_origin / n_reported, 6) AS precision FROM "
+            f"(SELECT count(*) AS n_reported, count(*) FILTER (left_id // 16 = right_id // 16) AS n_same_origin FROM ({sql})), "
+            f"(SELECT count(*) AS n_pairs, count(h.left_id) AS n_found FROM {t} LEFT JOIN ({sql}) h ON h.left_id = l AND h.right_id = r)"
+        )
+    return f"WITH {V.family_sql(15 if name != 'min_lines' else 6)} " + FIRST.join(parts)
+
+
+def var_tau_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Recall and precision of the default set-up at each threshold."""
+    docs = V.family(spark, sf_dir)
+    paths, truth = T.line_paths(docs), V.family_truth(docs)
+    return _swept("tau", {t: _score(detect(paths, DetectorConfig(tau=t)), truth) for t in TAUS})
+
 
+QUERIES["var_tau_sweep"] = var_tau_sweep
+ORACLES["var_tau_sweep"] = _score_sql("tau", "DOUBLE", {t: V.setup_sql("default", tau=t) for t in TAUS})
 
-QUERIES["var_recall_baselines"] = var_recall_baselines
-ORACLES["var_recall_baselines"] = _family_sql()
+
+def var_cap_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Recall and precision of the default set-up at each greatest difference of lengths."""
+    docs = V.family(spark, sf_dir)
+    paths, truth = T.line_paths(docs), V.family_truth(docs)
+    return _swept("cap", {c: _score(detect(paths, DetectorConfig(max_len_diff=c)), truth) for c in CAPS})
+
+
+QUERIES["var_cap_sweep"] = var_cap_sweep
+ORACLES["var_cap_sweep"] = _score_sql("cap", "INTEGER", {c: V.setup_sql("default", cap=c) for c in CAPS})
+
+
+def var_min_size_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Recall and precision of the default set-up at each least size: one run at the smallest, truth and pairs of which both sides are large enough."""
+    docs = V.family(spark, sf_dir, min(LEAST))
+    n = T.fragments(docs).select("fragment_id", "n_lines")
+    sized = lambda df: df.join(n.toDF("left_id", "na"), "left_id").join(n.toDF("right_id", "nb"), "right_id").withColumn("k", F.least("na", "nb"))
+    found = cut(sized(detect(T.line_paths(docs), DetectorConfig(min_lines=min(LEAST)))).select("left_id", "right_id", "k"))
+    truth = cut(sized(V.family_truth(docs)).select("left_id", "right_id", "k"))
+    return _swept("min_lines", {m: _score(found.filter(F.col("k") >= m), truth.filter(F.col("k") >= m)) for m in LEAST})
+
+
+QUERIES["var_min_size_sweep"] = var_min_size_sweep
+
+
+def _min_size_sql() -> str:
+    sized = f"sz AS MATERIALIZED (SELECT id, n FROM (WITH {O.fragments(1).replace('FROM documents', 'FROM fam')} SELECT id, n FROM f)), found AS MATERIALIZED (SELECT left_id, right_id, least(a.n, b.n) AS k FROM ({V.setup_sql('default', min(LEAST))}) JOIN sz a ON a.id = left_id JOIN sz b ON b.id = right_id)"
+    truth = "least((SELECT n FROM sz WHERE id = doc_id), (SELECT n FROM sz WHERE id = doc_id // 16 * 16)) >= $"
+    rows = {m: f"SELECT left_id, right_id FROM found WHERE k >= {m}" for m in LEAST}
+    return _score_sql("min_lines", "INTEGER", rows, truth).replace(V.family_sql(6), f"{V.family_sql(6)}, {sized}")
+
+
+ORACLES["var_min_size_sweep"] = _min_size_sql()
 
 
 def var_composition(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -96,6 +190,37 @@ ORACLES["doc_exclusive_categories"] = (
 )
 
 
+def doc_exclusive_rivals(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """For each rival: pairs that only the modified LCS on blind lines, or only the rival reports, by category."""
+    docs = _docs(spark, sf_dir)
+    ours = cut(detect(T.line_paths(docs, "blind"), PLAIN.but(max_set_factor=None)).select("left_id", "right_id"))
+    alone = None
+    for name, find in FAMILIES.items():
+        theirs = cut(find(docs))
+        part = M.exclusive(ours, [theirs]).withColumn("side", F.lit("ours")).unionByName(M.exclusive(theirs, [ours]).withColumn("side", F.lit("rival")))
+        part = part.withColumn("rival", F.lit(name))
+        alone = part if alone is None else alone.unionByName(part)
+    f = T.fragments(docs, min_lines=15).select("fragment_id", F.transform("nodes", lambda x: F.xxhash64(x)).alias("s"))
+    both = alone.join(f.toDF("left_id", "a"), "left_id").join(f.toDF("right_id", "b"), "right_id")
+    longer = F.greatest(F.size("a"), F.size("b"))
+    common = longer - distance_udf("lcs", PLAIN.but(normalise="none"))("a", "b")
+    overlap = C.common_items(F.col("a"), F.col("b")) / longer
+    named = both.withColumn("common", common).withColumn("category", category(F.col("common"), F.size("a"), F.size("b"), overlap))
+    return named.groupBy("rival", "side", "category").agg(F.count("*").alias("n_pairs"))
+
+
+QUERIES["doc_exclusive_rivals"] = doc_exclusive_rivals
+_RIVALS = FIRST.join(
+    f"SELECT '{k}' AS rival, 'ours' AS side, * FROM (SELECT * FROM l EXCEPT SELECT left_id, right_id FROM ({V.ORACLES[f'base_{k}']})) UNION ALL SELECT '{k}', 'rival', * FROM (SELECT left_id, right_id FROM ({V.ORACLES[f'base_{k}']}) EXCEPT SELECT * FROM l)" for k in FAMILIES
+)
+ORACLES["doc_exclusive_rivals"] = (
+    f"WITH {O.fragments(15)}, l AS MATERIALIZED (SELECT left_id, right_id FROM ({O.clones('lcs_mod', 15, 'blind')})), e AS ({_RIVALS}), "
+    f"m AS (SELECT rival, side, a.s AS sa, b.s AS sb, {O.lcs('a.s', 'b.s')} AS z, coalesce(list_sum(list_transform(list_distinct(a.s), lambda k: least({O.times('a.s', 'k')}, {O.times('b.s', 'k')}))), 0) AS o FROM e JOIN f a ON a.id = left_id JOIN f b ON b.id = right_id), "
+    "n AS (SELECT rival, side, z, o, least(len(sa), len(sb)) AS lo, greatest(len(sa), len(sb)) AS hi FROM m) "
+    "SELECT rival, side, CASE WHEN z >= 0.9 * lo AND lo < 0.7 * hi THEN 'subclone' WHEN o / hi >= 0.7 AND z < 0.7 * hi THEN 'structural' ELSE 'other' END AS category, count(*) AS n_pairs FROM n GROUP BY ALL"
+)
+
+
 def doc_incremental(spark: SparkSession, sf_dir: str) -> DataFrame:
     """New documents (ids divisible by five) against all others as the index; the index is not matched with itself."""
     paths = T.line_paths(_docs(spark, sf_dir), "exact", 15)

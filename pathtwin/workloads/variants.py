@@ -15,7 +15,7 @@ from pathtwin.match.detector import detect
 from pathtwin.metrics import distance_udf
 from pathtwin.sources.io import read_table
 from pathtwin.sql import oracles as O
-from pathtwin.workloads.documents import METRICS, SHORT, _docs, _lsh_sql
+from pathtwin.workloads.documents import _LSH, CAP, METRICS, PLAIN, SHORT, _docs
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -34,15 +34,22 @@ def _fresh_sql(kind: str, n: int) -> str:
     return f"list_transform(range(1, {n + 1}), lambda i: '{kind} ' || CAST(id AS VARCHAR) || ' ' || CAST(i AS VARCHAR))"
 
 
-def _variants_sql() -> str:
+def _variants_sql(min_lines: int = 15) -> str:
+    """CTEs up to ``x(id, kind, s, v, text)``."""
     swap = "list_transform(s, lambda x, i: coalesce(s[CASE WHEN i % 2 = 1 THEN i + 1 ELSE i - 1 END], x))"
+    spaced = "array_to_string(list_transform(s, lambda x: chr(9) || replace(x, ' ', ' ' || chr(9) || ' ') || '  ' || chr(10)), chr(10))"
+    renamed = "list_transform(s, lambda y: translate(y, 'aeiou', 'eioua'))"
+    plain = {
+        **{k: _edit_sql(k) for k in EDITS}, "embed_head": f"list_concat({_fresh_sql('embed_head', EMBED)}, s)", "embed_tail": f"list_concat(s, {_fresh_sql('embed_tail', EMBED)})",
+        "permute": swap, "shift": f"list_concat({_fresh_sql('shift', 1)}, s)",
+    }
+    joined = lambda v: f"array_to_string({v}, chr(10))"
     made = {
-        "ty1": ("s", "s"), "ty2": (O.abstracted("blind", "s"), O.abstracted("blind", "list_transform(s, lambda y: translate(y, 'aeiou', 'eioua'))")), **{k: ("s", _edit_sql(k)) for k in EDITS},
-        "embed_head": ("s", f"list_concat({_fresh_sql('embed_head', EMBED)}, s)"), "embed_tail": ("s", f"list_concat(s, {_fresh_sql('embed_tail', EMBED)})"),
-        "permute": ("s", swap), "shift": ("s", f"list_concat({_fresh_sql('shift', 1)}, s)"),
+        "ty1": ("s", O.LINES.replace("coalesce(text, '')", spaced), spaced), "ty2": (O.abstracted("blind", "s"), O.abstracted("blind", renamed), joined(renamed)),
+        **{k: ("s", v, joined(v)) for k, v in plain.items()},
     }
-    rows = " UNION ALL ".join(f"SELECT id, '{k}' AS kind, {a} AS s, {v} AS v FROM f WHERE n <= 60" for k, (a, v) in made.items())
-    return f"{O.fragments(15)}, x AS ({rows})"
+    rows = " UNION ALL ".join(f"SELECT id, '{k}' AS kind, {a} AS s, {v} AS v, {t} AS text FROM f" for k, (a, v, t) in made.items())
+    return f"{O.fragments(min_lines)}, x AS MATERIALIZED ({rows})"
 
 
 def _var(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -99,8 +106,6 @@ QUERIES["var_recall_hash"] = var_recall_hash
 
 
 def _hash_sql() -> str:
-    from pathtwin.workloads.documents import _LSH
-
     plain = f"SELECT kind, s AS sa, v AS sb, {O.lcs('s', 'v')} AS z FROM x"
     coded = lambda c: f"list_transform({c}, lambda x: {_LSH})"
     d = O.distance("lcs_mod", "sa", "sb")
@@ -127,24 +132,51 @@ ORACLES["var_min_tau"] = (
 )
 
 
-def _family(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Originals and variants as fragments: ``fragment_id = origin * 16 + number``, originals have number 0."""
-    v = _var(spark, sf_dir).filter("kind <> 'ty2'")
+def family(spark: SparkSession, sf_dir: str, min_lines: int = 15) -> DataFrame:
+    """Originals and variants as documents ``doc_id, kind, text``: ``doc_id = origin * 16 + number``, originals have number 0."""
+    v = variants(_docs(spark, sf_dir), min_lines)
     number = F.create_map(*[x for i, k in enumerate(KINDS) for x in (F.lit(k), F.lit(i + 1))])
-    rows = v.select((F.col("origin_id") * 16 + number[F.col("kind")]).alias("fragment_id"), F.col("v").alias("l"), "kind")
-    origins = v.filter("kind = 'ty1'").select((F.col("origin_id") * 16).alias("fragment_id"), F.col("s").alias("l"), F.lit("origin").alias("kind"))
+    rows = v.select((F.col("origin_id") * 16 + number[F.col("kind")]).alias("doc_id"), "kind", "text")
+    origins = v.filter("kind = 'ty1'").select((F.col("origin_id") * 16).alias("doc_id"), F.lit("origin").alias("kind"), F.array_join("s", "\n").alias("text"))
     return rows.unionByName(origins)
 
 
-def _family_paths(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _family(spark, sf_dir).select("fragment_id", F.size("l").alias("n_lines"), F.lit(0).alias("path_no"), F.transform("l", lambda x: F.split(x, " ")).alias("nodes"), F.lit(1).alias("mult"))
+def family_truth(docs: DataFrame) -> DataFrame:
+    """Pairs ``left_id, right_id, kind`` of an original and each of its variants."""
+    return docs.filter("kind <> 'origin'").select((F.floor(F.col("doc_id") / 16) * 16).alias("left_id"), F.col("doc_id").alias("right_id"), "kind")
+
+
+def family_sql(min_lines: int = 15) -> str:
+    """CTEs up to ``fam(doc_id, kind, text)``."""
+    number = " ".join(f"WHEN '{k}' THEN {i + 1}" for i, k in enumerate(KINDS))
+    return (
+        f"{_variants_sql(min_lines)}, fam AS MATERIALIZED (SELECT id * 16 + CASE kind {number} END AS doc_id, kind, text FROM x "
+        "UNION ALL SELECT id * 16, 'origin', array_to_string(s, chr(10)) FROM x WHERE kind = 'ty1')"
+    )
+
+
+#: Own set-ups of the tables, and what their SQL is made of: metric, encoding, cap.
+SETUPS = {
+    "default": (DetectorConfig(), ("lcs_mod", "lsh", CAP)), "md5": (PLAIN, ("lcs_mod", "md5", None)),
+    "fast": (DetectorConfig.fast(), ("hamming", "md5", CAP)), "legacy": (DetectorConfig.legacy(), ("lcs", "md5", CAP)),
+}
+
+
+def setup_sql(name: str, min_lines: int = 15, mode: str = "exact", tau: float = 0.3, cap: int | None | str = "own") -> str:
+    """Clone pairs of ``fam`` by one of the set-ups."""
+    metric, encoding, own = SETUPS[name][1]
+    source = ""
+    if encoding == "lsh":
+        lines = O.fragments(min_lines, mode)
+        source = f"f0 AS ({lines[6:-1]}), f AS (SELECT id, n, list_transform(s, lambda x: CAST({_LSH} AS VARCHAR)) AS s FROM f0)"
+    return O.clones(metric, min_lines, mode, tau, own if cap == "own" else cap, source).replace("FROM documents", "FROM fam")
 
 
 def var_precision(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Share of reported pairs whose origins agree, over all pairs, for several set-ups."""
-    paths, out = _family_paths(spark, sf_dir), None
-    for name, cfg in {"default": DetectorConfig(), "md5": DetectorConfig.plain(), "fast": DetectorConfig.fast(), "legacy": DetectorConfig.legacy()}.items():
-        found = detect(paths, cfg.but(max_set_factor=None))
+    paths, out = T.line_paths(family(spark, sf_dir)), None
+    for name, (cfg, _) in SETUPS.items():
+        found = detect(paths, cfg)
         same = F.floor(F.col("left_id") / 16) == F.floor(F.col("right_id") / 16)
         row = found.agg(F.count("*").alias("n_reported"), F.count_if(same).alias("n_same_origin")).withColumn("setup", F.lit(name))
         out = row if out is None else out.unionByName(row)
@@ -152,6 +184,9 @@ def var_precision(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES["var_precision"] = var_precision
+ORACLES["var_precision"] = f"WITH {family_sql()} " + " UNION ALL ".join(
+    f"SELECT '{k}' AS setup, count(*) AS n_reported, count(*) FILTER (left_id // 16 = right_id // 16) AS n_same_origin, round(count(*) FILTER (left_id // 16 = right_id // 16) / count(*), 6) AS precision FROM ({setup_sql(k)})" for k in SETUPS
+)
 
 
 def var_exclusive(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -195,8 +230,8 @@ ORACLES["base_win"] = (
 QUERIES["base_run"] = lambda spark, sf_dir: B.token_runs(_docs(spark, sf_dir))
 ORACLES["base_run"] = (
     f"{_P}, w AS (SELECT id, string_split(array_to_string(s, ' '), ' ') AS w FROM f), g AS (SELECT id, p, array_to_string(w[p:p + 14], ' ') AS h FROM (SELECT id, w, unnest(range(1, len(w) - 13)) AS p FROM w WHERE len(w) >= 15)), "
-    "m AS (SELECT a.id AS x, b.id AS y, a.p - b.p AS diag, a.p AS p FROM g a JOIN g b ON a.h = b.h AND a.id < b.id), i AS (SELECT *, p - row_number() OVER (PARTITION BY x, y, diag ORDER BY p) AS island FROM m) "
-    "SELECT DISTINCT x AS left_id, y AS right_id FROM (SELECT x, y FROM i GROUP BY x, y, diag, island HAVING count(*) + 14 >= 50)"
+    "m AS (SELECT a.id AS x, b.id AS y, a.p - b.p AS diag, a.p AS p FROM g a JOIN g b ON a.h = b.h AND a.id < b.id), i AS (SELECT *, p - row_number() OVER (PARTITION BY x, y, diag ORDER BY p) AS island FROM m), "
+    "r AS (SELECT x, y, count(*) + 14 AS words FROM i GROUP BY x, y, diag, island) SELECT x AS left_id, y AS right_id FROM r GROUP BY x, y HAVING sum(words) >= 50"
 )
 QUERIES["base_gram"] = lambda spark, sf_dir: B.ngram_index(_docs(spark, sf_dir))
 ORACLES["base_gram"] = (
@@ -207,13 +242,18 @@ ORACLES["base_gram"] = (
 QUERIES["base_vec"] = lambda spark, sf_dir: B.tree_vector(read_table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("v")), 1.0)
 
 
-def base_learn(spark: SparkSession, sf_dir: str) -> DataFrame:
-    v = _var(spark, sf_dir).filter("kind <> 'ty2'")
+def learned_pairs(v: DataFrame, docs: DataFrame) -> DataFrame:
+    """Pairs of ``docs`` by the learned family, trained on the variants ``v`` and as many pairs of different origins."""
+    v = v.filter("kind <> 'ty2'")
     true = v.select("s", "v", F.lit(1).alias("y"))
-    other = v.select((F.col("origin_id")).alias("o"), "v").withColumn("k", F.xxhash64("o") % 97)
+    other = v.select(F.col("origin_id").alias("o"), "v").withColumn("k", F.xxhash64("o") % 97)
     base = v.filter("kind = 'ty1'").select(F.col("origin_id").alias("p"), "s").withColumn("k", F.xxhash64("p") % 97)
     false = base.join(other, "k").filter("o <> p").select("s", "v", F.lit(0).alias("y"))
-    return B.learned(_docs(spark, sf_dir), true.unionByName(false))
+    return B.learned(docs, true.unionByName(false))
+
+
+def base_learn(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return learned_pairs(_var(spark, sf_dir), _docs(spark, sf_dir))
 
 
 QUERIES["base_learn"] = base_learn
