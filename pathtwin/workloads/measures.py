@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from pathtwin.baselines import families as B
 from pathtwin.config import DetectorConfig
 from pathtwin.evaluation import measures as M
+from pathtwin.evaluation.sweeps import run_times
 from pathtwin.frontends import text_lines as T
 from pathtwin.match.detector import against, detect
 from pathtwin.match.report import category
@@ -234,3 +235,16 @@ ORACLES["doc_incremental"] = (
 )
 
 QUERIES["vec_lsh_join"] = lambda spark, sf_dir: B.projection_bands(read_table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("v")))
+
+
+def run_time_by_size(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Seconds of the default and the fast set-up and of the rival families on nested subsets of the documents, least size 6; ``speedup`` is against the default."""
+    own = {"default": DetectorConfig(min_lines=6), "fast": DetectorConfig.fast().but(min_lines=6)}
+    ways = {k: lambda docs, c=c: detect(T.line_paths(docs), c) for k, c in own.items()} | {k: lambda docs, f=f: f(docs, 6) for k, f in FAMILIES.items()}
+    rows = run_times(_docs(spark, sf_dir), ways, (10, 100))
+    base = {p: s for n, p, _, _, s, _ in rows if n == "default"}
+    schema = "setup string, percent int, n_lines long, n_reported long, seconds double, lines_per_second double, speedup double"
+    return spark.createDataFrame([(*r, round(base[r[1]] / max(r[4], 1e-3), 3)) for r in rows], schema)
+
+
+QUERIES["run_time_by_size"] = run_time_by_size

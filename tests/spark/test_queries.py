@@ -8,7 +8,7 @@ from pathtwin.workloads import ORACLES, QUERIES
 SF = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 #: Ties and the like: the comparison is of rounded text.
-SLOW = {"var_precision", "order_seq_clones", "order_fast_vs_default", "base_learn"}
+SLOW: set[str] = set()
 
 
 def _norm(df):
