@@ -27,6 +27,8 @@ from pathtwin.llm.common import map_slices
 
 #: Distinct pre-tokens held at once by a task; the table is emptied beyond it.
 HELD = 400_000
+#: Bytes of the parts that are remembered.
+PART = 6
 
 
 def read_ranks(path: str) -> dict[bytes, int]:
@@ -41,6 +43,7 @@ class MonoidBpe:
         self.ranks = ranks
         self.bytes_of = {r: t for t, r in ranks.items()}
         self._pairs: dict[tuple[int, int], list[int]] = {}
+        self._parts: dict[bytes, list[int]] = {}
 
     def merged(self, b: bytes) -> list[int]:
         """Encoding of a boundary window: merges the lowest-ranked neighbours until none is left."""
@@ -88,13 +91,22 @@ class MonoidBpe:
         """A string that is a token is that token; all others are products of their halves."""
         if (whole := self.ranks.get(b)) is not None:
             return [whole]
-        return self._product(b, 0, len(b)) if b else []
-
-    def _product(self, b: bytes, lo: int, hi: int) -> list[int]:
-        if hi - lo == 1:
-            return [self.ranks[b[lo:hi]]]
-        mid = (lo + hi) // 2
-        return self.join(self._product(b, lo, mid), self._product(b, mid, hi))
+        return self._product(b) if b else []
+
+    def _product(self, b: bytes) -> list[int]:
+        """Short parts recur in many strings and are worked out once."""
+        if (known := self._parts.get(b)) is not None:
+            return known
+        if len(b) == 1:
+            out = [self.ranks[b]]
+        else:
+            mid = len(b) // 2
+            out = self.join(self._product(b[:mid]), self._product(b[mid:]))
+        if len(b) <= PART:
+            if len(self._parts) > HELD:
+                self._parts.clear()
+            self._parts[b] = out
+        return out
 
     def decode(self, ids: list[int]) -> bytes:
         return b"".join(map(self.bytes_of.__getitem__, ids))

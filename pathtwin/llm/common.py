@@ -26,6 +26,20 @@ def fold(doc_id: str | Column, n: int) -> Column:
     return F.crc32(c.cast("string").cast("binary")) % n
 
 
+def least_by_hash(df: DataFrame, rows: int, *ties: str) -> DataFrame:
+    """The ``rows`` rows of least hash of ``doc_id``, then of ``ties``, with the hash as ``h``; ``df`` is read twice.
+
+    Only hashes below a bound that leaves about four times as many are sorted, so that what tasks send doesn't grow with
+    their number; where ids repeat so much that too few are below it, all are.
+    """
+    keyed, n = df.withColumn("h", F.xxhash64("doc_id")), df.count()
+    if n > 4 * rows:
+        few = keyed.filter(F.col("h") < F.lit((1 << 64) * 4 * rows // n - (1 << 63)))
+        if few.count() >= rows:
+            keyed = few
+    return keyed.orderBy("h", *ties).limit(rows)
+
+
 def _bytes(column: pa.Array) -> np.ndarray | int:
     kind = column.type
     if not (pa.types.is_string(kind) or pa.types.is_binary(kind) or pa.types.is_large_string(kind) or pa.types.is_large_binary(kind)):

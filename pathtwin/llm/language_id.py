@@ -18,7 +18,8 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from pathtwin.llm.common import fold, map_slices
+from pathtwin.llm.common import fold, least_by_hash, map_slices
+from pathtwin.plans.lineage import cut
 
 #: Buckets are 2**BITS; half as many for each doubling of the languages beyond WIDE, so that the table stays bounded.
 BITS, WIDE = 15, 256
@@ -149,7 +150,7 @@ def identify(docs: DataFrame, folds: int = 4, held_out: int = 2, rows: int = SAM
     held = F.coalesce(fold("doc_id", folds) == held_out, F.lit(False))
     known = d.filter(~held & F.col("lang").isNotNull() & F.col("text").isNotNull()).withColumn("th", F.xxhash64("text"))
     key = ["doc_id", "th", "lang"]
-    chosen = known.select(F.xxhash64("doc_id").alias("h"), *key).orderBy("h", *key).limit(rows).collect()
+    chosen = least_by_hash(cut(known.select(*key)), rows, *key).collect()
     languages = sorted({r["lang"] for r in chosen})
     bits = bits_for(len(languages))
     df, total = document_frequencies(known, bits)

@@ -19,7 +19,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from pathtwin.llm import text_stats as S
-from pathtwin.llm.common import fold
+from pathtwin.llm.common import fold, least_by_hash
 from pathtwin.plans.lineage import cut
 
 #: Labelled rows that the model is fitted on, the least by hash of the id.
@@ -153,7 +153,7 @@ def labelled_sample(labels: DataFrame, name: str, folds: int, held_out: int, row
     """At most ``rows`` labelled ids outside the held-out fold, the least by hash: ``doc_id, y``."""
     known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(name).cast("int").alias("y")).dropna().filter(fold("doc_id", folds) != held_out)
     known = known.groupBy("doc_id").agg(F.max("y").alias("y"))
-    return known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
+    return least_by_hash(known, rows, "doc_id").drop("h")
 
 
 def quality_scores(docs: DataFrame, labels: DataFrame, folds: int = 3, held_out: int = 1, rows: int = SAMPLE) -> DataFrame:
