@@ -13,6 +13,7 @@ from pathtwin.functions import windows
 from pathtwin.match import sets as S
 from pathtwin.match.detector import compare, detect, detect_classes, groups, nearest
 from pathtwin.metrics import distance_udf
+from pathtwin.metrics.columns import as_characters
 from pathtwin.sources.io import read_table
 from pathtwin.sql import oracles as O
 
@@ -120,6 +121,16 @@ QUERIES["doc_clones_lsh_min6"] = _detector(DetectorConfig(min_lines=6))
 ORACLES["doc_clones_lsh_min6"] = _lsh_sql(6)
 
 
+@query("doc_clones_lev_characters", O.clones("levenshtein", 15, source=_lsh_fragments(15)))
+def doc_clones_lev_characters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Levenshtein on locality-sensitive codes, one character a code: the kernel finds the pairs, Spark's own function gives their distance."""
+    paths = T.line_paths(_docs(spark, sf_dir), "exact", 15)
+    pairs = detect(paths, PLAIN.but(metric="levenshtein", encoding="lsh"))
+    text = S.encoded_paths(paths, "lsh").select("fragment_id", as_characters(F.col("code")).alias("t"), F.size("code").alias("n"))
+    both = pairs.join(text.toDF("left_id", "a", "na"), "left_id").join(text.toDF("right_id", "b", "nb"), "right_id")
+    return both.select("left_id", "right_id", F.round(F.levenshtein("a", "b") / F.greatest("na", "nb"), 6).alias("distance"))
+
+
 def _merge_sql() -> str:
     """Greedy merging: in sorted order a path joins the first kept one of its length that differs in one node."""
     differ = "len(list_filter(range(1, len(k.q) + 1), lambda i: k.q[i] <> x[1].q[i]))"
