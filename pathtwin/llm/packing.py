@@ -16,6 +16,8 @@ from array import array
 from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -53,7 +55,7 @@ class WordIds:
         (self.mark_id,) = self._ids(self.MARK)
 
     def _ids(self, text: str) -> list[int]:
-        return self.tokenizer.encode(text, add_special_tokens=False).ids
+        return self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids
 
     def _learn(self, words: list[str]) -> None:
         alone = [w for w in words if self.MARK in w or len(w) > 200]
@@ -68,21 +70,36 @@ class WordIds:
                 at = end + 1
 
     def batch(self, texts: list[str]) -> Iterator[np.ndarray]:
-        """Ids of each text, as unsigned 32-bit arrays."""
-        split = [(t.lower() if t.isascii() else t).replace("\n", " ").split(" ") for t in texts]
-        seen = set().union(*split) if split else set()
+        """Ids of each text, as unsigned 32-bit arrays: the distinct strings are looked up, their ids gathered for all occurrences at once."""
+        if not texts:
+            return
+        split = pc.split_pattern(pa.array([(t.lower() if t.isascii() else t).replace("\n", " ") for t in texts], pa.large_string()), " ")
+        coded = split.values.dictionary_encode()
+        words, which, ends = coded.dictionary.to_pylist(), coded.indices.to_numpy(), split.offsets.to_numpy()
         if len(self.known) > HELD:
             self.known, self.old = {"": b""}, self.known
-        new = []
-        for w in seen - self.known.keys():
+        new, known = [], self.known
+        for w in words:
+            if w in known:
+                continue
             if (ids := self.old.get(w)) is None:
                 new.append(w)
             else:
-                self.known[w] = ids
+                known[w] = ids
         self._learn(new)
-        get = self.known.__getitem__
-        for words in split:
-            yield np.frombuffer(b"".join(map(get, words)), "<u4")
+        found = [known[w] for w in words]
+        sizes = np.fromiter(map(len, found), np.int64, len(found)) // 4
+        starts = np.cumsum(sizes) - sizes
+        taken = sizes[which]
+        before = np.cumsum(taken) - taken
+        n = int(taken.sum())
+        narrow = np.int32 if n + int(sizes.sum()) < 1 << 31 else np.int64
+        at = np.repeat((starts[which] - before).astype(narrow), taken)
+        at += np.arange(n, dtype=narrow)
+        ids = np.frombuffer(b"".join(found), "<u4")[at]
+        edges = np.append(before, len(ids))[ends]
+        for i, j in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
+            yield ids[i:j]
 
     def __call__(self, text: str) -> np.ndarray:
         return next(self.batch([text]))
