@@ -114,9 +114,9 @@ def _string(docs: DataFrame, length: int) -> tuple[DataFrame, int]:
                 window = np.zeros(len(b) + 1, np.uint64)
                 window[:fits] = _mix((total[length:] - total[:-length])[:fits] * down[:fits]) | np.uint64(1)
                 sym = np.append(b.astype(np.int64) + 1, 257 + place)
-                yield {"pos": start + at, "sym": sym, "k": np.full(len(at), k), "th": np.full(len(at), th, np.int32), "at": at, "window": window.view(np.int64)}
+                yield {"pos": start + at, "sym": sym, "k": np.full(len(at), k), "th": np.full(len(at), th), "at": at, "window": window.view(np.int64)}
 
-    rows = map_slices(laid.select("k", "th", "bytes", "start", "place"), spell, "pos long, sym long, k long, th int, at long, window long")
+    rows = map_slices(laid.select("k", "th", "bytes", "start", "place"), spell, "pos long, sym long, k long, th long, at long, window long")
     return cut(rows), int(n)
 
 

@@ -230,14 +230,14 @@ def solve(classes: list, lefts: list, rights: list, reach: int, size: int = BLOC
     return found
 
 
-_CONTEXT = "k long, th int, at int, cls long, lft binary, rgt binary"
-_SPAN = "k long, th int, s int, e int"
+_CONTEXT = "k long, th long, at int, cls long, lft binary, rgt binary"
+_SPAN = "k long, th long, s int, e int"
 
 
 def _texts(docs: DataFrame, *more: str) -> DataFrame:
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     k = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63)))
-    return docs.select(*more, k.alias("k"), F.hash(text).alias("th"), text.cast("binary").alias("bytes"))
+    return docs.select(*more, k.alias("k"), F.xxhash64(text).alias("th"), text.cast("binary").alias("bytes"))
 
 
 def _solver(reach: int, length: int, key: str):
@@ -329,12 +329,12 @@ def _spans(docs: DataFrame, length: int, hot: int) -> DataFrame:
             met = [find_anchors(text, length, k) for text in p["bytes"]]
             sizes = [len(at) for at, _, _ in met]
             yield {
-                "k": np.repeat(np.array(p["k"], np.int64), sizes), "th": np.repeat(np.array(p["th"], np.int32), sizes), "at": np.concatenate([m[0] for m in met]).astype(np.int32),
+                "k": np.repeat(np.array(p["k"], np.int64), sizes), "th": np.repeat(np.array(p["th"], np.int64), sizes), "at": np.concatenate([m[0] for m in met]).astype(np.int32),
                 "kh": np.concatenate([m[1] for m in met]).view(np.int64), "ch": np.concatenate([m[2] for m in met]).view(np.int64),
             }
 
     texts = _texts(docs).filter(F.octet_length("bytes") >= length)
-    found = cut(map_slices(texts, anchors, "k long, th int, at int, kh long, ch long").withColumn("salt", F.pmod(F.xxhash64("k", "th", "at"), F.lit(SALTS)).cast("int")))
+    found = cut(map_slices(texts, anchors, "k long, th long, at int, kh long, ch long").withColumn("salt", F.pmod(F.xxhash64("k", "th", "at"), F.lit(SALTS)).cast("int")))
     classes = found.groupBy("kh").agg(F.count("*").alias("n"), (F.min("ch") < F.max("ch")).alias("mixed")).filter("n > 1")
     again = cut(found.join(salted(classes), ["kh", "salt"]))
     contexts = again.groupBy("kh", "ch").agg(F.count("*").alias("copies"), F.min(F.struct("k", "th", "at")).alias("rep"), F.first("mixed").alias("mixed"), F.first("n").alias("n"))
@@ -415,7 +415,7 @@ def without_repeats(docs: DataFrame, length: int = LENGTH, hot: int = HOT) -> Da
     A null text stays null and an empty one empty; a text that is all repeats becomes empty and its row stays.
     """
     names = docs.columns
-    joined = docs.withColumns({"__k": F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63))), "__th": F.hash(F.coalesce(F.col("text").cast("string"), F.lit("")))})
+    joined = docs.withColumns({"__k": F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63))), "__th": F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))})
     spans = repeated_spans(docs, length, hot).select(F.col("k").alias("__k"), F.col("th").alias("__th"), F.col("spans").alias("__spans"))
     joined = joined.join(spans, ["__k", "__th"], "left").drop("__k", "__th").withColumn("text", F.col("text").cast("string"))
 
