@@ -54,3 +54,16 @@ def test_set_distance_is_symmetric_with_min_tie_and_weights_paths():
     a, b = [((1, 2, 3), 1), ((4, 5), 1)], [((1, 2, 3), 1), ((4, 6), 1)]
     assert K.set_distance(a, b, "lcs") == K.set_distance(b, a, "lcs") == 0.25
     assert K.set_distance([((1, 2), 3), ((9, 9), 1)], [((1, 2), 5)], "lcs") == 0.25
+
+
+def test_edit_and_jaro_distances_count_symbols_beyond_127():
+    """References that write symbols as characters count bytes from the 128th on; the kernels must not."""
+    a = list(range(300))
+    b = [x for x in a if x % 3] + list(range(1000, 1040))
+    row = list(range(len(b) + 1))
+    for i, x in enumerate(a, 1):
+        old, row = row, [i]
+        for j, y in enumerate(b, 1):
+            row.append(min(old[j - 1] + (x != y), old[j] + 1, row[-1] + 1))
+    assert K.levenshtein(a, b) == K.damerau(a, b) == row[-1] == 140
+    assert abs(K.jaro_winkler(a, b) - K.jaro_winkler("".join(chr(200 + x) for x in a), "".join(chr(200 + x) for x in b))) < 1e-12
