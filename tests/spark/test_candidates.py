@@ -115,3 +115,16 @@ def test_no_symbol_pairs_everything(spark):
     for metric in METRICS:
         if metric not in ("hamming_free", "jaro_winkler"):
             assert prefix_pairs(encoded, DetectorConfig.plain().but(metric=metric)).count() == 0, metric
+
+
+@pytest.mark.parametrize(("metric", "tau"), [("lcs", 0.2), ("hamming", 0.2), ("levenshtein", 0.3)])
+def test_deletions_lose_nothing(spark, metric, tau):
+    """Paths of few symbols, short and longer than lists go, and a fragment of two paths: the same pairs as of every two."""
+    rng = random.Random(17)
+    seqs = [[rng.choice("abcd") for _ in range(n)] for n in (0, 1, 3, 5, 6, 7, 8, 10, 11, 14, 15, 16, 17, 19, 22) for _ in range(2)]
+    seqs += [s[:i] + s[i + 1 :] for s in seqs[6:] for i in (0, len(s) // 2)] + [[*s[:2], "e", *s[3:]] for s in seqs[6:]] + [[*s, "e", "f"] for s in seqs[20:]] + seqs[4:8]
+    rows = [(i, len(s), 0, [[x] for x in s], 1) for i, s in enumerate(seqs)] + [(900, 9, k, [[x] for x in seqs[8 + k]], 1) for k in (0, 1)]
+    paths = spark.createDataFrame(rows, "fragment_id long, n_lines int, path_no int, nodes array<array<string>>, mult int")
+    cfg = DetectorConfig.plain().but(metric=metric, tau=tau, min_lines=0)
+    got, want = ({(r.left_id, r.right_id): r.distance for r in detect(paths, cfg.but(candidates=how)).collect()} for how in ("deletions", "all"))
+    assert got == want and any(min(len(seqs[i]), len(seqs[j])) > 16 and d for (i, j), d in want.items() if j < 900)
