@@ -6,6 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from pathtwin.config import DetectorConfig
+from pathtwin.match import blocks
 from pathtwin.match.candidates import prefix_pairs
 from pathtwin.match.detector import against, detect, nearest
 from pathtwin.match.sets import encoded_paths
@@ -128,3 +129,41 @@ def test_deletions_lose_nothing(spark, metric, tau):
     cfg = DetectorConfig.plain().but(metric=metric, tau=tau, min_lines=0)
     got, want = ({(r.left_id, r.right_id): r.distance for r in detect(paths, cfg.but(candidates=how)).collect()} for how in ("deletions", "all"))
     assert got == want and any(min(len(seqs[i]), len(seqs[j])) > 16 and d for (i, j), d in want.items() if j < 900)
+
+
+@pytest.mark.parametrize(("metric", "cap", "factor"), [("lcs", None, 1.7), ("lcs_mod", 2, 1.7), ("alignment", None, None), ("hamming", None, 1.7), ("hamming_free", 3, None)])
+def test_blocks_compare_every_pair(paths, corpus, metric, cap, factor, monkeypatch):
+    monkeypatch.setattr(blocks, "SPLIT_SETS", 7)
+    monkeypatch.setattr(blocks, "BATCH", 5)
+    cfg = DetectorConfig.plain().but(metric=metric, max_len_diff=cap, max_set_factor=factor, min_lines=1, candidates="blocks")
+    want = {k: d for k, d in _distances(corpus, cfg, factor).items() if d < cfg.tau}
+    for copy in ("lossless", "off"):
+        rows = detect(paths, cfg.but(copy=copy)).collect()
+        assert {(r.left_id, r.right_id): r.distance for r in rows} == want and len(rows) == len(want) >= 8
+        assert all((r.relation == "strict") == (len(corpus[r.left_id]) == len(corpus[r.right_id])) for r in rows)
+
+
+def test_blocks_of_long_and_empty_paths(spark):
+    """Paths over 64 nodes take several words of bits; a block may hold one set, or none."""
+    rng = random.Random(4)
+    made = [[f"n{rng.randrange(90)}" for _ in range(n)] for n in (0, 0, 1, 63, 64, 65, 128, 129, 300)]
+    made += [[x for x in p if rng.random() > 0.1] for p in made]
+    rows = [(i, 9, 0, [[x] for x in p], 1) for i, p in enumerate(made)]
+    cfg = DetectorConfig.plain().but(metric="lcs", min_lines=1, copy="off")
+    table = spark.createDataFrame(rows, SCHEMA)
+    got, want = ({(r.left_id, r.right_id): r.distance for r in detect(table, cfg.but(candidates=c)).collect()} for c in ("blocks", "all"))
+    assert got == want and len(got) >= 7
+    assert detect(table.filter("false"), cfg.but(candidates="blocks")).count() == 0
+    with pytest.raises(ValueError):
+        detect(table, cfg.but(candidates="blocks", metric="cosine"))
+
+
+def test_weeks_are_compared_without_lists_of_pairs(spark):
+    """Weeks have fifteen symbols, so lists of candidates held almost every two of them."""
+    from pathtwin.workloads.flows import FLOWS
+
+    rng = random.Random(2)
+    paths = spark.createDataFrame([(i, 12, k, [[f"e{rng.randrange(5)}"] for _ in range(4)], 1) for i in range(60) for k in range(3)], SCHEMA)
+    found = detect(paths, FLOWS)
+    assert "applyinarrow" in (plan := found._jdf.queryExecution().toString().lower().replace("flatmapgroupsinarrow", "applyinarrow")) and "nestedloop" not in plan
+    assert {tuple(r) for r in found.collect()} == {tuple(r) for r in detect(paths, FLOWS.but(candidates="prefix")).collect()} and found.count() > 5
