@@ -167,3 +167,10 @@ def test_weeks_are_compared_without_lists_of_pairs(spark):
     found = detect(paths, FLOWS)
     assert "applyinarrow" in (plan := found._jdf.queryExecution().toString().lower().replace("flatmapgroupsinarrow", "applyinarrow")) and "nestedloop" not in plan
     assert {tuple(r) for r in found.collect()} == {tuple(r) for r in detect(paths, FLOWS.but(candidates="prefix")).collect()} and found.count() > 5
+
+
+def test_pairs_of_all_documents_need_no_lists():
+    """Hamming without a length penalty reports a share of all pairs; the queries on it and those on every pair go by blocks."""
+    from pathtwin.workloads.documents import HAM_FREE
+
+    assert HAM_FREE.candidates == "blocks" and HAM_FREE.metric == "hamming_free" and blocks.can_compare(HAM_FREE)
