@@ -2,13 +2,14 @@
 
 import random
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from pathtwin.config import DetectorConfig
 from pathtwin.match import blocks
 from pathtwin.match.candidates import prefix_pairs
-from pathtwin.match.detector import against, detect, nearest
+from pathtwin.match.detector import against, classes, detect, nearest
 from pathtwin.match.sets import encoded_paths
 from pathtwin.metrics.kernels import REGISTRY, set_distance
 
@@ -169,6 +170,32 @@ def test_weeks_are_compared_without_lists_of_pairs(spark):
     assert {tuple(r) for r in found.collect()} == {tuple(r) for r in detect(paths, FLOWS.but(candidates="prefix")).collect()} and found.count() > 5
 
 
+def test_counts_and_nearest_by_blocks(paths, corpus, monkeypatch):
+    """Only pairs with a common symbol count, each as often as its weights say; the nearest of several blocks are ranked together."""
+    monkeypatch.setattr(blocks, "SPLIT_SETS", 9)
+    monkeypatch.setattr(blocks, "BATCH", 3)
+    cfg = DetectorConfig.plain().but(metric="lcs", min_lines=1, max_set_factor=None)
+    every = _distances(corpus, cfg)
+    _, sets, _ = classes(paths, cfg.but(copy="off"))
+    sets = sets.withColumn("one", F.col("fragment_id") + 1)
+    want: dict = {}
+    for (i, j), d in every.items():
+        if d < 1:
+            want[d] = want.get(d, 0) + (i + 1) * (j + 1)
+    assert {r.distance: r.n for r in blocks.distance_counts(sets, cfg).collect()} == want
+    with pytest.raises(ValueError):
+        blocks.distance_counts(sets, cfg.but(metric="lcs_mod"))
+    found = nearest(paths, paths, cfg, 6)
+    assert "flatmapgroupsinarrow" in found._jdf.queryExecution().toString().lower()
+    assert sorted((r.left_id, r["rank"], r.right_id, r.distance) for r in found.collect()) == [(i, k + 1, j, d) for i in corpus for k, (d, j) in enumerate(sorted((every[min(i, j), max(i, j)], j) for j in corpus if j != i)[:6])]
+
+
+def test_blocks_round_as_spark_does(spark):
+    values = [k / n for n in (128, 640, 3, 7, 1000) for k in range(n)]
+    rows = spark.createDataFrame([(v,) for v in values], "v double").select("v", F.round("v", 6).alias("r")).collect()
+    assert blocks.rounded(np.array([r.v for r in rows])).tolist() == [r.r for r in rows]
+
+
 def test_pairs_of_all_documents_need_no_lists():
     """Hamming without a length penalty reports a share of all pairs; the queries on it and those on every pair go by blocks."""
     from pathtwin.workloads.documents import HAM_FREE
