@@ -201,3 +201,20 @@ def test_pairs_of_all_documents_need_no_lists():
     from pathtwin.workloads.documents import HAM_FREE
 
     assert HAM_FREE.candidates == "blocks" and HAM_FREE.metric == "hamming_free" and blocks.can_compare(HAM_FREE)
+
+
+def test_two_metrics_joined_in_blocks(spark, monkeypatch):
+    """Each pair near by either metric is there once, with both distances, and no pair travels on the way."""
+    monkeypatch.setattr(blocks, "SPLIT_SETS", 9)
+    monkeypatch.setattr(blocks, "BATCH", 3)
+    rng = random.Random(6)
+    made = [[f"n{rng.randrange(9)}" for _ in range(rng.choice([4, 12, 20, 70]))] for _ in range(30)]
+    made += [[x for x in p if rng.random() > 0.1] for p in made] + made[:4]
+    paths = spark.createDataFrame([(i, 20, 0, [[x] for x in p], 1) for i, p in enumerate(made)], SCHEMA)
+    lcs, free = (DetectorConfig.plain().but(metric=m, min_lines=1, copy="off") for m in ("lcs", "hamming_free"))
+    got = blocks.near_by_both(classes(paths, lcs)[1], lcs, free)
+    want = [{(r.left_id, r.right_id): r.distance for r in detect(paths, c.but(candidates="all")).collect()} for c in (lcs, free)]
+    rows = got.collect()
+    assert {(r.left_id, r.right_id): (r.d_one, r.d_other) for r in rows} == {k: (want[0].get(k), want[1].get(k)) for k in want[0].keys() | want[1].keys()}
+    assert len(rows) == len(want[0].keys() | want[1].keys()) and want[0].keys() - want[1].keys() and want[1].keys() - want[0].keys()
+    assert got._jdf.queryExecution().executedPlan().toString().count("Join") == 0
