@@ -218,3 +218,40 @@ def test_two_metrics_joined_in_blocks(spark, monkeypatch):
     assert {(r.left_id, r.right_id): (r.d_one, r.d_other) for r in rows} == {k: (want[0].get(k), want[1].get(k)) for k in want[0].keys() | want[1].keys()}
     assert len(rows) == len(want[0].keys() | want[1].keys()) and want[0].keys() - want[1].keys() and want[1].keys() - want[0].keys()
     assert got._jdf.queryExecution().executedPlan().toString().count("Join") == 0
+
+
+@pytest.mark.parametrize(("metric", "cap", "factor"), [("lcs", None, 1.7), ("lcs_mod", 2, 1.7), ("lcs_mod", 7, None), ("alignment", None, None)])
+def test_tiles_lose_nothing(paths, corpus, spark, metric, cap, factor, monkeypatch):
+    """Sets of one path and of several, long, empty and equal ones: the same pairs as of every two, though symbols share columns and tiles are small."""
+    monkeypatch.setattr(blocks, "SPLIT_SETS", 30)
+    monkeypatch.setattr(blocks, "TILE", 6)
+    monkeypatch.setattr(blocks, "AT_ONCE", 50)
+    monkeypatch.setattr(blocks, "COLUMNS", 16)
+    cfg = DetectorConfig.plain().but(metric=metric, max_len_diff=cap, max_set_factor=factor, min_lines=1, candidates="tiles")
+    want = {k: d for k, d in _distances(corpus, cfg, factor).items() if d < cfg.tau}
+    assert {(r.left_id, r.right_id): r.distance for r in detect(paths, cfg.but(copy="off")).collect()} == want and len(want) >= 8
+    rng = random.Random(4)
+    made = [[f"n{rng.randrange(90)}" for _ in range(n)] for n in (0, 0, 1, 8, 9, 16, 17, 32, 33, 63, 64, 65, 128, 129, 300)]
+    made += [[x for x in p if rng.random() > 0.1] for p in made] + [p[3:13] + p for p in made[4:8]] + [p[: len(p) // 2] for p in made[5:]]
+    rows = [(i, 9, 0, [[x] for x in p], 1) for i, p in enumerate(made)]
+    for table in (rows, rows + [(900 + k, 9, n, [[x] for x in p], 1) for k in range(3) for n, p in enumerate((made[3 + k], made[10], made[0]))]):
+        table = spark.createDataFrame(table, SCHEMA)
+        got, every = ({(r.left_id, r.right_id): (r.distance, r.relation) for r in detect(table, cfg.but(candidates=c)).collect()} for c in ("tiles", "all"))
+        assert got == every and len(got) >= 7
+    assert detect(table.filter("false"), cfg).count() == 0
+    with pytest.raises(ValueError):
+        detect(table, cfg.but(metric="hamming"))
+
+
+@pytest.mark.parametrize("name", ["LSH_MIN6"])
+def test_codes_of_few_values_need_no_lists(spark, name):
+    """Locality-sensitive codes have 1,200 values, so lists of candidates held a share of all pairs."""
+    from pathtwin.workloads import documents
+
+    cfg = getattr(documents, name).but(min_lines=0)
+    rng = random.Random(3)
+    made = [[f"n{rng.randrange(6)}" for _ in range(rng.choice([3, 5, 12]))] for _ in range(80)]
+    paths = spark.createDataFrame([(i // (1 if name == "LSH_MIN6" else 3), 20, i, [[x] for x in p], 1) for i, p in enumerate(made)], SCHEMA)
+    found = detect(paths, cfg)
+    assert "flatmapgroupsinarrow" in found._jdf.queryExecution().toString().lower()
+    assert {tuple(r) for r in found.collect()} == {tuple(r) for r in detect(paths, cfg.but(candidates="prefix")).collect()} and found.count() > 0
