@@ -227,6 +227,7 @@ def test_tiles_lose_nothing(paths, corpus, spark, metric, cap, factor, monkeypat
     monkeypatch.setattr(blocks, "TILE", 6)
     monkeypatch.setattr(blocks, "AT_ONCE", 50)
     monkeypatch.setattr(blocks, "COLUMNS", 16)
+    monkeypatch.setattr(blocks, "SET_COLUMNS", 16)
     cfg = DetectorConfig.plain().but(metric=metric, max_len_diff=cap, max_set_factor=factor, min_lines=1, candidates="tiles")
     want = {k: d for k, d in _distances(corpus, cfg, factor).items() if d < cfg.tau}
     assert {(r.left_id, r.right_id): r.distance for r in detect(paths, cfg.but(copy="off")).collect()} == want and len(want) >= 8
@@ -243,7 +244,7 @@ def test_tiles_lose_nothing(paths, corpus, spark, metric, cap, factor, monkeypat
         detect(table, cfg.but(metric="hamming"))
 
 
-@pytest.mark.parametrize("name", ["LSH_MIN6"])
+@pytest.mark.parametrize("name", ["LSH_MIN6", "TREES"])
 def test_codes_of_few_values_need_no_lists(spark, name):
     """Locality-sensitive codes have 1,200 values, so lists of candidates held a share of all pairs."""
     from pathtwin.workloads import documents
